@@ -6,6 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 
 #: Bytes of text worked on at once inside a batch; one longer text is worked on alone.
 PIECE = 2 << 20
@@ -20,7 +21,7 @@ _powers: list[np.ndarray] = []
 
 def pieces(batch: pa.RecordBatch, most: int = PIECE) -> Iterator[pa.RecordBatch]:
     """Slices of a batch whose texts (column `text`) hold about `most` bytes; rows are never split."""
-    sizes = np.asarray(pa.compute.fill_null(pa.compute.binary_length(batch.column("text")), 0), dtype=np.int64)
+    sizes = np.asarray(pc.fill_null(pc.binary_length(batch.column("text")), 0), dtype=np.int64)
     ends, at = np.cumsum(sizes), 0
     while at < len(sizes):
         base = ends[at - 1] if at else 0
@@ -32,7 +33,7 @@ def pieces(batch: pa.RecordBatch, most: int = PIECE) -> Iterator[pa.RecordBatch]
 def flat(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """(bytes, offsets): all texts of a string column behind each other; null is empty."""
     if column.null_count:
-        column = pa.compute.fill_null(column, "")
+        column = pc.fill_null(column, "")
     wide = pa.types.is_large_string(column.type)
     _, offsets, data = column.buffers()
     at = np.frombuffer(offsets, np.int64 if wide else np.int32)[column.offset : column.offset + len(column) + 1].astype(np.int64)
