@@ -105,7 +105,7 @@ def signatures(docs: DataFrame, width: int = 5, bands: int = 32, rows: int = 4)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in pieces(batch):
+            for part in pieces(batch, 1 << 20):
                 sets = shingles(*flat(part.column("text")), width)
                 keys = [_bands(super_minhash(s, bands * rows), bands) if len(s) else np.zeros(0, np.int64) for s in sets]
                 at = np.concatenate(([0], np.cumsum([len(k) for k in keys]))).astype(np.int32)
@@ -120,17 +120,13 @@ def full_sets(docs: DataFrame, width: int = 5) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in pieces(batch):
+            for part in pieces(batch, 1 << 20):
                 sets = shingles(*flat(part.column("text")), width)
                 yield pa.RecordBatch.from_arrays([pa.array([fingerprint(s) for s in sets], pa.binary()), pa.array([s.view(np.int64) for s in sets], pa.list_(pa.int64()))], names=["set_key", "elements"])
 
     return docs.mapInArrow(run, "set_key binary, elements array<long>")
 
 
-def _ratio(small: str, large: str, percent: int):
-    return F.col(small) * 100 >= F.col(large) * percent
-
-
 def near_duplicates(docs: DataFrame, percent: int = 80, width: int = 5, bands: int = 32, rows: int = 4, id: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) for every row: links at 100 * common >= percent * union.
 
@@ -143,63 +139,56 @@ def near_duplicates(docs: DataFrame, percent: int = 80, width: int = 5, bands: i
     rows_in = docs.select(F.col(id).cast("long").alias("doc_id"), F.col(text).alias("text"))
     signed = stage(signatures(rows_in, width, bands, rows), "signatures")
     classes = signed.where("n_shingles > 0").groupBy("set_key").agg(F.min("doc_id").alias("first_id"), F.first("n_shingles").alias("n"), F.min_by("bands", F.coalesce("doc_id", F.lit(2**63 - 1))).alias("bands"))
-    classes = stage(classes, "classes")
-    places = classes.select("set_key", "n", "first_id", F.explode("bands").alias("bucket"))
-    member = F.struct("set_key", "n", "first_id")
-    ends = places.groupBy("bucket").agg(F.count("*").alias("size"), F.min(member).alias("low"), F.max(member).alias("high")).where("size > 1")
-    shared = stage(places.join(ends.drop("size"), "bucket"), "buckets")
-
-    def pairs(frame: DataFrame, other: str) -> DataFrame:
-        """Rows (set_key, n, first_id, other struct) to ordered pairs that sizes allow."""
-        o = F.col(other)
-        own = F.col("set_key") < o["set_key"]
-        one = frame.where(o["set_key"] != F.col("set_key")).select(
-            *(F.when(own, F.col(c)).otherwise(o[c]).alias(f"{c}_a") for c in ("set_key", "n", "first_id")), *(F.when(own, o[c]).otherwise(F.col(c)).alias(f"{c}_b") for c in ("set_key", "n", "first_id")))
-        return one.where(F.least("n_a", "n_b") * 100 >= F.greatest("n_a", "n_b") * percent)
-
-    def sets_of(wanted: DataFrame) -> DataFrame:
-        """One set for each class (set_key, doc_id of its first row): texts of those ids alone are read again."""
-        ids = wanted.where("doc_id is not null").select("doc_id").distinct()
+    # classes are numbered once and written, so that buckets, pairs and labels are plain numbers
+    classes = stage(classes.withColumn("node", F.monotonically_increasing_id()), "classes")
+    places = classes.select("node", F.explode("bands").alias("bucket"))
+    ends = places.groupBy("bucket").agg(F.count("*").alias("size"), F.min("node").alias("low"), F.max("node").alias("high")).where("size > 1").drop("size")
+    shared = stage(places.join(ends, "bucket"), "buckets")
+    sizes = classes.select("node", "n")
+
+    def sets_of(nodes: DataFrame) -> DataFrame:
+        """(node, elements) of classes: the texts of their first rows alone are read again."""
+        wanted = classes.join(nodes, "node", "left_semi").select("node", "set_key", "first_id")
+        ids = wanted.where("first_id is not null").select(F.col("first_id").alias("doc_id")).distinct()
         named = rows_in.join(ids, "doc_id", "left_semi").unionByName(rows_in.where("doc_id is null"))
         # an id that is repeated, or null, may bring in sets nobody asked for, or one set twice
-        return full_sets(named, width).join(wanted.select("set_key"), "set_key", "left_semi").groupBy("set_key").agg(F.first("elements").alias("elements"))
+        return full_sets(named, width).join(wanted.select("node", "set_key"), "set_key").groupBy("node").agg(F.first("elements").alias("elements"))
 
     def confirm(found: DataFrame) -> DataFrame:
-        """(a, b, linked) for candidate pairs, on the sets of the documents they name."""
-        found = stage(found, "candidates")
-        sides = [found.select(F.col(f"set_key_{k}").alias("set_key"), F.col(f"first_id_{k}").alias("doc_id")) for k in "ab"]
-        sets = stage(sets_of(sides[0].unionByName(sides[1]).distinct()), "sets")
-        a = sets.select(F.col("set_key").alias("set_key_a"), F.col("elements").alias("of_a"))
-        b = sets.select(F.col("set_key").alias("set_key_b"), F.col("elements").alias("of_b"))
-        both = found.select("set_key_a", "set_key_b", "n_a", "n_b").join(a, "set_key_a").join(b, "set_key_b")
-        common = both.select("set_key_a", "set_key_b", "n_a", "n_b", F.size(F.array_intersect("of_a", "of_b")).alias("common"))
+        """(a, b, linked) for candidate pairs, on the whole sets; pairs that sizes rule out are dropped first."""
+        sized = found.join(sizes.select(F.col("node").alias("a"), F.col("n").alias("n_a")), "a").join(sizes.select(F.col("node").alias("b"), F.col("n").alias("n_b")), "b")
+        sized = stage(sized.where(F.least("n_a", "n_b") * 100 >= F.greatest("n_a", "n_b") * percent), "candidates")
+        sets = stage(sets_of(sized.select(F.col("a").alias("node")).unionByName(sized.select(F.col("b").alias("node"))).distinct()), "sets")
+        x = sets.select(F.col("node").alias("a"), F.col("elements").alias("of_a"))
+        y = sets.select(F.col("node").alias("b"), F.col("elements").alias("of_b"))
+        common = sized.join(x, "a").join(y, "b").select("a", "b", "n_a", "n_b", F.size(F.array_intersect("of_a", "of_b")).alias("common"))
         linked = F.col("common") * 100 >= (F.col("n_a") + F.col("n_b") - F.col("common")) * percent
-        return stage(common.select("set_key_a", "set_key_b", linked.alias("linked")), "confirmed")
+        return stage(common.where(linked).select("a", "b"), "confirmed")
+
+    def ordered(frame: DataFrame, x: str, y: str) -> DataFrame:
+        return frame.where(F.col(x) != F.col(y)).select(F.least(x, y).alias("a"), F.greatest(x, y).alias("b"))
 
-    first = confirm(pairs(shared, "low").unionByName(pairs(shared, "high")).distinct())
-    edges = first.where("linked").select("set_key_a", "set_key_b")
-    roots = stage(connected_components(edges), "roots")
-    placed = shared.select("bucket", "set_key", "n", "first_id").join(roots, F.col("set_key") == F.col("node"), "left").select("bucket", "set_key", "n", "first_id", F.coalesce("root", "set_key").alias("root"))
+    first = confirm(ordered(shared, "node", "low").unionByName(ordered(shared, "node", "high")).distinct())
+    roots = stage(connected_components(first), "roots")
+    placed = shared.select("bucket", "node").join(roots, "node", "left").select("bucket", "node", F.coalesce("root", "node").alias("root"))
     split = placed.groupBy("bucket").agg(F.min("root").alias("r0"), F.max("root").alias("r1"), F.count("*").alias("size")).where("r0 <> r1 and size > 2")
     open_ = stage(placed.join(split.select("bucket"), "bucket", "left_semi"), "open")
     # A shingle no other open document has is lost to every pair: what is left bounds the common part.
-    sets = stage(sets_of(open_.select("set_key", F.col("first_id").alias("doc_id")).distinct()), "sets")
-    lone = sets.select("set_key", F.explode("elements").alias("e")).groupBy("e").agg(F.count("*").alias("c"), F.min("set_key").alias("set_key")).where("c = 1").groupBy("set_key").agg(F.count("*").alias("lone"))
-    open_ = open_.join(lone, "set_key", "left").withColumn("most", F.col("n") - F.coalesce("lone", F.lit(0))).drop("lone").where(F.col("most") * 100 >= F.col("n") * percent)
+    sets = stage(sets_of(open_.select("node").distinct()), "sets")
+    lone = sets.select("node", F.explode("elements").alias("e")).groupBy("e").agg(F.count("*").alias("c"), F.min("node").alias("node")).where("c = 1").groupBy("node").agg(F.count("*").alias("lone"))
     # 32 bits an element decide inside the join, so that only likely links become rows; they are confirmed on full sets.
-    short = sets.select("set_key", F.transform("elements", lambda e: F.try_mod(e, F.lit(2**31 - 1)).cast("int")).alias("short"))
-    open_ = open_.join(short, "set_key").join(classes.select("set_key", "bands"), "set_key")
-    x = open_.select("bucket", "set_key", "n", "first_id", "root", "most", "bands", "short")
-    y = open_.select("bucket", F.struct("set_key", "n", "first_id").alias("other"), F.col("root").alias("root_y"), F.col("most").alias("most_y"), F.col("bands").alias("bands_y"), F.col("short").alias("short_y"))
-    reach = lambda common: common * 100 >= (F.col("n") + F.col("other.n") - common) * percent
-    cross = x.join(y, (x["bucket"] == y["bucket"]) & (F.col("set_key") < F.col("other.set_key")) & (F.col("root") != F.col("root_y")) & reach(F.least("most", "most_y"))
-                   & (F.get(F.array_intersect("bands", "bands_y"), F.lit(0)) == x["bucket"])  # a pair is compared in the first bucket it shares
+    short = F.transform("elements", lambda e: F.try_mod(e, F.lit(2**31 - 1)).cast("int"))
+    able = sets.join(lone, "node", "left").select("node", F.size("elements").alias("n"), (F.size("elements") - F.coalesce("lone", F.lit(0))).alias("most"), short.alias("short")).where(F.col("most") * 100 >= F.col("n") * percent)
+    open_ = open_.join(able.join(classes.select("node", "bands"), "node"), "node")
+    x = open_.select("bucket", "node", "n", "root", "most", "bands", "short")
+    y = open_.select(F.col("bucket").alias("bucket_y"), *(F.col(c).alias(f"{c}_y") for c in ("node", "n", "root", "most", "bands", "short")))
+    reach = lambda common: common * 100 >= (F.col("n") + F.col("n_y") - common) * percent
+    cross = x.join(y, (F.col("bucket") == F.col("bucket_y")) & (F.col("node") < F.col("node_y")) & (F.col("root") != F.col("root_y")) & reach(F.least("most", "most_y"))
+                   & (F.get(F.array_intersect("bands", "bands_y"), F.lit(0)) == F.col("bucket"))  # a pair is compared in the first bucket it shares
                    & reach(F.size(F.array_intersect("short", "short_y")) + F.size("short") - F.size(F.array_distinct("short"))))
-    more = pairs(cross.select("set_key", "n", "first_id", "other"), "other")
-    second = confirm(more)
-    edges = edges.unionByName(second.where("linked").select("set_key_a", "set_key_b"))
-    roots = stage(connected_components(edges), "roots")
-    named = classes.select("set_key", "first_id").join(roots, F.col("set_key") == F.col("node"), "left").select("set_key", "first_id", F.coalesce("root", "set_key").alias("root"))
+    second = confirm(ordered(cross, "node", "node_y"))
+    roots = stage(connected_components(first.unionByName(second)), "roots")
+    named = classes.select("node", "set_key", "first_id").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     least = named.groupBy("root").agg(F.min("first_id").alias("component_id"))
     final = named.join(least, "root").select("set_key", "component_id")
     out = signed.select("doc_id", "n_shingles", "set_key").join(final, "set_key", "left")
