@@ -14,8 +14,8 @@ import numpy as np
 
 MAGIC = b"RANB"
 BITS = 20
-LANES = 1024
-ROWS_BETWEEN_CHECKPOINTS = 64
+LANES = 2048
+ROWS_BETWEEN_CHECKPOINTS = 32
 _U = np.uint64
 _LOW = _U(1 << 31)
 _HEAD = struct.Struct("<4sIIIII")  # magic, ids, lanes, words, checkpoints, crc of the ids
@@ -84,7 +84,7 @@ class Coder:
     def decode(self, block: bytes, checkpoint: int = 0, rows: int | None = None) -> np.ndarray:
         """All ids of a block, or those from a checkpoint on (0: the start), for so many rows."""
         magic, n, lanes, n_words, n_marks, crc = _HEAD.unpack_from(block)
-        if magic != MAGIC or zlib.crc32(block[:-4]) != struct.unpack_from("<I", block, len(block) - 4)[0]:
+        if magic != MAGIC or zlib.crc32(memoryview(block)[:-4]) != struct.unpack_from("<I", block, len(block) - 4)[0]:
             raise ValueError("the block is damaged")
         at = _HEAD.size
         step = 8 + 8 * lanes

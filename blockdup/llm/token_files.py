@@ -27,7 +27,7 @@ from .texts import pieces
 from .words_bpe import encoder
 
 BLOCK_TOKENS = 1 << 17
-PLAIN = "part int, block int, first long, doc_ids array<long>, lengths array<int>, payload binary"
+PLAIN = "part int, block int, first long, doc_ids array<long>, lengths array<int>, payload binary, seen array<int>, times array<long>"
 SYMBOLS = 1 << 16
 
 
@@ -44,14 +44,19 @@ def token_blocks(docs: DataFrame, path: str, kind: str = "byte", end_id: int = 2
         part, block, first = TaskContext.get().partitionId(), 0, 0
         ids, lengths, codes, held = [], [], [], 0
         end = np.array([end_id], "<u2").tobytes()
+        total = np.zeros(SYMBOLS, np.int64)
 
-        def row() -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([block], pa.int32()), pa.array([first], pa.int64()), pa.array([ids], pa.list_(pa.int64())), pa.array([lengths], pa.list_(pa.int32())), pa.array([b"".join(codes)], pa.binary())], names=["part", "block", "first", "doc_ids", "lengths", "payload"])
+        def row(last: bool = False) -> pa.RecordBatch:
+            """The block in hand; the last one of a part brings the part's counts along."""
+            nonlocal total
+            payload = b"".join(codes)
+            total += np.bincount(np.frombuffer(payload, "<u2"), minlength=SYMBOLS)
+            seen = np.flatnonzero(total) if last else np.zeros(0, np.int64)
+            return pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([block], pa.int32()), pa.array([first], pa.int64()), pa.array([ids], pa.list_(pa.int64())), pa.array([lengths], pa.list_(pa.int32())), pa.array([payload], pa.binary()), pa.array([seen.astype(np.int32)], pa.list_(pa.int32())), pa.array([total[seen]], pa.list_(pa.int64()))], names=["part", "block", "first", "doc_ids", "lengths", "payload", "seen", "times"])
 
         for batch in batches:
-            for piece in pieces(batch):
-                texts = ["" if t is None else t for t in piece.column("text").to_pylist()]
-                for doc_id, code in zip(piece.column("doc_id").to_pylist(), encoder(path, kind).encode(texts), strict=True):
+            for piece in pieces(batch, 6 << 20):
+                for doc_id, code in zip(piece.column("doc_id").to_pylist(), encoder(path, kind).encode_column(piece.column("text")), strict=True):
                     n = len(code) // 2 + 1
                     ids.append(doc_id)
                     lengths.append(n)
@@ -61,24 +66,16 @@ def token_blocks(docs: DataFrame, path: str, kind: str = "byte", end_id: int = 2
                         yield row()
                         block, first, held = block + 1, first + held, 0
                         ids, lengths, codes = [], [], []
-        if ids:
-            yield row()
+        if block or ids:
+            yield row(last=True)
 
     return docs.mapInArrow(run, PLAIN)
 
 
 def token_counts(blocks: DataFrame) -> np.ndarray:
     """Occurrences of each id over all blocks; at most one row an id comes to the driver."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros(SYMBOLS, np.int64)
-        for batch in batches:
-            for x in batch.column(0):
-                total += np.bincount(np.frombuffer(x.as_buffer(), "<u2"), minlength=SYMBOLS)
-        seen = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(seen, pa.int32()), pa.array(total[seen], pa.int64())], names=["id", "n"])
-
-    rows = blocks.select("payload").mapInArrow(run, "id int, n long").groupBy("id").agg(F.sum("n").alias("n")).toPandas()
+    pairs = blocks.select(F.explode(F.arrays_zip("seen", "times")).alias("x")).select(F.col("x.seen").alias("id"), F.col("x.times").alias("n"))
+    rows = pairs.groupBy("id").agg(F.sum("n").alias("n")).toPandas()
     out = np.zeros(SYMBOLS, np.int64)
     out[rows.id.to_numpy(np.int64)] = rows.n.to_numpy(np.int64)
     return out
@@ -94,14 +91,19 @@ def _coder(freq: bytes) -> Coder:
     return _coders[freq]
 
 
-def _map_payload(blocks: DataFrame, work) -> DataFrame:
+CODED = "part int, block int, first long, doc_ids array<long>, lengths array<int>, payload binary"
+
+
+def code_blocks(plain: DataFrame, freq: bytes) -> DataFrame:
+    """Plain blocks to coded ones, each by itself."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for k in range(batch.num_rows):
                 one = batch.slice(k, 1)
-                yield one.set_column(5, "payload", pa.array([work(one.column(5)[0].as_buffer())], pa.binary()))
+                yield one.set_column(5, "payload", pa.array([_coder(freq).encode(np.frombuffer(one.column(5)[0].as_buffer(), "<u2"))], pa.binary()))
 
-    return blocks.mapInArrow(run, PLAIN)
+    return plain.select(*(c.split()[0] for c in CODED.split(", "))).mapInArrow(run, CODED)
 
 
 def write_token_files(docs: DataFrame, path: str, kind: str = "byte", end_id: int = 2) -> tuple[DataFrame, DataFrame]:
@@ -110,8 +112,7 @@ def write_token_files(docs: DataFrame, path: str, kind: str = "byte", end_id: in
     freq = zlib.compress(frequency_table(token_counts(plain), BITS).astype("<i4").tobytes())
     # the table has one entry an id of the vocabulary, a fixed size
     table = docs.sparkSession.createDataFrame([(bytearray(freq),)], "freq binary")
-    coded = _map_payload(plain, lambda buffer: _coder(freq).encode(np.frombuffer(buffer, "<u2")))
-    return stage(coded, "token-files"), stage(table, "token-table")
+    return stage(code_blocks(plain, freq), "token-files"), stage(table, "token-table")
 
 
 def read_token_files(coded: DataFrame, table: DataFrame) -> DataFrame:
@@ -126,8 +127,9 @@ def read_token_files(coded: DataFrame, table: DataFrame) -> DataFrame:
         for batch in batches:
             for start, doc_ids, lengths, payload in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), batch.column(3), strict=True):
                 ids = _coder(freq).decode(payload.as_py()).astype("<u4")
-                ends = np.cumsum(np.asarray(lengths.values, np.int64))
-                starts = np.concatenate(([0], ends[:-1]))
+                sizes = np.asarray(lengths.values, np.int64)  # the last block of a part can be empty
+                ends = np.cumsum(sizes)
+                starts = ends - sizes
                 raw = memoryview(ids.tobytes())
                 crcs = [zlib.crc32(raw[4 * a : 4 * b]) for a, b in zip(starts.tolist(), ends.tolist(), strict=True)]
                 yield pa.RecordBatch.from_arrays([pa.array(doc_ids, pa.int64()), pa.array(start + starts, pa.int64()), pa.array(ends - starts, pa.int64()), pa.array(crcs, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"])

@@ -8,11 +8,11 @@ white space, strings of special tokens) goes to the library as a whole, so the i
 from __future__ import annotations
 
 import re
-from collections.abc import Iterable
-
 import numpy as np
 from tokenizers import Tokenizer, pre_tokenizers
 
+from .texts import flat
+
 # Letters and numbers below U+0250; \s is spelt out since libraries differ on control characters.
 _L = "A-Za-zªµºÀ-ÖØ-öø-ɏ"
 _N = "0-9²³¹¼-¾"
@@ -30,6 +30,19 @@ def plain(text: str) -> bool:
     return UNUSUAL.search(text) is None
 
 
+_FLAG = np.zeros(256, bool)
+_FLAG[[0, *range(0x1C, 0x20)]] = True
+_FLAG[0xC9:] = True  # first bytes of U+0240 and above
+
+
+def all_plain(raw: np.ndarray) -> bool:
+    """Whether a row of UTF-8 texts surely holds no unusual one; False asks for a look at each."""
+    if _FLAG[raw].any():
+        return False
+    whole = raw.tobytes()
+    return not any(x in whole for x in (b"\xc2\x85", b"\xc2\xa0", b"<|", "İ".encode()))
+
+
 def cut(text: str, kind: str) -> list[str]:
     """Words of a plain text; the word vocabulary folds case first (no final-sigma rule applies below U+0250)."""
     return PATTERNS[kind].findall(text.lower() if kind == "word" else text)
@@ -38,7 +51,7 @@ def cut(text: str, kind: str) -> list[str]:
 class WordEncoder:
     """ids as little-endian unsigned 16-bit bytes a text. `keep` bounds the words remembered, not the result."""
 
-    def __init__(self, path: str, kind: str, keep: int = 500_000):
+    def __init__(self, path: str, kind: str, keep: int = 700_000):
         self.library = Tokenizer.from_file(path)
         self.library.no_truncation()
         self.library.no_padding()
@@ -47,32 +60,45 @@ class WordEncoder:
         # The same model over words that are cut already: many words a call, told apart by a NUL that no plain text has.
         self.bulk = Tokenizer.from_file(path)
         self.bulk.normalizer = None
-        self.bulk.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.Split("\0", "removed"), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
-        self.kind, self.keep, self.known = kind, keep, {}
-
-    def _learn(self, fresh: Iterable[str]) -> None:
-        fresh = list(fresh)
-        if len(self.known) + len(fresh) > self.keep:
-            self.known.clear()
-        code = self.bulk.encode("\0".join(fresh), add_special_tokens=False)
-        ids = np.array(code.ids, "<u2")
-        starts = np.searchsorted(np.array(code.word_ids, np.int64), np.arange(len(fresh) + 1))
-        raw, at = ids.tobytes(), (starts * 2).tolist()
-        self.known.update(zip(fresh, map(raw.__getitem__, map(slice, at, at[1:])), strict=False))
-
-    def encode(self, texts: list[str]) -> list[bytes]:
-        plain_ones = [plain(t) and (self.kind == "byte" or "İ" not in t) for t in texts]
-        lists = [cut(t, self.kind) if p else None for t, p in zip(texts, plain_ones, strict=True)]
-        fresh = set().union(*(x for x in lists if x is not None)).difference(self.known)
+        self.bulk.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.Split("\0", "isolated"), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
+        self.between = self.bulk.encode("\0", add_special_tokens=False).ids[0]
+        self.kind, self.keep = kind, keep
+        self.known: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
+
+    def _learn(self, fresh: list[str]) -> None:
+        """Many words a call."""
+        ids = np.array(self.bulk.encode_batch_fast(["\0".join(fresh)], add_special_tokens=False)[0].ids, "<u2")
+        cuts = (np.flatnonzero(ids == self.between) * 2).tolist()
+        starts, raw = [0, *(c + 2 for c in cuts)], ids.tobytes()
+        self.known.update(zip(fresh, map(raw.__getitem__, map(slice, starts, [*cuts, len(raw)])), strict=True))
+
+    def _prepare(self, wanted: set[str]) -> None:
+        """All wanted words are known after this. When half the room is used, words not met since then are forgotten."""
+        if len(self.known) > self.keep // 2:
+            self.older, self.known = self.known, {}
+        fresh = wanted.difference(self.known)
+        if fresh and self.older:
+            again = fresh.intersection(self.older)
+            self.known.update(zip(again, map(self.older.__getitem__, again), strict=True))
+            fresh -= again
         if fresh:
-            size = len(self.known)
-            self._learn(fresh)
-            if len(self.known) < size + len(fresh):  # it was emptied: the words known before are asked for again
-                self._learn(set().union(*(x for x in lists if x is not None)).difference(self.known))
-        get = self.known.__getitem__
+            self._learn(list(fresh))
+
+    def encode(self, texts: list[str], sure: bool = False) -> list[bytes]:
+        """`sure`: the caller knows that all texts are plain."""
+        lists = [cut(t, self.kind) if sure or (plain(t) and "İ" not in t) else None for t in texts]
+        wanted = set().union(*(x for x in lists if x is not None))
+        self._prepare(wanted)
+        # most look-ups are repeats within these texts: a small table of them stays in the processor's cache
+        get = dict(zip(wanted, map(self.known.__getitem__, wanted), strict=True)).__getitem__
         whole = lambda t: np.array(self.library.encode(t, add_special_tokens=False).ids, "<u2").tobytes()
         return [whole(text) if words is None else b"".join(map(get, words)) for words, text in zip(lists, texts, strict=True)]
 
+    def encode_column(self, column) -> list[bytes]:
+        """The texts of an Arrow column; null is empty."""
+        return self.encode(["" if t is None else t for t in column.to_pylist()], all_plain(flat(column)[0]))
+
 
 _encoders: dict[tuple[str, str], WordEncoder] = {}
 
