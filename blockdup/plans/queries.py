@@ -109,8 +109,8 @@ def clones_one_source_vs_rest(spark, d):
 
 
 def _line_sql(name: str, id: str, least: int) -> str:
-    lines = f"SELECT {id} AS file, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) AS at FROM {name}"
-    return f"SELECT file * 1048576 + at AS block_id, 'x' AS project_id, unnest(regexp_extract_all(line, '[\\p{{L}}\\p{{N}}_]+')) AS token FROM ({lines}) WHERE len(regexp_extract_all(line, '[\\p{{L}}\\p{{N}}_]+')) >= {least}"
+    lines = f"SELECT {id} AS file, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) AS ln FROM {name}"
+    return f"SELECT file * 1048576 + ln AS block_id, 'x' AS project_id, unnest(regexp_extract_all(line, '[\\p{{L}}\\p{{N}}_]+')) AS token FROM ({lines}) WHERE len(regexp_extract_all(line, '[\\p{{L}}\\p{{N}}_]+')) >= {least}"
 
 
 @query(_between_sql(_line_sql("benchmark", "item_id", 6), _line_sql("documents", "doc_id", 6)))
@@ -247,8 +247,8 @@ T2TOK = rf"SELECT doc_id AS block_id, 'x' AS project_id, unnest(regexp_extract_a
 _MS = "{p}b AS (SELECT block_id, token, count(*) AS f FROM {p}t WHERE token <> '' GROUP BY ALL), {p}s AS (SELECT block_id, sum(f) AS n FROM {p}b GROUP BY 1), {p}o AS (SELECT cl.b, cl.c, (sum(least(x.f, y.f)) * 1000 // greatest(any_value(u.n), any_value(v.n)))::INT AS pm FROM cl JOIN {p}b x ON cl.b = x.block_id JOIN {p}b y ON cl.c = y.block_id AND x.token = y.token JOIN {p}s u ON cl.b = u.block_id JOIN {p}s v ON cl.c = v.block_id GROUP BY 1, 2)"
 T2LINE = T2SQL.replace("text", "line")
 TYPED = (
-    f"WITH {CL7}, tt AS ({T2TOK}), {_MS.format(p='t')}, lt AS (SELECT doc_id AS block_id, {T2LINE} AS token FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents)), {_MS.format(p='l')}, "
-    f"norm AS (SELECT doc_id, {T1SQL} AS t1, {T2SQL} AS t2 FROM documents), ty AS (SELECT cl.b, cl.c, project_b, project_c, coalesce(lo.pm, 0) AS line_pm, coalesce(\"to\".pm, 0) AS token_pm, p.t1 = q.t1 AS same1, p.t2 = q.t2 AS same2 FROM cl LEFT JOIN lo ON cl.b = lo.b AND cl.c = lo.c LEFT JOIN \"to\" ON cl.b = \"to\".b AND cl.c = \"to\".c JOIN norm p ON cl.b = p.doc_id JOIN norm q ON cl.c = q.doc_id), "
+    f"WITH {CL7}, kt AS ({T2TOK}), {_MS.format(p='k')}, lt AS (SELECT doc_id AS block_id, {T2LINE} AS token FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents)), {_MS.format(p='l')}, "
+    f"norm AS (SELECT doc_id, {T1SQL} AS t1, {T2SQL} AS t2 FROM documents), ty AS (SELECT cl.b, cl.c, project_b, project_c, coalesce(lo.pm, 0) AS line_pm, coalesce(ko.pm, 0) AS token_pm, p.t1 = q.t1 AS same1, p.t2 = q.t2 AS same2 FROM cl LEFT JOIN lo ON cl.b = lo.b AND cl.c = lo.c LEFT JOIN ko ON cl.b = ko.b AND cl.c = ko.c JOIN norm p ON cl.b = p.doc_id JOIN norm q ON cl.c = q.doc_id), "
     "cls AS (SELECT b, c, project_b, project_c, line_pm, token_pm, least(line_pm, token_pm)::INT AS sim_pm, CASE WHEN same1 THEN 'T1' WHEN same2 THEN 'T2' WHEN least(line_pm, token_pm) >= 900 THEN 'VST3' WHEN least(line_pm, token_pm) >= 700 THEN 'ST3' WHEN least(line_pm, token_pm) >= 500 THEN 'MT3' ELSE 'WT3/T4' END AS clone_type FROM ty)"
 )
 
@@ -324,7 +324,7 @@ query("SELECT event_id, sum(value) OVER w AS running, lag(event_type) OVER (PART
     lambda s, d: table(s, d, "events").select("event_id", F.sum("value").over(Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(-2, 0)).alias("running"), F.lag("event_type").over(Window.partitionBy("user_id").orderBy("ts", "event_id")).alias("before")))
 query("SELECT json_extract_string(props, '$.k') AS k, count(*)::BIGINT AS n FROM events GROUP BY 1", "json_props")(lambda s, d: table(s, d, "events").groupBy(F.get_json_object("props", "$.k").alias("k")).agg(F.count("*").alias("n")))
 query("SELECT date_trunc('month', o_orderdate)::DATE AS month, count(*)::BIGINT AS n FROM orders GROUP BY 1", "date_buckets_orders")(lambda s, d: table(s, d, "orders").groupBy(F.trunc("o_orderdate", "month").alias("month")).agg(F.count("*").alias("n")))
-query("SELECT doc_id, length(text)::INT AS chars, upper(substr(text, 1, 10)) AS head, md5(text) AS digest, len(string_split(text, chr(10)))::INT AS lines FROM documents", "string_profile")(lambda s, d: table(s, d, "documents").select("doc_id", F.length("text").alias("chars"), F.upper(F.substring("text", 1, 10)).alias("head"), F.md5("text").alias("digest"), F.size(F.split("text", "\n")).alias("lines")))
+query("SELECT doc_id, length(text)::INT AS chars, lower(substr(text, 1, 10)) AS head, md5(text) AS digest, len(string_split(text, chr(10)))::INT AS lines FROM documents", "string_profile")(lambda s, d: table(s, d, "documents").select("doc_id", F.length("text").alias("chars"), F.lower(F.substring("text", 1, 10)).alias("head"), F.md5("text").alias("digest"), F.size(F.split("text", "\n")).alias("lines")))
 query("SELECT doc_id, lang, source, n_chars FROM documents WHERE lang = 'en'", "scan_pushdown")(lambda s, d: table(s, d, "documents").where("lang = 'en'").select("doc_id", "lang", "source", "n_chars"))
 for _f in ("json", "orc", "csv"):
     query("SELECT doc_id, lang, source, n_chars FROM documents", f"round_trip_{_f}")(lambda s, d, f=_f: round_trip(table(s, d, "documents").select("doc_id", "lang", "source", "n_chars"), f))
