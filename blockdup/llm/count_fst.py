@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from tokenizers import Tokenizer
 
 from .bpe import Vocabulary
-from .texts import pieces, span_hashes
+from .texts import held, pieces, span_hashes
 
 # Classes of characters.
 LETTER, SHORT, R, V, L, E, NUMBER, SPACE, WHITE, QUOTE, OTHER, END = range(12)
@@ -118,7 +118,7 @@ def word_starts(classes: np.ndarray, chunk: int = CHUNK) -> np.ndarray:
 class CountTransducer:
     """Bytes of a word to the number of its tokens. States are made on demand; `most` bounds the transitions kept."""
 
-    def __init__(self, vocabulary: Vocabulary, most: int = 400_000):
+    def __init__(self, vocabulary: Vocabulary, most: int = 300_000):
         self.v, self.most = vocabulary, most
         self.alive = {t[:k] for t in vocabulary.inner for k in range(1, len(t))}
         self._reset()
@@ -224,13 +224,8 @@ class TokenCounter:
         return found
 
 
-_counters: dict[str, TokenCounter] = {}
-
-
 def counter(path: str) -> TokenCounter:
-    if path not in _counters:
-        _counters[path] = TokenCounter(path)
-    return _counters[path]
+    return held(("counts", path), lambda: TokenCounter(path))
 
 
 def token_counts(docs: DataFrame, path: str, limit: int = 1024) -> DataFrame:

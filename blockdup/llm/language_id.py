@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .folds import bounded, held_out, trainable
-from .texts import pieces
+from .texts import held, pieces
 
 SAMPLE = 20_000
 DIMENSIONS = 1024
@@ -44,7 +44,7 @@ def _symbols() -> np.ndarray:
 class Profiles:
     """Vectors of letters, trigrams and documents. Trigrams' vectors are bound when first met and kept: there are at most SYMBOLS^3."""
 
-    def __init__(self, seed: int = 7, most: int = 60_000):
+    def __init__(self, seed: int = 7, most: int = 30_000):
         letters = np.random.default_rng(seed).integers(0, 2, (SYMBOLS, DIMENSIONS), dtype=np.int8) * 2 - 1
         self.letters = [np.roll(letters, GRAM - 1 - k, axis=1) for k in range(GRAM)]
         self.symbols, self.most = _symbols(), most
@@ -85,13 +85,8 @@ class Profiles:
         return n.astype(np.float32) @ self.grams[self.row[codes]]
 
 
-_profiles: list[Profiles] = []
-
-
 def profiles() -> Profiles:
-    if not _profiles:
-        _profiles.append(Profiles())
-    return _profiles[0]
+    return held(("profiles",), Profiles)
 
 
 def fit(docs: DataFrame, sample: int = SAMPLE) -> tuple[list[str], np.ndarray]:

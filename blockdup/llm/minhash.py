@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 
 from ..operators.groups import connected_components
 from ..sources.io import stage
-from .texts import LOWER, flat, mix, pieces, span_hashes, words
+from .texts import LOWER, flat, held, mix, pieces, span_hashes, words
 
 _U = np.uint64
 _STEP = _U(0x9E3779B97F4A7C15)
@@ -104,6 +104,7 @@ def signatures(docs: DataFrame, width: int = 5, bands: int = 32, rows: int = 4)
     """(doc_id, n_shingles, set_key, bands): sizes, fingerprints and band keys of whole texts. No shuffle."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held(("minhash",), dict)  # another operator's large object goes
         for batch in batches:
             for part in pieces(batch, 1 << 20):
                 sets = shingles(*flat(part.column("text")), width)
@@ -119,6 +120,7 @@ def full_sets(docs: DataFrame, width: int = 5) -> DataFrame:
     """(set_key, elements): the sets themselves, for the documents given."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held(("minhash",), dict)  # another operator's large object goes
         for batch in batches:
             for part in pieces(batch, 1 << 20):
                 sets = shingles(*flat(part.column("text")), width)

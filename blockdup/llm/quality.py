@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .folds import bounded, held_out, trainable
-from .texts import LOWER, flat, pieces, span_hashes, words
+from .texts import LOWER, flat, held, pieces, span_hashes, words
 
 LABELLED = 12_000
 UNLABELLED = 12_000
@@ -80,8 +80,9 @@ def feature_rows(docs: DataFrame, keep: tuple[str, ...] = ()) -> DataFrame:
     """(kept columns, features as bytes) of documents."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held(("quality",), dict)  # another operator's large object goes
         for batch in batches:
-            for part in pieces(batch):
+            for part in pieces(batch, 1 << 20):
                 x = features(*flat(part.column("text")))
                 yield pa.RecordBatch.from_arrays([part.column(c) for c in keep] + [pa.array([r.tobytes() for r in x], pa.binary())], names=[*keep, "x"])
 
@@ -194,8 +195,9 @@ def score(docs: DataFrame, model: dict) -> DataFrame:
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in fields.schema)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held(("quality",), dict)  # another operator's large object goes
         for batch in batches:
-            for part in pieces(batch):
+            for part in pieces(batch, 1 << 20):
                 s = scores(model, features(*flat(part.column("text"))).astype(np.float64))
                 yield part.append_column("score", pa.array(s)).append_column("predicted", pa.array((s >= THRESHOLD).astype(np.int32)))
 

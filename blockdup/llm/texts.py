@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -11,6 +11,17 @@ import pyarrow.compute as pc
 #: Bytes of text worked on at once inside a batch; one longer text is worked on alone.
 PIECE = 2 << 20
 _U = np.uint64
+_held: dict[tuple, object] = {}
+
+
+def held(key: tuple, make: Callable[[], object]) -> object:
+    """The one large object a worker keeps between tasks; another operator's takes its place, so they do not add up."""
+    if key not in _held:
+        _held.clear()
+        _held[key] = make()
+    return _held[key]
+
+
 SPACES = np.zeros(256, bool)
 SPACES[[32, *range(9, 14)]] = True
 LOWER = np.arange(256, dtype=np.uint8)

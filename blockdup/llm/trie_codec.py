@@ -17,10 +17,10 @@ from pyspark.sql import DataFrame
 from tokenizers import Tokenizer
 
 from .bpe import PrefixTrie, Vocabulary, byte_letters
-from .texts import pieces
+from .texts import held, pieces
 from .words_bpe import cut, plain
 
-KEEP = 600_000
+KEEP = 400_000
 
 
 class TrieCodec:
@@ -75,13 +75,8 @@ class TrieCodec:
         return " ".join([self.names[t] for t in ids.tolist()])
 
 
-_codecs: dict[tuple[str, str], TrieCodec] = {}
-
-
 def codec(path: str, kind: str) -> TrieCodec:
-    if (path, kind) not in _codecs:
-        _codecs[path, kind] = TrieCodec(path, kind)
-    return _codecs[path, kind]
+    return held(("trie", path, kind), lambda: TrieCodec(path, kind))
 
 
 CODES = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"

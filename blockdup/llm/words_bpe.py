@@ -11,7 +11,7 @@ import re
 import numpy as np
 from tokenizers import Tokenizer, pre_tokenizers
 
-from .texts import flat
+from .texts import flat, held
 
 # Letters and numbers below U+0250; \s is spelt out since libraries differ on control characters.
 _L = "A-Za-zªµºÀ-ÖØ-öø-ɏ"
@@ -51,7 +51,7 @@ def cut(text: str, kind: str) -> list[str]:
 class WordEncoder:
     """ids as little-endian unsigned 16-bit bytes a text. `keep` bounds the words remembered, not the result."""
 
-    def __init__(self, path: str, kind: str, keep: int = 700_000):
+    def __init__(self, path: str, kind: str, keep: int = 500_000):
         self.library = Tokenizer.from_file(path)
         self.library.no_truncation()
         self.library.no_padding()
@@ -100,11 +100,6 @@ class WordEncoder:
         return self.encode(["" if t is None else t for t in column.to_pylist()], all_plain(flat(column)[0]))
 
 
-_encoders: dict[tuple[str, str], WordEncoder] = {}
-
-
 def encoder(path: str, kind: str) -> WordEncoder:
     """The worker's encoder; it outlives the task, and what it remembers is bounded."""
-    if (path, kind) not in _encoders:
-        _encoders[path, kind] = WordEncoder(path, kind)
-    return _encoders[path, kind]
+    return held(("words", path, kind), lambda: WordEncoder(path, kind))
