@@ -34,7 +34,7 @@ def encoded(docs: DataFrame, path: str, kind: str = "word", end_id: int = 2) ->
         part, at = TaskContext.get().partitionId(), 0
         end = np.array([end_id], "<u2").tobytes()
         for batch in batches:
-            for piece in pieces(batch, 6 << 20):
+            for piece in pieces(batch, 3 << 20):
                 codes = [c + end for c in encoder(path, kind).encode_column(piece.column("text"))]
                 n = np.array([len(c) // 2 for c in codes], np.int64)
                 starts = at + np.cumsum(n) - n

@@ -55,7 +55,7 @@ def token_blocks(docs: DataFrame, path: str, kind: str = "byte", end_id: int = 2
             return pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([block], pa.int32()), pa.array([first], pa.int64()), pa.array([ids], pa.list_(pa.int64())), pa.array([lengths], pa.list_(pa.int32())), pa.array([payload], pa.binary()), pa.array([seen.astype(np.int32)], pa.list_(pa.int32())), pa.array([total[seen]], pa.list_(pa.int64()))], names=["part", "block", "first", "doc_ids", "lengths", "payload", "seen", "times"])
 
         for batch in batches:
-            for piece in pieces(batch, 6 << 20):
+            for piece in pieces(batch, 3 << 20):
                 for doc_id, code in zip(piece.column("doc_id").to_pylist(), encoder(path, kind).encode_column(piece.column("text")), strict=True):
                     n = len(code) // 2 + 1
                     ids.append(doc_id)

@@ -48,6 +48,10 @@ def cut(text: str, kind: str) -> list[str]:
     return PATTERNS[kind].findall(text.lower() if kind == "word" else text)
 
 
+#: Words a call of the library; its working memory is some hundred times a word's size.
+LEARN = 10_000
+
+
 class WordEncoder:
     """ids as little-endian unsigned 16-bit bytes a text. `keep` bounds the words remembered, not the result."""
 
@@ -83,7 +87,9 @@ class WordEncoder:
             self.known.update(zip(again, map(self.older.__getitem__, again), strict=True))
             fresh -= again
         if fresh:
-            self._learn(list(fresh))
+            words = list(fresh)
+            for at in range(0, len(words), LEARN):
+                self._learn(words[at : at + LEARN])
 
     def encode(self, texts: list[str], sure: bool = False) -> list[bytes]:
         """`sure`: the caller knows that all texts are plain."""
