@@ -8,8 +8,9 @@ white space, strings of special tokens) goes to the library as a whole, so the i
 from __future__ import annotations
 
 import re
+
 import numpy as np
-from tokenizers import Tokenizer, pre_tokenizers
+from tokenizers import Tokenizer
 
 from .texts import flat, held
 
@@ -48,8 +49,12 @@ def cut(text: str, kind: str) -> list[str]:
     return PATTERNS[kind].findall(text.lower() if kind == "word" else text)
 
 
-#: Words a call of the library; its working memory is some hundred times a word's size.
+#: Words made ready for the model at once.
 LEARN = 10_000
+#: Characters of the byte-level alphabet: visible Latin-1 characters stand for themselves, the other bytes follow from U+0100 on.
+_SHOWN = np.array([33 <= b <= 126 or 161 <= b <= 172 or b >= 174 for b in range(256)])
+_CHAR = np.where(_SHOWN, np.arange(256), 255 + np.cumsum(~_SHOWN)).astype("<u2")
+_NUL = chr(_CHAR[0])
 
 
 class WordEncoder:
@@ -61,21 +66,23 @@ class WordEncoder:
         self.library.no_padding()
         if self.library.get_vocab_size() > 1 << 16:
             raise ValueError("ids need more than 16 bits")
-        # The same model over words that are cut already: many words a call, told apart by a NUL that no plain text has.
-        self.bulk = Tokenizer.from_file(path)
-        self.bulk.normalizer = None
-        self.bulk.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.Split("\0", "isolated"), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
-        self.between = self.bulk.encode("\0", add_special_tokens=False).ids[0]
+        if any("<|" not in t.content for t in self.library.get_added_tokens_decoder().values()):
+            raise ValueError("added tokens that a plain text can hold")
+        # The library's own model takes words that are cut and spelt in its alphabet, without the cost of an encoding each.
+        self.tokens_of = self.library.model.tokenize
         self.kind, self.keep = kind, keep
         self.known: dict[str, bytes] = {}
         self.older: dict[str, bytes] = {}
 
     def _learn(self, fresh: list[str]) -> None:
-        """Many words a call."""
-        ids = np.array(self.bulk.encode_batch_fast(["\0".join(fresh)], add_special_tokens=False)[0].ids, "<u2")
-        cuts = (np.flatnonzero(ids == self.between) * 2).tolist()
-        starts, raw = [0, *(c + 2 for c in cuts)], ids.tobytes()
-        self.known.update(zip(fresh, map(raw.__getitem__, map(slice, starts, [*cuts, len(raw)])), strict=True))
+        """Ids of words not met before. They are spelt all at once, told apart by a NUL that no plain text has."""
+        spelt = _CHAR[np.frombuffer("\0".join(fresh).encode(), np.uint8)].tobytes().decode("utf-16-le").split(_NUL)
+        ids, ends, tokens_of = [], [], self.tokens_of
+        for word in spelt:
+            ids += [t.id for t in tokens_of(word)]
+            ends.append(2 * len(ids))
+        raw = np.array(ids, "<u2").tobytes()
+        self.known.update(zip(fresh, map(raw.__getitem__, map(slice, [0, *ends], ends)), strict=True))
 
     def _prepare(self, wanted: set[str]) -> None:
         """All wanted words are known after this. When half the room is used, words not met since then are forgotten."""
