@@ -9,7 +9,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.tokens import PROFILES, count_loc, token_array
+from ..functions.tokens import PROFILES, bag_of_tokens, count_loc, token_array
 
 COLUMNS = "block_id long, project_id string, file_id long, start_line int, end_line int, text string"
 
@@ -37,7 +37,8 @@ def line_blocks(df: DataFrame, id: str = "doc_id", text: str = "text", project:
 def window_blocks(df: DataFrame, width: int, step: int, id: str = "doc_id", text: str = "text", project: str | None = "source") -> DataFrame:
     """Sliding windows of `width` lines every `step`; the last one is cut short at the end of the file."""
     docs = document_blocks(df, id, text, project).withColumn("lines", F.split("text", "\n"))
-    starts = F.sequence(F.lit(1), F.greatest(F.size("lines") - width + 1, F.lit(1)), F.lit(step))
+    last = F.least(F.size("lines"), F.greatest(F.size("lines") - width + step, F.lit(1)))  # no line behind the last window
+    starts = F.sequence(F.lit(1), last, F.lit(step))
     cut = docs.select("project_id", "file_id", "lines", F.explode(starts).alias("start_line"))
     cut = cut.withColumn("end_line", F.least(F.col("start_line") + width - 1, F.size("lines")))
     return _numbered(cut.withColumn("text", F.array_join(F.slice("lines", F.col("start_line"), width), "\n")), "file_id", "start_line")
@@ -104,8 +105,9 @@ def relation_blocks(df: DataFrame, block: str, token: str, project: str | None =
 
 def session_blocks(events: DataFrame, gap: str = "1 hour") -> DataFrame:
     """A bag a user session: tokens are event types."""
-    per = events.groupBy("user_id", F.session_window("ts", gap).alias("s"), "event_type").agg(F.count("*").alias("c"))
-    return per.select(F.xxhash64("user_id", "s.start").alias("block_id"), F.col("user_id").cast("string").alias("project_id"), F.col("event_type").alias("token"), F.col("c").cast("int").alias("freq"))
+    per = events.groupBy("user_id", F.session_window("ts", gap).alias("s")).agg(F.collect_list("event_type").alias("types"))
+    each = per.select(F.xxhash64("user_id", "s.start").alias("block_id"), F.col("user_id").cast("string").alias("project_id"), F.explode("types").alias("token"))
+    return bag_of_tokens(each)
 
 
 def size_limits(blocks: DataFrame, profile: str = "prose", min_lines: int = 0, max_lines: int | None = None, min_tokens: int = 0, max_tokens: int | None = None) -> DataFrame:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import time
 
 from pyspark.sql import DataFrame, SparkSession
@@ -111,3 +112,82 @@ def scaling(spark: SparkSession, docs: DataFrame, shares: tuple[int, ...] = (100
         pairs = detect.detect_clones(part).count()
         out.append({"share_pm": share, "blocks": part.count(), "lines": part.agg(F.sum("end_line")).first()[0] or 0, "pairs": pairs, "seconds": time.time() - began})
     return out
+
+
+def lookup_latency(spark: SparkSession, blocks: DataFrame, theta_pm: int = 700) -> list[tuple]:
+    """(source, matches, seconds): the blocks of three sources looked up in one stored index of all the others."""
+    path, asked = f"{shared_folder(spark)}/index-{time.time_ns()}", ("src0", "src1", "src2")
+    repo = IndexedRepository.build(blocks.where(~F.col("project_id").isin(*asked)), path, theta_pm)
+    out = []
+    for source in asked:
+        began = time.time()
+        matches = repo.query(blocks.where(F.col("project_id") == source)).count()
+        out.append((source, matches, time.time() - began))
+    return out
+
+
+def whole_repository(blocks: DataFrame, theta_pm: int = 700) -> dict:
+    """Counts and seconds of each stage over all blocks within the limits for whole repositories."""
+    from .measures import coverage
+
+    seconds, began = {}, time.time()
+
+    def lap(name: str) -> None:
+        nonlocal began
+        seconds[f"{name}_seconds"], began = time.time() - began, time.time()
+
+    limited = size_limits(blocks, min_lines=baselines.PRESETS["large"]["min_lines"])
+    ordered = stage(detect.order_of(limited), "ordered")
+    lap("order")
+    postings = partial_index(ordered, theta_pm).count()
+    lap("index")
+    pairs = stage(detect.detect_ordered(ordered, theta_pm, staged=False), "pairs")
+    lap("detect")
+    covered = coverage(pairs, ordered).first()
+    return {"blocks": covered.blocks, "postings": postings, "pairs": pairs.count(), "covered": covered.covered, **seconds}
+
+
+def band_recall_detectors(docs: DataFrame, detectors: tuple[str, ...] = ("bag", "token_runs", "gapped_runs", "line_lcs")) -> DataFrame:
+    """Recall by band and locality of each detector on the same edited copies."""
+    out = None
+    for name in detectors:
+        rows = band_recall(docs, detector=name).withColumn("detector", F.lit(name))
+        out = rows if out is None else out.unionByName(rows)
+    return out
+
+
+def near_miss_code() -> dict[str, str]:
+    """A function, and copies of it that do the same or nearly the same with other statements."""
+    names = [chr(97 + k) for k in range(16)]
+    work = [f"  a{x} = b{x} + c{x} * d{x};" for x in names]
+    tests = ["  if (n > 3) {", "    n = n - 1;", "  }", "  if (n < 9) {", "    n = n + 2;", "  }"]
+    loop = ["  for (i = 0; i < n; i++) { total += i; }"]
+    whole = lambda *parts: "\n".join(["int work(int n) {", *(x for p in parts for x in p), "}"])
+    return {
+        "original": whole(work, tests, loop),
+        "statements_swapped": whole(work[:7], [work[8], work[7]], work[9:], tests, loop),
+        "conditions_joined": whole(work[:8], ["  if (n > 3 && n < 9) {", "    n = n - 1;", "    n = n + 2;", "  }"], work[8:], loop),
+        "operators_changed": whole([x.replace("+", "-") for x in work], tests, loop),
+        "loop_rewritten": whole(work[:8], ["  i = 0;", "  while (i < n) { total += i; i++; }"], work[8:], tests),
+    }
+
+
+def near_misses(spark: SparkSession) -> DataFrame:
+    """(kind, detector, detected): whether the original is reported with each copy; equal runs count if they span the copy."""
+    made = near_miss_code()
+    kinds = [k for k in made if k != "original"]
+    rows = [(0, "original", made["original"]), *((k + 1, "copy", made[kind]) for k, kind in enumerate(kinds))]
+    blocks = spark.createDataFrame(rows, "block_id long, project_id string, text string")
+    tokens = len(re.findall(r"\w+", made["original"]))
+    found = {
+        "bag": detect.detect_clones(blocks, 700, profile="java"),
+        "token_runs": baselines.token_runs(blocks).where(F.col("longest") * 1000 >= tokens * 990),
+        "gapped_runs": baselines.gapped_runs(blocks),
+    }
+    named = spark.createDataFrame([(k + 1, kind) for k, kind in enumerate(kinds)], "copy long, kind string")
+    out = None
+    for name, pairs in found.items():
+        hit = pairs.where(F.least("b", "c") == 0).select(F.greatest("b", "c").alias("copy"), F.lit(True).alias("hit")).distinct()
+        row = named.join(hit, "copy", "left").select("kind", F.lit(name).alias("detector"), F.coalesce("hit", F.lit(False)).alias("detected"))
+        out = row if out is None else out.unionByName(row)
+    return out

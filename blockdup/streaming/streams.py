@@ -57,6 +57,13 @@ def deduplicated(events: DataFrame, late: str = "1 hour") -> DataFrame:
     return events.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"]).select("event_id", "user_id")
 
 
+def clicks_and_purchases(events: DataFrame, within: str = "1 hour", late: str = "1 hour") -> DataFrame:
+    """(click, purchase) of one user at most `within` apart: watermarks on both sides bound the state kept."""
+    side = lambda kind: events.where(F.col("event_type") == kind).withWatermark("ts", late).select(F.col("event_id").alias(kind), F.col("user_id").alias(f"{kind}_user"), F.col("ts").alias(f"{kind}_ts"))
+    near = F.expr(f"purchase_ts BETWEEN click_ts - INTERVAL {within} AND click_ts + INTERVAL {within}")
+    return side("click").join(side("purchase"), (F.col("click_user") == F.col("purchase_user")) & near).select("click", "purchase")
+
+
 def user_bags(events: DataFrame) -> DataFrame:
     """Running bag of event types of each user, kept as state; every batch emits the bags it changed."""
 
