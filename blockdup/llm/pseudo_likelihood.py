@@ -5,9 +5,9 @@ layer, and a softmax in two levels (a class of words, then the word in its class
 sum of the conditional log-probabilities of its words.
 
 The vocabulary is counted over all documents. Training covers all documents too: in each round every task
-starts from the shared network, learns from every STRIDE-th word of its documents, and returns its network;
-networks are averaged with the words seen as weights, in two steps, so the driver gets PARTIALS of them at
-most. Defined cases: null or empty text has no word and the score 0; words outside the vocabulary are one
+starts from the shared network, learns from its share of the words of each of its documents, and returns its
+network; over the rounds every word is a target once. Networks are averaged with the words seen as weights, in
+two steps, so the driver gets PARTIALS of them at most. Defined cases: null or empty text has no word and the score 0; words outside the vocabulary are one
 word of their own; rows that repeat an id are documents of their own; other columns are ignored; an empty
 table gives an empty result.
 """
@@ -26,7 +26,7 @@ from .texts import LOWER, flat, pieces, span_hashes, words
 CLASSES, PER_CLASS = 48, 48
 VOCABULARY = CLASSES * PER_CLASS
 SIDE, EMBED, HIDDEN = 2, 12, 24
-STRIDE, ROUNDS, BATCH, RATE = 12, 2, 2048, 0.15
+ROUNDS, BATCH, RATE = 2, 2048, 0.15
 PARTIALS = 8
 SHAPES = {
     "embed": (VOCABULARY + 1, EMBED), "mix": (2 * SIDE, EMBED, HIDDEN), "hidden": (HIDDEN,), "top": (HIDDEN, CLASSES), "top_bias": (CLASSES,),
@@ -104,16 +104,10 @@ def tables(p: dict[str, np.ndarray]) -> np.ndarray:
     return np.einsum("ve,keh->kvh", p["embed"], p["mix"])
 
 
-def hidden_layer(p: dict, t: np.ndarray, context: np.ndarray) -> np.ndarray:
-    z = t[0][context[:, 0]]
-    for k in range(1, 2 * SIDE):
-        z = z + t[k][context[:, k]]
-    return np.tanh(z + p["hidden"])
-
-
-def _log_softmax(z: np.ndarray) -> np.ndarray:
-    z = z - z.max(axis=1, keepdims=True)
-    return z - np.log(np.exp(z).sum(axis=1, keepdims=True))
+def hidden_layer(p: dict, context: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(hidden layer, embeddings of the whole window side by side)."""
+    e = p["embed"][context].reshape(len(context), 2 * SIDE * EMBED)
+    return np.tanh(e @ p["mix"].reshape(-1, HIDDEN) + p["hidden"]), e
 
 
 def class_of(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -121,52 +115,80 @@ def class_of(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return ids % CLASSES, ids // CLASSES
 
 
+def by_class(target: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, list[tuple[int, int, int]]]:
+    """(order, classes, words in them, (class, from, to) of each class met): rows of one class behind each other."""
+    c, w = class_of(target)
+    order = np.argsort(c.astype(np.uint8), kind="stable")
+    c = c[order]
+    cuts = np.searchsorted(c, np.arange(CLASSES + 1)).tolist()
+    return order, c, w[order], [(k, a, b) for k, (a, b) in enumerate(zip(cuts[:-1], cuts[1:], strict=True)) if b > a]
+
+
+def inner_logits(p: dict, h: np.ndarray, c: np.ndarray, runs: list[tuple[int, int, int]]) -> np.ndarray:
+    """Logits of the words of each row's class, rows in order of classes."""
+    z = np.empty((len(h), PER_CLASS), np.float32)
+    for k, a, b in runs:
+        np.matmul(h[a:b], p["low"][k], out=z[a:b])
+    z += p["low_bias"][c]
+    return z
+
+
+def _exp(z: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(sum, most) of each row; z becomes its exponentials after the largest is taken off."""
+    most = z.max(axis=1, keepdims=True)
+    z -= most
+    np.exp(z, out=z)
+    return z @ np.ones(z.shape[1], np.float32), most[:, 0]
+
+
 def log_probabilities(p: dict, context: np.ndarray, target: np.ndarray) -> np.ndarray:
     """log p(word | both sides) for each row."""
-    h = hidden_layer(p, tables(p), context)
-    c, w = class_of(target)
-    out = np.take_along_axis(_log_softmax(h @ p["top"] + p["top_bias"]), c[:, None], 1)[:, 0].astype(np.float64)
-    order = np.argsort(c, kind="stable")
-    cuts = np.searchsorted(c[order], np.arange(CLASSES + 1))
-    for k in range(CLASSES):
-        rows = order[cuts[k] : cuts[k + 1]]
-        if len(rows):
-            inner = _log_softmax(h[rows] @ p["low"][k] + p["low_bias"][k])
-            out[rows] += inner[np.arange(len(rows)), w[rows]]
+    order, c, w, runs = by_class(target)
+    h, rows = hidden_layer(p, context[order])[0], np.arange(len(order))
+    logs = np.zeros(len(order))
+    for z, y in ((h @ p["top"] + p["top_bias"], c), (inner_logits(p, h, c, runs), w)):
+        chosen = z[rows, y]
+        total, most = _exp(z)
+        logs += chosen - most - np.log(total)
+    out = np.empty(len(order))
+    out[order] = logs
     return out
 
 
 def learn(p: dict, context: np.ndarray, target: np.ndarray, rate: float) -> None:
     """One step of gradient descent over a batch, in place."""
-    n, (c, w) = len(target), class_of(target)
-    h = hidden_layer(p, tables(p), context)
-    top = np.exp(_log_softmax(h @ p["top"] + p["top_bias"]))
-    top[np.arange(n), c] -= 1
-    back = top @ p["top"].T
-    p["top"] -= rate * (h.T @ top) / n
-    p["top_bias"] -= rate * top.mean(0)
-    order = np.argsort(c, kind="stable")
-    cuts = np.searchsorted(c[order], np.arange(CLASSES + 1))
-    for k in range(CLASSES):
-        rows = order[cuts[k] : cuts[k + 1]]
-        if not len(rows):
-            continue
-        low = np.exp(_log_softmax(h[rows] @ p["low"][k] + p["low_bias"][k]))
-        low[np.arange(len(rows)), w[rows]] -= 1
-        back[rows] += low @ p["low"][k].T
-        scale = rate * (CLASSES / 4) / n  # a class sees a share of the batch
-        p["low"][k] -= scale * (h[rows].T @ low)
-        p["low_bias"][k] -= scale * low.sum(0)
-    d = back * (1 - h * h)
-    p["hidden"] -= rate * d.mean(0)
-    for k in range(2 * SIDE):
-        e = p["embed"][context[:, k]]
-        grad = d @ p["mix"][k].T
-        p["mix"][k] -= rate * (e.T @ d) / n
-        np.add.at(p["embed"], context[:, k], -(rate * 8 / n) * grad)
-
-
-def _rounds(docs: DataFrame, vocab: np.ndarray, shared: bytes, rate: float) -> bytes:
+    n = len(target)
+    order, c, w, runs = by_class(target)
+    context, rows = context[order], np.arange(n)
+    h, e = hidden_layer(p, context)
+    top, low = h @ p["top"] + p["top_bias"], inner_logits(p, h, c, runs)
+    for z, y in ((top, c), (low, w)):
+        z /= _exp(z)[0][:, None]
+        z[rows, y] -= 1
+    back, inner = top @ p["top"].T, np.empty_like(h)
+    p["top"] -= rate / n * (h.T @ top)
+    p["top_bias"] -= rate / n * top.sum(0)
+    scale = rate * (CLASSES / 4) / n  # a class sees a share of the batch
+    for k, a, b in runs:
+        np.matmul(low[a:b], p["low"][k].T, out=inner[a:b])
+        p["low"][k] -= scale * (h[a:b].T @ low[a:b])
+    p["low_bias"][[k for k, _, _ in runs]] -= scale * np.add.reduceat(low, [a for _, a, _ in runs], axis=0)
+    d = (back + inner) * (1 - h * h)
+    p["hidden"] -= rate / n * d.sum(0)
+    mixed = p["mix"].reshape(-1, HIDDEN)
+    grad = d @ mixed.T
+    mixed -= rate / n * (e.T @ d)
+    at = (context[:, :, None] * EMBED + np.arange(EMBED)).ravel()
+    p["embed"] -= np.bincount(at, grad.ravel() * (rate * 8 / n), (VOCABULARY + 1) * EMBED).reshape(-1, EMBED).astype(np.float32)
+
+
+def targets(before: np.ndarray, turn: int, rounds: int) -> np.ndarray:
+    """Places learned from in one round: in each text from word `turn` on every rounds-th, whatever task it is in."""
+    n = np.diff(before)
+    return np.flatnonzero((np.arange(n.sum()) - np.repeat(before[:-1], n)) % rounds == turn)
+
+
+def _rounds(docs: DataFrame, vocab: np.ndarray, shared: bytes, rate: float, turn: int, rounds: int) -> bytes:
     """One round: local training in every task, then the weighted mean of all networks."""
 
     def local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -174,10 +196,10 @@ def _rounds(docs: DataFrame, vocab: np.ndarray, shared: bytes, rate: float) -> b
         for batch in batches:
             for part in pieces(batch):
                 ids, before = ids_of(*flat(part.column(0)), vocab)
-                places = np.arange(seen % STRIDE, len(ids), STRIDE)
-                context, target = contexts(ids, before, places), ids[places]
-                for at in range(0, len(places), BATCH):
-                    learn(p, context[at : at + BATCH], target[at : at + BATCH], rate)
+                places = targets(before, turn, rounds)
+                context, target, steps = contexts(ids, before, places), ids[places], -(-len(places) // BATCH)
+                for k in range(steps):  # each batch is spread over the piece
+                    learn(p, context[k::steps], target[k::steps], rate)
                 seen += len(places)
         if seen:
             yield pa.RecordBatch.from_arrays([pa.array([float(seen)]), pa.array([packed(p)], pa.binary())], names=["n", "p"])
@@ -203,7 +225,7 @@ def fit(docs: DataFrame, rounds: int = ROUNDS) -> tuple[np.ndarray, bytes]:
     """(vocabulary, network)."""
     vocab, shared = vocabulary(docs), packed(initial())
     for k in range(rounds):
-        shared = _rounds(docs, vocab, shared, RATE / (k + 1))
+        shared = _rounds(docs, vocab, shared, RATE / (k + 1), k, rounds)
     return vocab, shared
 
 
@@ -216,8 +238,8 @@ def score(docs: DataFrame, vocab: np.ndarray, network: bytes) -> DataFrame:
             for part in pieces(batch, 1 << 20):
                 ids, before = ids_of(*flat(part.column("text")), vocab)
                 logs = np.empty(len(ids))
-                for at in range(0, len(ids), 1 << 16):
-                    places = np.arange(at, min(len(ids), at + (1 << 16)))
+                for at in range(0, len(ids), 1 << 13):
+                    places = np.arange(at, min(len(ids), at + (1 << 13)))
                     logs[places] = log_probabilities(p, contexts(ids, before, places), ids[places])
                 sums = np.array([logs[a:b].sum() for a, b in zip(before[:-1].tolist(), before[1:].tolist(), strict=True)])
                 n = np.diff(before)

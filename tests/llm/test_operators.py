@@ -224,6 +224,16 @@ def test_pseudo_likelihood(spark, odd):
     assert got[got.doc_id.isin([0, 90])].n_words.tolist() == [0, 0]
 
 
+def test_pseudo_likelihood_learns_from_every_word(spark):
+    docs = spark.createDataFrame([(0, " ".join(["often", *["always"] * 11] * 2))], "doc_id long, text string")
+    vocab, net = pseudo_likelihood.fit(docs)
+    bias = pseudo_likelihood.unpacked(net)["top_bias"]  # the commonest word has id 1, the other 2
+    assert bias[1] > bias[2] > bias[3]
+    before = np.array([0, 1, 1, 3, 104])
+    places = [pseudo_likelihood.targets(before, k, 2) for k in range(2)]
+    assert np.sort(np.concatenate(places)).tolist() == list(range(104))
+
+
 def test_pipeline_stages(spark, tmp_path):
     import corpus_pipeline as c
 
