@@ -2,13 +2,16 @@
 
 Every word is predicted from the words on both sides of it, itself masked: window embeddings, one hidden
 layer, and a softmax in two levels (a class of words, then the word in its class). A document's score is the
-sum of the conditional log-probabilities of its words.
+sum of the conditional log-probabilities of its words. Words outside the vocabulary are spelled: to the
+network's log-probability of "some other word" comes that of each byte given the two before it, and of the
+end, by counts over all such words of all documents. So every word has a probability of its own; only as
+neighbours do these words look alike.
 
 The vocabulary is counted over all documents. Training covers all documents too: in each round every task
 starts from the shared network, learns from its share of the words of each of its documents, and returns its
 network; over the rounds every word is a target once. Networks are averaged with the words seen as weights, in
-two steps, so the driver gets PARTIALS of them at most. Defined cases: null or empty text has no word and the score 0; words outside the vocabulary are one
-word of their own; rows that repeat an id are documents of their own; other columns are ignored; an empty
+two steps, so the driver gets PARTIALS of them at most. Defined cases: null or empty text has no word and the score 0; a byte never met in spelling has a small
+share; rows that repeat an id are documents of their own; other columns are ignored; an empty
 table gives an empty result.
 """
 
@@ -28,6 +31,10 @@ VOCABULARY = CLASSES * PER_CLASS
 SIDE, EMBED, HIDDEN = 2, 12, 24
 ROUNDS, BATCH, RATE = 2, 2048, 0.15
 PARTIALS = 8
+#: Bytes and the border of a word; the second byte back by its low bits, which tell letters apart, and the border.
+SIGNS, BACK = 257, 33
+#: Spelling counts are mixed with those of shorter contexts, which weigh as so many.
+WEIGHT = 16.0
 SHAPES = {
     "embed": (VOCABULARY + 1, EMBED), "mix": (2 * SIDE, EMBED, HIDDEN), "hidden": (HIDDEN,), "top": (HIDDEN, CLASSES), "top_bias": (CLASSES,),
     "low": (CLASSES, HIDDEN, PER_CLASS), "low_bias": (CLASSES, PER_CLASS),
@@ -59,15 +66,56 @@ def vocabulary(docs: DataFrame) -> np.ndarray:
 
 def ids_of(raw: np.ndarray, offsets: np.ndarray, vocab: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(word ids, words before each text)."""
+    return read_words(raw, offsets, vocab)[:2]
+
+
+def read_words(raw: np.ndarray, offsets: np.ndarray, vocab: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(word ids, words before each text, spelling of the words with id 0, signs before each of these)."""
     low = LOWER[raw]
     starts, ends, before = words(low, offsets)
     h = span_hashes(low, starts, ends).view(np.int64)
-    if not len(vocab):
-        return np.zeros(len(h), np.int64), before
-    order = np.argsort(vocab)
-    at = np.minimum(np.searchsorted(vocab, h, sorter=order), len(vocab) - 1)
-    rank = order[at]
-    return np.where(vocab[rank] == h, rank + 1, 0), before
+    if len(vocab):
+        order = np.argsort(vocab)
+        at = np.minimum(np.searchsorted(vocab, h, sorter=order), len(vocab) - 1)
+        rank = order[at]
+        ids = np.where(vocab[rank] == h, rank + 1, 0)
+    else:
+        ids = np.zeros(len(h), np.int64)
+    rare = ids == 0
+    return ids, before, *spelled(low, starts[rare], ends[rare])
+
+
+def spelled(low: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(codes, signs before each word): each byte of each word and its end, with the two signs before it."""
+    n = ends - starts + 1
+    borders = np.zeros(len(n) + 1, np.int64)
+    np.cumsum(n, out=borders[1:])
+    first, last = borders[:-1], borders[1:] - 1
+    at = np.arange(borders[-1])
+    at += np.repeat(starts - first, n)
+    at[last] = 0
+    sign = low[at].astype(np.int32) if len(low) else np.zeros(0, np.int32)
+    sign[last] = SIGNS - 1
+    one = np.empty_like(sign)
+    one[1:] = sign[:-1]
+    one[first] = SIGNS - 1
+    two = np.empty_like(sign)
+    two[1:] = one[:-1]
+    two &= 31
+    two[one == SIGNS - 1] = BACK - 1
+    second = first + 1
+    two[second] = BACK - 1  # a word has a byte and its end at least
+    return (two * SIGNS + one) * SIGNS + sign, borders
+
+
+def spelling(counts: np.ndarray) -> np.ndarray:
+    """log p(sign | two signs before) for each code, from counts of codes."""
+    three = counts.reshape(BACK, SIGNS, SIGNS).astype(np.float64)
+    two = three.sum(0)
+    one = (two.sum(0) + 1) / (two.sum() + SIGNS)
+    two = (two + WEIGHT * one) / (two.sum(1, keepdims=True) + WEIGHT)
+    three = (three + WEIGHT * two) / (three.sum(2, keepdims=True) + WEIGHT)
+    return np.log(three).astype("<f4").ravel()
 
 
 def contexts(ids: np.ndarray, before: np.ndarray, places: np.ndarray) -> np.ndarray:
@@ -99,6 +147,11 @@ def unpacked(raw) -> dict[str, np.ndarray]:
     return out
 
 
+def unpacked_spelling(raw) -> np.ndarray:
+    """The log-probabilities of signs, which stand behind the network."""
+    return np.frombuffer(raw, "<f4", offset=4 * sum(int(np.prod(s)) for s in SHAPES.values()))
+
+
 def tables(p: dict[str, np.ndarray]) -> np.ndarray:
     """What each word adds to the hidden layer at each place of the window: [places, words, hidden]."""
     return np.einsum("ve,keh->kvh", p["embed"], p["mix"])
@@ -188,59 +241,76 @@ def targets(before: np.ndarray, turn: int, rounds: int) -> np.ndarray:
     return np.flatnonzero((np.arange(n.sum()) - np.repeat(before[:-1], n)) % rounds == turn)
 
 
-def _rounds(docs: DataFrame, vocab: np.ndarray, shared: bytes, rate: float, turn: int, rounds: int) -> bytes:
-    """One round: local training in every task, then the weighted mean of all networks."""
+def _rounds(docs: DataFrame, vocab: np.ndarray, shared: bytes, rate: float, turn: int, rounds: int) -> tuple[bytes, np.ndarray]:
+    """One round: (weighted mean of the networks trained in all tasks, counts of spelling codes, made in the first round)."""
+    schema, codes = "n double, p binary, code binary, times binary", BACK * SIGNS * SIGNS
+
+    def made(n: float, p: bytes, counts: np.ndarray) -> pa.RecordBatch:
+        met = np.flatnonzero(counts)
+        return pa.RecordBatch.from_arrays([pa.array([n]), *(pa.array([x], pa.binary()) for x in (p, met.astype("<i4").tobytes(), counts[met].astype("<i8").tobytes()))], names=["n", "p", "code", "times"])
+
+    def add(counts: np.ndarray, code, times) -> None:
+        counts[np.frombuffer(code, "<i4")] += np.frombuffer(times, "<i8")
 
     def local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        p, seen = unpacked(shared), 0
+        p, seen, counts = unpacked(shared), 0, np.zeros(codes, np.int64)
         for batch in batches:
             for part in pieces(batch):
-                ids, before = ids_of(*flat(part.column(0)), vocab)
+                ids, before, signs, _ = read_words(*flat(part.column(0)), vocab)
+                if turn == 0:
+                    counts += np.bincount(signs, minlength=codes)
                 places = targets(before, turn, rounds)
                 context, target, steps = contexts(ids, before, places), ids[places], -(-len(places) // BATCH)
                 for k in range(steps):  # each batch is spread over the piece
                     learn(p, context[k::steps], target[k::steps], rate)
                 seen += len(places)
         if seen:
-            yield pa.RecordBatch.from_arrays([pa.array([float(seen)]), pa.array([packed(p)], pa.binary())], names=["n", "p"])
+            yield made(float(seen), packed(p), counts)
 
     def mean(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        n, total = 0.0, None
+        n, total, counts = 0.0, None, np.zeros(codes, np.int64)
         for batch in batches:
             for k in range(batch.num_rows):
                 m, p = batch.column(0)[k].as_py(), np.frombuffer(batch.column(1)[k].as_buffer(), "<f4").astype(np.float64)
                 total = p * m if total is None else total + p * m
                 n += m
+                add(counts, batch.column(2)[k].as_buffer(), batch.column(3)[k].as_buffer())
         if n:
-            yield pa.RecordBatch.from_arrays([pa.array([n]), pa.array([(total / n).astype("<f4").tobytes()], pa.binary())], names=["n", "p"])
+            yield made(n, (total / n).astype("<f4").tobytes(), counts)
 
-    rows = docs.select("text").mapInArrow(local, "n double, p binary").repartition(PARTIALS).mapInArrow(mean, "n double, p binary").collect()
+    rows = docs.select("text").mapInArrow(local, schema).repartition(PARTIALS).mapInArrow(mean, schema).collect()
+    counts = np.zeros(codes, np.int64)
     if not rows:
-        return shared
+        return shared, counts
+    for r in rows:
+        add(counts, bytes(r.code), bytes(r.times))
     n = sum(r.n for r in rows)
-    return sum(np.frombuffer(bytes(r.p), "<f4").astype(np.float64) * (r.n / n) for r in rows).astype("<f4").tobytes()
+    return sum(np.frombuffer(bytes(r.p), "<f4").astype(np.float64) * (r.n / n) for r in rows).astype("<f4").tobytes(), counts
 
 
 def fit(docs: DataFrame, rounds: int = ROUNDS) -> tuple[np.ndarray, bytes]:
-    """(vocabulary, network)."""
-    vocab, shared = vocabulary(docs), packed(initial())
+    """(vocabulary, network with the spelling behind it)."""
+    vocab, shared, counts = vocabulary(docs), packed(initial()), 0
     for k in range(rounds):
-        shared = _rounds(docs, vocab, shared, RATE / (k + 1), k, rounds)
-    return vocab, shared
+        shared, met = _rounds(docs, vocab, shared, RATE / (k + 1), k, rounds)
+        counts = counts + met
+    return vocab, shared + spelling(counts).tobytes()
 
 
 def score(docs: DataFrame, vocab: np.ndarray, network: bytes) -> DataFrame:
     """(doc_id, n_words, log_likelihood, per_word): sums over all words of whole texts; per_word is null without words."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        p = unpacked(network)
+        p, letters = unpacked(network), unpacked_spelling(network)
         for batch in batches:
             for part in pieces(batch, 1 << 20):
-                ids, before = ids_of(*flat(part.column("text")), vocab)
+                ids, before, signs, borders = read_words(*flat(part.column("text")), vocab)
                 logs = np.empty(len(ids))
                 for at in range(0, len(ids), 1 << 13):
                     places = np.arange(at, min(len(ids), at + (1 << 13)))
                     logs[places] = log_probabilities(p, contexts(ids, before, places), ids[places])
+                if len(signs):
+                    logs[ids == 0] += np.add.reduceat(letters[signs].astype(np.float64), borders[:-1])
                 sums = np.array([logs[a:b].sum() for a, b in zip(before[:-1].tolist(), before[1:].tolist(), strict=True)])
                 n = np.diff(before)
                 per = pa.array(sums / np.maximum(n, 1), mask=n == 0)

@@ -234,6 +234,27 @@ def test_pseudo_likelihood_learns_from_every_word(spark):
     assert np.sort(np.concatenate(places)).tolist() == list(range(104))
 
 
+def test_pseudo_likelihood_spells_words_outside_the_vocabulary(spark):
+    common = [f"c{k}" for k in range(pseudo_likelihood.VOCABULARY)] * 2
+    rare = [a + b + c for a in ("ba", "lo", "ti", "re") for b in ("na", "mo", "si", "du") for c in ("ra", "no", "li", "te")]
+    asked = {100: "c1 bamoli c2", 101: "c1 timosi c2", 102: "c1 xqzjkv c2", 103: "c1 nqaab\u65e5 c2"}
+    docs = spark.createDataFrame([(0, " ".join(common + rare)), (1, " ".join(common))], "doc_id long, text string")
+    vocab, net = pseudo_likelihood.fit(docs)
+    got = rows_of(pseudo_likelihood.score(spark.createDataFrame(list(asked.items()), "doc_id long, text string"), vocab, net)).set_index("doc_id").log_likelihood
+    assert got.nunique() == 4 and min(got[100], got[101]) > max(got[102], got[103])
+    letters = pseudo_likelihood.unpacked_spelling(net)
+    assert np.allclose(np.exp(letters.astype(float)).reshape(-1, pseudo_likelihood.SIGNS).sum(1), 1, atol=1e-4)
+    # by hand: the words differ in their bytes alone, the network sees the same
+    by_hand = {}
+    for k, text in asked.items():
+        word, edge, total = [*text.split()[1].encode(), 256], 256, 0.0
+        for j, sign in enumerate(word):
+            one, two = word[j - 1] if j else edge, word[j - 2] % 32 if j > 1 else 32
+            total += letters[(two * 257 + one) * 257 + sign]
+        by_hand[k] = total
+    assert all(abs(got[k] - got[100] - by_hand[k] + by_hand[100]) < 1e-3 for k in asked)
+
+
 def test_pipeline_stages(spark, tmp_path):
     import corpus_pipeline as c
 
