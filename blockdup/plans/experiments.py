@@ -34,7 +34,7 @@ def reports(blocks: DataFrame, detector: str, theta_pm: int = 700) -> DataFrame:
     """(b, c) of one detector, both orders of ids."""
     runs = {
         "bag": lambda: detect.detect_clones(blocks, theta_pm), "token_runs": lambda: baselines.token_runs(blocks), "gapped_runs": lambda: baselines.gapped_runs(blocks),
-        "line_lcs": lambda: baselines.line_lcs(blocks, **baselines.PRESETS["line_lcs"]), "vectors": lambda: baselines.vector_windows(blocks, step=8),
+        "line_lcs": lambda: baselines.line_lcs(blocks, **baselines.PRESETS["line_lcs"]), "vectors": lambda: baselines.vector_windows(blocks, **baselines.PRESETS["vectors"]),
     }
     found = runs[detector]().select("b", "c")
     return found.unionByName(found.select(F.col("c").alias("b"), F.col("b").alias("c"))).distinct()

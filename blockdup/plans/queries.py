@@ -274,7 +274,7 @@ for _l, _sql in (("t1", T1SQL), ("t2", T2SQL)):
 query(name="token_runs")(lambda s, d: baselines.token_runs(docs_of(s, d)))
 query(name="gapped_runs")(lambda s, d: baselines.gapped_runs(docs_of(s, d)))
 query(name="line_lcs")(lambda s, d: baselines.line_lcs(docs_of(s, d)))
-query(name="vector_windows")(lambda s, d: baselines.vector_windows(docs_of(s, d), step=32))
+query(name="vector_windows")(lambda s, d: baselines.vector_windows(docs_of(s, d), **baselines.PRESETS["vectors"]))
 query("SELECT x.vec_id AS b, y.vec_id AS c FROM embeddings x JOIN embeddings y ON x.vec_id < y.vec_id AND list_cosine_similarity(x.embedding::DOUBLE[], y.embedding::DOUBLE[]) >= 0.6", "embedding_cosine")(lambda s, d: baselines.embedding_cosine(table(s, d, "embeddings"), 0.6))
 
 # ---------------------------------------------------------------- experiments

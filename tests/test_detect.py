@@ -156,3 +156,17 @@ def test_reference_counts(spark):
 
     assert e.entry(spark).count() == 27
     assert e.queries()["clones_overlap_700"](spark, "/root/testdata/sf0.01").count() == 189
+
+
+def test_vector_windows_meet_at_any_even_distance(spark, tmp_path):
+    import random
+
+    from blockdup.plans.queries import QUERIES
+
+    r = random.Random(3)
+    word = lambda: "".join(r.choices("abcdefghijklmnop", k=6))
+    passage = [word() for _ in range(60)]
+    texts = [" ".join([*(word() for _ in range(front)), *passage, *(word() for _ in range(70))]) for front in (0, 18)]
+    rows = [(k, t, "en", "s", len(t)) for k, t in enumerate(texts)]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").write.parquet(str(tmp_path / "documents.parquet"))
+    assert {(r.b, r.c) for r in QUERIES["vector_windows"](spark, str(tmp_path)).collect()} == {(0, 1)}
