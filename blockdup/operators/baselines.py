@@ -21,15 +21,26 @@ PRESETS = {
 }
 
 
-def all_pairs(ordered: DataFrame, theta_pm: int = 700, most: int = 2_000) -> DataFrame:
-    """Every pair of blocks compared: the quadratic reference, refused beyond `most` blocks."""
-    n = ordered.count()
-    if n > most:
-        raise ValueError(f"{n} blocks are too many for all pairs")
+#: Rows of a group of an all-pairs reference.
+ROWS = 500
+
+
+def _all(left: DataFrame, right: DataFrame, key_left: str, key_right: str, n: int, rows: int) -> DataFrame:
+    """Every row of `left` with every row of `right`, both of about n rows: an equi-join on pairs of groups, so no side is sent whole to a task."""
+    groups = max(1, -(-n // rows))
+    each = F.explode(F.sequence(F.lit(0), F.lit(groups - 1)))
+    group = lambda key: F.pmod(F.xxhash64(key), F.lit(groups)).cast("int")
+    x = left.withColumn("group_l", group(key_left)).withColumn("group_r", each)
+    y = right.withColumn("group_r2", group(key_right)).withColumn("group_l2", each)
+    return x.join(y.hint("merge"), (F.col("group_l") == F.col("group_l2")) & (F.col("group_r") == F.col("group_r2"))).drop("group_l", "group_r", "group_l2", "group_r2")
+
+
+def all_pairs(ordered: DataFrame, theta_pm: int = 700, rows: int = ROWS) -> DataFrame:
+    """Every pair of blocks compared: the quadratic reference. Groups of about `rows` blocks meet each other, so memory is bounded; time is not."""
     b = ordered.select(F.col("block_id").alias("b"), F.col("n").alias("n_b"), F.col("elements").alias("of_b"))
     c = ordered.select(F.col("block_id").alias("c"), F.col("n").alias("n_c"), F.col("elements").alias("of_c"))
     turn = (F.col("n_b") > F.col("n_c")) | ((F.col("n_b") == F.col("n_c")) & (F.col("b") < F.col("c")))
-    return _accept(b.join(c, turn).withColumn("overlap", F.size(F.array_intersect("of_b", "of_c"))), theta_pm, "overlap", False)
+    return _accept(_all(b, c, "b", "c", ordered.count(), rows).where(turn).withColumn("overlap", F.size(F.array_intersect("of_b", "of_c"))), theta_pm, "overlap", False)
 
 
 def full_index_join(ordered: DataFrame, theta_pm: int = 700) -> DataFrame:
@@ -141,11 +152,8 @@ def cosine(a, b):
     return dot(a, b) / (F.sqrt(dot(a, a)) * F.sqrt(dot(b, b)))
 
 
-def embedding_cosine(vectors: DataFrame, threshold: float, most: int = 2_000) -> DataFrame:
-    """All pairs of dense vectors, a reference; refused beyond `most` vectors."""
-    n = vectors.count()
-    if n > most:
-        raise ValueError(f"{n} vectors are too many for all pairs")
+def embedding_cosine(vectors: DataFrame, threshold: float, rows: int = ROWS) -> DataFrame:
+    """All pairs of dense vectors, a reference, by groups of about `rows` vectors."""
     x = vectors.select(F.col("vec_id").alias("b"), F.col("embedding").alias("v_b"))
     y = vectors.select(F.col("vec_id").alias("c"), F.col("embedding").alias("v_c"))
-    return x.join(y, F.col("b") < F.col("c")).where(cosine(F.col("v_b"), F.col("v_c")) >= threshold).select("b", "c")
+    return _all(x, y, "b", "c", vectors.count(), rows).where((F.col("b") < F.col("c")) & (cosine(F.col("v_b"), F.col("v_c")) >= threshold)).select("b", "c")

@@ -170,3 +170,14 @@ def test_vector_windows_meet_at_any_even_distance(spark, tmp_path):
     rows = [(k, t, "en", "s", len(t)) for k, t in enumerate(texts)]
     spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").write.parquet(str(tmp_path / "documents.parquet"))
     assert {(r.b, r.c) for r in QUERIES["vector_windows"](spark, str(tmp_path)).collect()} == {(0, 1)}
+
+
+def test_all_pairs_references_run_beyond_two_thousand_rows(spark):
+    from blockdup.operators import baselines
+
+    ordered = spark.range(2_100).select(F.col("id").alias("block_id"), F.lit("p").alias("project_id"), F.array(F.concat(F.lit("t"), (F.col("id") % 1_050).cast("string"))).alias("elements"), F.lit(1).alias("n"))
+    assert {(r.b, r.c) for r in baselines.all_pairs(ordered).select("b", "c").collect()} == {(k, k + 1_050) for k in range(1_050)}
+    at = F.col("id") % 1_050 * (3.1 / 1_050)
+    vectors = spark.range(2_100).select(F.col("id").alias("vec_id"), F.array(F.cos(at), F.sin(at)).alias("embedding"))
+    got = baselines.embedding_cosine(vectors, 0.999999, rows=300)
+    assert {(r.b, r.c) for r in got.collect()} == {(k, k + 1_050) for k in range(1_050)}
