@@ -140,8 +140,8 @@ def predict(docs: DataFrame, langs: list[str], protos: np.ndarray) -> DataFrame:
     return fields.mapInArrow(run, f"{schema}, lang_pred string, score double")
 
 
-#: Documents under this cosine are in no language that was learned.
-LEAST_SCORE = 0.03
+#: Documents under this cosine are in no language that was learned: five standard deviations of chance.
+LEAST_SCORE = 5 / DIMENSIONS**0.5
 
 
 def keep_known(docs: DataFrame, least: float = LEAST_SCORE) -> DataFrame:

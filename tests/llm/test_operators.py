@@ -204,6 +204,17 @@ def test_nonnegative_risk_learns_from_positives_and_unlabelled():
     assert ((z > 0) == np.repeat([True, False], [400, 200])).mean() > 0.95
 
 
+def test_texts_in_scripts_not_learned_are_dropped(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text", "lang")
+    r = np.random.default_rng(4)
+    scripts = [(0x3B1, 24), (0x430, 32), (0x4E00, 3000), (0xAC00, 3000)]
+    texts = [" ".join("".join(chr(at + int(x)) for x in r.integers(0, n, 5)) for _ in range(120)) for at, n in scripts for _ in range(15)]
+    unknown = spark.createDataFrame([(10**6 + k, t, None) for k, t in enumerate(texts)], docs.schema)
+    kept = {r.doc_id for r in language_id.keep_known(docs.unionByName(unknown)).select("doc_id").collect()}
+    assert not [k for k in kept if k >= 10**6]
+    assert len(kept) >= 0.98 * docs.where("text is not null").count()
+
+
 def test_pseudo_likelihood(spark, odd):
     vocab, net = pseudo_likelihood.fit(odd, rounds=1)
     got = rows_of(pseudo_likelihood.score(odd, vocab, net))
