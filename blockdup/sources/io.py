@@ -48,19 +48,38 @@ def stage(df: DataFrame, name: str = "stage", partition_by: list[str] | None = N
     writer = df.write.mode("error")
     (writer.partitionBy(*partition_by) if partition_by else writer).parquet(path)
     _staged.append((spark, path))
-    return spark.read.schema(df.schema).parquet(path) if not partition_by else spark.read.parquet(path)
+    made = spark.read.schema(df.schema).parquet(path) if not partition_by else spark.read.parquet(path)
+    made._blockdup_path = path
+    return made
+
+
+def delete(spark: SparkSession, path: str) -> None:
+    """Remove a folder through Spark's own file systems; one that is gone already is no error."""
+    try:
+        where = spark._jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+    except Exception:  # the session may be gone; files in a checkpoint folder are scratch
+        pass
+
+
+def unstage(*frames: DataFrame) -> None:
+    """Remove what stage() wrote for frames that nothing reads any more."""
+    for df in frames:
+        path = getattr(df, "_blockdup_path", None)
+        if path is not None:
+            _staged[:] = [x for x in _staged if x[1] != path]
+            delete(df.sparkSession, path)
+
+
+def staged() -> int:
+    """How many results stage() has written and not removed: a mark for drop_staged."""
+    return len(_staged)
 
 
 def drop_staged(before: int = 0) -> None:
     """Delete what stage() wrote, from the given position of its list on."""
     while len(_staged) > before:
-        spark, path = _staged.pop()
-        try:
-            jvm = spark._jvm
-            where = jvm.org.apache.hadoop.fs.Path(path)
-            where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
-        except Exception:  # the session may be gone; files in a checkpoint folder are scratch
-            return
+        delete(*_staged.pop())
 
 
 atexit.register(drop_staged)
