@@ -26,8 +26,6 @@ SPACES = np.zeros(256, bool)
 SPACES[[32, *range(9, 14)]] = True
 LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
-_BASE = 0x9E3779B97F4A7C15 | 1
-_powers: list[np.ndarray] = []
 
 
 def pieces(batch: pa.RecordBatch, most: int = PIECE) -> Iterator[pa.RecordBatch]:
@@ -53,9 +51,8 @@ def flat(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
 
 
 def mix(x: np.ndarray) -> np.ndarray:
-    """Finaliser that spreads 64 bits."""
-    x = x.copy()
-    x ^= x >> _U(30)
+    """Finaliser that spreads 64 bits, one to one."""
+    x = x ^ (x >> _U(30))
     x *= _U(0xBF58476D1CE4E5B9)
     x ^= x >> _U(27)
     x *= _U(0x94D049BB133111EB)
@@ -63,23 +60,45 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x
 
 
-def _power(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Powers of an odd base and of its inverse modulo 2^64."""
-    if not _powers or len(_powers[0]) < n:
-        inverse = pow(_BASE, -1, 1 << 64)
-        for k, base in enumerate((_BASE, inverse)):
-            run = np.full(n, base, _U)
-            run[0] = 1
-            _powers[k : k + 1] = [np.cumprod(run)]
-    return _powers[0], _powers[1]
+_KEEP = np.array([(1 << 8 * n) - 1 for n in range(9)], _U)
+_PLACE, _SIZE = _U(0x9E3779B97F4A7C15), _U(0xD6E8FEB86659FD93)
+#: Spans worked on at once.
+_SPANS = 1 << 18
+
+
+def padded(raw: np.ndarray) -> np.ndarray:
+    """A row of bytes as one 8-byte number from each place on (zeros follow the last)."""
+    wide = np.zeros(len(raw) + 8, np.uint8)
+    wide[: len(raw)] = raw
+    return np.ndarray((len(raw) + 1,), "<u8", wide, strides=(1,))
+
+
+def chunks(numbers: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(8-byte chunks of all spans, first chunk of each span, chunks of each span); an empty span has one chunk, 0."""
+    sizes = ends - starts
+    n = np.maximum((sizes + 7) >> 3, 1)
+    last = np.cumsum(n)
+    first = last - n
+    at = np.arange(last[-1] if len(last) else 0)
+    values = numbers[np.minimum(np.repeat(starts - 8 * first, n) + 8 * at, len(numbers) - 1)]
+    values[last - 1] &= _KEEP[sizes - 8 * (n - 1)]
+    return values, first, n
+
+
+def chunk_hashes(values: np.ndarray, first: np.ndarray, n: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """64-bit hash of each span from its chunks: every chunk is mixed with its place before they are added up."""
+    place = np.arange(len(values)) - np.repeat(first, n)
+    return mix(np.add.reduceat(mix(values + place.astype(_U) * _PLACE), first) + sizes.astype(_U) * _SIZE) if len(first) else np.zeros(0, _U)
 
 
 def span_hashes(values: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """64-bit hash of each span of a flat array, whatever its place."""
-    up, down = _power(len(values) + 1)
-    total = np.zeros(len(values) + 1, _U)
-    np.cumsum((values.astype(_U) + _U(1)) * up[: len(values)], out=total[1:])
-    return mix((total[ends] - total[starts]) * down[starts] + (ends - starts).astype(_U) * _U(0xD6E8FEB86659FD93))
+    """64-bit hash of each span of a flat array, whatever its place. Two different spans share one with a chance of 2^-64."""
+    width = values.dtype.itemsize
+    numbers, out = padded(np.ascontiguousarray(values).view(np.uint8)), np.empty(len(starts), _U)
+    for at in range(0, len(starts), _SPANS):
+        a, b = starts[at : at + _SPANS] * width, ends[at : at + _SPANS] * width
+        out[at : at + _SPANS] = chunk_hashes(*chunks(numbers, a, b), b - a)
+    return out
 
 
 def words(raw: np.ndarray, offsets: np.ndarray, spaces: np.ndarray = SPACES) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
