@@ -32,14 +32,15 @@ def encoded(docs: DataFrame, path: str, kind: str = "word", end_id: int = 2) ->
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, at = TaskContext.get().partitionId(), 0
-        end = np.array([end_id], "<u2").tobytes()
         for batch in batches:
             for piece in pieces(batch, 3 << 20):
-                codes = [c + end for c in encoder(path, kind).encode_column(piece.column("text"))]
-                n = np.array([len(c) // 2 for c in codes], np.int64)
-                starts = at + np.cumsum(n) - n
-                at += int(n.sum())
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(n), part, np.int32)), pa.array(starts), piece.column("doc_id"), pa.array(n), pa.array(codes, pa.binary())], names=["part", "at", "doc_id", "n", "ids"])
+                found, before = encoder(path, kind).encode_column(piece.column("text"))
+                codes = np.insert(found, before[1:], end_id).astype("<u2")  # the end id behind each document
+                ends = before[1:] + np.arange(1, len(before))
+                starts = np.concatenate(([0], ends[:-1]))
+                ids = pa.Array.from_buffers(pa.large_binary(), len(ends), [None, pa.py_buffer(np.concatenate(([0], 2 * ends)).astype(np.int64)), pa.py_buffer(codes)])
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(ends), part, np.int32)), pa.array(at + starts), piece.column("doc_id"), pa.array(ends - starts), ids.cast(pa.binary())], names=["part", "at", "doc_id", "n", "ids"])
+                at += int(ends[-1])
 
     return docs.mapInArrow(run, ENCODED)
 

@@ -56,12 +56,13 @@ def token_blocks(docs: DataFrame, path: str, kind: str = "byte", end_id: int = 2
 
         for batch in batches:
             for piece in pieces(batch, 3 << 20):
-                for doc_id, code in zip(piece.column("doc_id").to_pylist(), encoder(path, kind).encode_column(piece.column("text")), strict=True):
-                    n = len(code) // 2 + 1
+                found, before = encoder(path, kind).encode_column(piece.column("text"))
+                code = memoryview(found.astype("<u2").tobytes())
+                for doc_id, a, b in zip(piece.column("doc_id").to_pylist(), before[:-1].tolist(), before[1:].tolist(), strict=True):
                     ids.append(doc_id)
-                    lengths.append(n)
-                    codes += (code, end)
-                    held += n
+                    lengths.append(b - a + 1)
+                    codes += (code[2 * a : 2 * b], end)
+                    held += b - a + 1
                     if held >= block_tokens:
                         yield row()
                         block, first, held = block + 1, first + held, 0
