@@ -23,7 +23,8 @@ from pyspark.sql import DataFrame
 from tokenizers import Tokenizer
 
 from .bpe import Vocabulary
-from .texts import held, pieces, span_hashes
+from .texts import held, pieces
+from .word_table import Grown, WordTable
 
 # Classes of characters.
 LETTER, SHORT, R, V, L, E, NUMBER, SPACE, WHITE, QUOTE, OTHER, END = range(12)
@@ -163,8 +164,7 @@ class TokenCounter:
     def __init__(self, path: str, keep: int = 500_000):
         self.library = Tokenizer.from_file(path)
         vocabulary = Vocabulary(path)
-        self.words, self.keep = CountTransducer(vocabulary), keep
-        self.known: dict[int, int] = {}
+        self.words, self.table, self.known = CountTransducer(vocabulary), WordTable(keep), Grown(np.int64)
         self.special = re.compile("|".join(map(re.escape, vocabulary.special))) if vocabulary.special else None
         self.classes = np.full(0x110000, 255, np.uint8)
 
@@ -207,21 +207,19 @@ class TokenCounter:
         stops = np.minimum(np.append(starts[1:], len(codes)), ends[part])
         out = extra
         if len(starts):
-            keys, first, where = np.unique(span_hashes(codes, starts, stops), return_index=True, return_inverse=True)
-            n = np.array(self._known(codes, keys, starts[first], stops[first]), np.int64)
-            np.add.at(out, np.array(of)[part], n[where])
+            n = self._known(codes, starts, stops)
+            out += np.bincount(np.array(of)[part], n, len(out)).astype(np.int64)
         return out
 
-    def _known(self, codes: np.ndarray, keys: np.ndarray, starts: np.ndarray, stops: np.ndarray) -> list[int]:
-        known, count = self.known, self.words.count
-        if len(known) > self.keep:
-            known.clear()
-        found = list(map(known.get, keys.tolist()))
-        for k, n in enumerate(found):
-            if n is None:
-                word = codes[starts[k] : stops[k]].tobytes().decode("utf-32-le").encode()
-                found[k] = known[int(keys[k])] = count(word)
-        return found
+    def _known(self, codes: np.ndarray, starts: np.ndarray, stops: np.ndarray) -> np.ndarray:
+        """Tokens of each word. Words met before are known by their characters, not by a hash alone."""
+        if self.table.full:
+            self.table.clear()
+            self.known = Grown(np.int64)
+        entry, fresh = self.table.find(codes.view(np.uint8), 4 * starts, 4 * stops)
+        count = self.words.count
+        self.known.extend(np.array([count(codes[starts[k] : stops[k]].tobytes().decode("utf-32-le").encode()) for k in fresh.tolist()], np.int64))
+        return self.known.data[entry]
 
 
 def counter(path: str) -> TokenCounter:
