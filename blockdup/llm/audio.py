@@ -108,9 +108,9 @@ def mel_filters(rate: float, frame: int = FRAME, bands: int = MELS) -> np.ndarra
 
 def log_mel(x: np.ndarray, rate: float, stretch: int = 4096) -> tuple[np.ndarray, np.ndarray]:
     """(log-mel [frames, bands] in dB, energy [frames] in dB); the last frame is filled with silence."""
-    if "mel" not in _cache:
-        _cache["mel"] = (mel_filters(rate), np.hanning(FRAME).astype(np.float32))
-    filters, window = _cache["mel"]
+    if ("mel", rate) not in _cache:
+        _cache["mel", rate] = (mel_filters(rate), np.hanning(FRAME).astype(np.float32))
+    filters, window = _cache["mel", rate]
     n = 1 + max(0, -(-(len(x) - FRAME) // HOP))
     wide = np.zeros((n - 1) * HOP + FRAME, np.float32)
     wide[: len(x)] = x[: len(wide)]
