@@ -9,29 +9,33 @@ from pyspark.sql import functions as F
 from ..sources.io import stage, unstage
 
 
+def _all_stars(edges: DataFrame) -> bool:
+    """Whether every v has one u, and no u is a v of another edge."""
+    ends = edges.select(F.explode(F.array(F.struct(F.col("v").alias("node"), F.lit(1).alias("leaf"), F.lit(0).alias("centre")), F.struct(F.col("u").alias("node"), F.lit(0).alias("leaf"), F.lit(1).alias("centre")))).alias("e")).select("e.*")
+    return not ends.groupBy("node").agg(F.sum("leaf").alias("leaf"), F.max("centre").alias("centre")).where("leaf + centre > 1").limit(1).count()
+
+
 def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """(node, root) for every node with an edge; root is the smallest node of its component.
 
     `edges` has two columns of one orderable type. Alternating stars: first every node tells its larger
     neighbours its smallest one, then every node links its smaller neighbours and itself to the smallest.
-    Edges only shrink, so hubs cost one aggregated row a task; each round is a written table.
+    Edges only shrink; each round is a written table. The smallest neighbours are aggregated map-side and written
+    too, so that what they are joined with comes straight from an exchange and the edges of a hub can be split.
     """
     x, y = edges.columns
     now = edges.select(F.greatest(x, y).alias("v"), F.least(x, y).alias("u")).where("v is not null and u is not null and v <> u").distinct()
     now = stage(now, "edges")
-    before = None
     for _ in range(max_rounds):
+        if _all_stars(now):
+            break
         both = now.select(F.col("v").alias("a"), F.col("u").alias("b")).unionByName(now.select(F.col("u").alias("a"), F.col("v").alias("b")))
-        low = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
-        large = both.where("b > a").join(low, "a").select(F.col("b").alias("v"), F.col("m").alias("u")).distinct()
-        least = large.groupBy("v").agg(F.min("u").alias("m"))
+        low = stage(both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m")), "low")
+        large = stage(now.select(F.col("u").alias("a"), "v").join(low, "a").select("v", F.col("m").alias("u")).distinct(), "large")
+        least = stage(large.groupBy("v").agg(F.min("u").alias("m")), "least")
         small = large.join(least, "v").select(F.explode(F.array(F.struct(F.col("v").alias("v"), F.col("m").alias("u")), F.struct(F.col("u").alias("v"), F.col("m").alias("u")))).alias("e")).select("e.v", "e.u").where("v <> u").distinct()
         last, now = now, stage(small, "edges")
-        unstage(last)
-        mark = now.agg(F.count("*"), F.sum(F.xxhash64("v", "u").cast("decimal(38,0)"))).first()
-        if mark == before:
-            break
-        before = mark
+        unstage(last, low, large, least)
     else:
         raise RuntimeError(f"components did not settle in {max_rounds} rounds")
     leaves = now.select(F.col("v").alias("node"), F.col("u").alias("root"))

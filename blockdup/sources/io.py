@@ -41,11 +41,13 @@ def shared_folder(spark: SparkSession) -> str:
     return made
 
 
-def stage(df: DataFrame, name: str = "stage", partition_by: list[str] | None = None) -> DataFrame:
+def stage(df: DataFrame, name: str = "stage", partition_by: list[str] | None = None, compression: str | None = None) -> DataFrame:
     """Write `df` as Parquet in the shared folder and read it back: lineage is cut and a lost executor costs nothing."""
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/blockdup-{name}-{uuid.uuid4().hex}"
     writer = df.write.mode("error")
+    if compression:
+        writer = writer.option("compression", compression)
     (writer.partitionBy(*partition_by) if partition_by else writer).parquet(path)
     _staged.append((spark, path))
     made = spark.read.schema(df.schema).parquet(path) if not partition_by else spark.read.parquet(path)
