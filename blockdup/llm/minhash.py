@@ -1,12 +1,14 @@
 """Near-duplicate documents by SuperMinHash signatures, banding, exact verification and components.
 
-A document's set is that of its distinct shingles of `width` words. Sets are hashed element by element to
-64 bits; documents with the same set (128-bit fingerprint of all of it) are one class and are compared once.
+A document's set is that of its distinct shingles of `width` words. A shingle is held as a 64-bit hash of its
+words (two different ones share it with a chance of 2^-64); documents with the same set (128-bit fingerprint
+of all of it) are one class and are compared once.
 
 Defined cases: a null or empty text has the empty set, links with nothing, and is its own component; fewer
-words than a shingle make one shingle of all of them. Rows that repeat an id are documents of their own that
-share a component. A null id is kept, with component null unless a document of the class has an id. Columns
-besides `id` and `text` are ignored. An empty table gives an empty result.
+words than a shingle make one shingle of all of them. Rows that repeat an id are documents of their own: each
+has the component of its own text, named by the smallest id in it, so that rows of one id may differ. A null
+id is kept, with component null unless a document of its component has an id. Columns besides `id` and `text`
+are ignored. An empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -19,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.groups import connected_components
-from ..sources.io import stage
+from ..sources.io import stage, unstage
 from .texts import LOWER, flat, held, mix, pieces, span_hashes, words
 
 _U = np.uint64
@@ -97,11 +99,8 @@ def _bands(signature: np.ndarray, bands: int) -> np.ndarray:
     return key.view(np.int64)
 
 
-SIGNED = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("set_key", pa.binary()), ("bands", pa.list_(pa.int64()))])
-
-
 def signatures(docs: DataFrame, width: int = 5, bands: int = 32, rows: int = 4) -> DataFrame:
-    """(doc_id, n_shingles, set_key, bands): sizes, fingerprints and band keys of whole texts. No shuffle."""
+    """(doc_id, text_key, n_shingles, set_key, bands): sizes, fingerprints and band keys of whole texts. No shuffle."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held(("minhash",), dict)  # another operator's large object goes
@@ -111,9 +110,9 @@ def signatures(docs: DataFrame, width: int = 5, bands: int = 32, rows: int = 4)
                 keys = [_bands(super_minhash(s, bands * rows), bands) if len(s) else np.zeros(0, np.int64) for s in sets]
                 at = np.concatenate(([0], np.cumsum([len(k) for k in keys]))).astype(np.int32)
                 lists = pa.ListArray.from_arrays(pa.array(at), pa.array(np.concatenate(keys) if keys else np.zeros(0, np.int64)))
-                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([len(s) for s in sets], pa.int64()), pa.array([fingerprint(s) for s in sets], pa.binary()), lists], schema=SIGNED)
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("text_key"), pa.array([len(s) for s in sets], pa.int64()), pa.array([fingerprint(s) for s in sets], pa.binary()), lists], names=["doc_id", "text_key", "n_shingles", "set_key", "bands"])
 
-    return docs.mapInArrow(run, "doc_id long, n_shingles long, set_key binary, bands array<long>")
+    return docs.select("doc_id", F.xxhash64("text").alias("text_key"), "text").mapInArrow(run, "doc_id long, text_key long, n_shingles long, set_key binary, bands array<long>")
 
 
 def full_sets(docs: DataFrame, width: int = 5) -> DataFrame:
@@ -129,8 +128,12 @@ def full_sets(docs: DataFrame, width: int = 5) -> DataFrame:
     return docs.mapInArrow(run, "set_key binary, elements array<long>")
 
 
-def near_duplicates(docs: DataFrame, percent: int = 80, width: int = 5, bands: int = 32, rows: int = 4, id: str = "doc_id", text: str = "text") -> DataFrame:
-    """(doc_id, n_shingles, component_id, kept) for every row: links at 100 * common >= percent * union.
+#: The order of rows; one without an id comes last.
+FIRST = "struct(doc_id is null as no_id, doc_id, text_key)"
+
+
+def grouped(rows_in: DataFrame, percent: int, width: int = 5, bands: int = 32, rows: int = 4) -> tuple[DataFrame, DataFrame]:
+    """(signatures of all rows, (set_key, first) of each class with the first row of its whole group) of (doc_id, text).
 
     Two passes over the band buckets. The first compares every member of a bucket with its first and its
     last; for a group of copies that already joins nearly all. The second takes the buckets whose members
@@ -138,66 +141,95 @@ def near_duplicates(docs: DataFrame, percent: int = 80, width: int = 5, bands: i
     components is lost and no pair inside one is formed. With 32 bands of 4 slots a pair at 0.85 escapes
     all buckets with a chance of 6e-11, at 0.8 of 5e-8. All links are confirmed on the whole sets.
     """
-    rows_in = docs.select(F.col(id).cast("long").alias("doc_id"), F.col(text).alias("text"))
     signed = stage(signatures(rows_in, width, bands, rows), "signatures")
-    classes = signed.where("n_shingles > 0").groupBy("set_key").agg(F.min("doc_id").alias("first_id"), F.first("n_shingles").alias("n"), F.min_by("bands", F.coalesce("doc_id", F.lit(2**63 - 1))).alias("bands"))
+    classes = signed.where("n_shingles > 0").groupBy("set_key").agg(F.min(F.expr(FIRST)).alias("first"), F.first("n_shingles").alias("n"), F.first("bands").alias("bands"))
     # classes are numbered once and written, so that buckets, pairs and labels are plain numbers
     classes = stage(classes.withColumn("node", F.monotonically_increasing_id()), "classes")
-    places = classes.select("node", F.explode("bands").alias("bucket"))
-    ends = places.groupBy("bucket").agg(F.count("*").alias("size"), F.min("node").alias("low"), F.max("node").alias("high")).where("size > 1").drop("size")
+    places = classes.select("node", "n", F.explode("bands").alias("bucket"))
+    end = F.struct("node", "n")
+    ends = places.groupBy("bucket").agg(F.count("*").alias("size"), F.min(end).alias("low"), F.max(end).alias("high")).where("size > 1").drop("size")
     shared = stage(places.join(ends, "bucket"), "buckets")
-    sizes = classes.select("node", "n")
 
-    def sets_of(nodes: DataFrame) -> DataFrame:
-        """(node, elements) of classes: the texts of their first rows alone are read again."""
-        wanted = classes.join(nodes, "node", "left_semi").select("node", "set_key", "first_id")
-        ids = wanted.where("first_id is not null").select(F.col("first_id").alias("doc_id")).distinct()
-        named = rows_in.join(ids, "doc_id", "left_semi").unionByName(rows_in.where("doc_id is null"))
-        # an id that is repeated, or null, may bring in sets nobody asked for, or one set twice
-        return full_sets(named, width).join(wanted.select("node", "set_key"), "set_key").groupBy("node").agg(F.first("elements").alias("elements"))
+    # the texts of classes in a shared bucket are read once more, those of their first rows alone
+    wanted = classes.join(shared.select("node").distinct(), "node", "left_semi").select("node", "set_key", "first.doc_id")
+    named = rows_in.join(wanted.where("doc_id is not null").select("doc_id").distinct(), "doc_id", "left_semi").unionByName(rows_in.where("doc_id is null"))
+    # an id that is repeated, or null, may bring in sets nobody asked for, or one set twice
+    sets = stage(full_sets(named, width).join(wanted.select("node", "set_key"), "set_key").groupBy("node").agg(F.first("elements").alias("elements")), "sets")
 
     def confirm(found: DataFrame) -> DataFrame:
-        """(a, b, linked) for candidate pairs, on the whole sets; pairs that sizes rule out are dropped first."""
-        sized = found.join(sizes.select(F.col("node").alias("a"), F.col("n").alias("n_a")), "a").join(sizes.select(F.col("node").alias("b"), F.col("n").alias("n_b")), "b")
-        sized = stage(sized.where(F.least("n_a", "n_b") * 100 >= F.greatest("n_a", "n_b") * percent), "candidates")
-        sets = stage(sets_of(sized.select(F.col("a").alias("node")).unionByName(sized.select(F.col("b").alias("node"))).distinct()), "sets")
+        """(a, b) of the candidates (a, b) that are links, on the whole sets."""
         x = sets.select(F.col("node").alias("a"), F.col("elements").alias("of_a"))
         y = sets.select(F.col("node").alias("b"), F.col("elements").alias("of_b"))
-        common = sized.join(x, "a").join(y, "b").select("a", "b", "n_a", "n_b", F.size(F.array_intersect("of_a", "of_b")).alias("common"))
-        linked = F.col("common") * 100 >= (F.col("n_a") + F.col("n_b") - F.col("common")) * percent
-        return stage(common.where(linked).select("a", "b"), "confirmed")
+        common = found.join(x, "a").join(y, "b").select("a", "b", (F.size("of_a") + F.size("of_b")).cast("long").alias("both"), F.size(F.array_intersect("of_a", "of_b")).cast("long").alias("common"))
+        return stage(common.where((F.col("common") * 100 >= (F.col("both") - F.col("common")) * percent)).select("a", "b"), "confirmed")
 
     def ordered(frame: DataFrame, x: str, y: str) -> DataFrame:
         return frame.where(F.col(x) != F.col(y)).select(F.least(x, y).alias("a"), F.greatest(x, y).alias("b"))
 
-    first = confirm(ordered(shared, "node", "low").unionByName(ordered(shared, "node", "high")).distinct())
+    # each member with the two ends of its bucket, where their sizes let them link
+    able = shared.select("node", "n", F.explode(F.array("low", "high")).alias("end")).where((F.col("node") != F.col("end.node")) & (F.least("n", "end.n") * 100 >= F.greatest("n", "end.n") * percent))
+    first = confirm(ordered(able.select("node", F.col("end.node").alias("other")), "node", "other").distinct())
     roots = stage(connected_components(first), "roots")
     placed = shared.select("bucket", "node").join(roots, "node", "left").select("bucket", "node", F.coalesce("root", "node").alias("root"))
     split = placed.groupBy("bucket").agg(F.min("root").alias("r0"), F.max("root").alias("r1"), F.count("*").alias("size")).where("r0 <> r1 and size > 2")
     open_ = stage(placed.join(split.select("bucket"), "bucket", "left_semi"), "open")
     # A shingle no other open document has is lost to every pair: what is left bounds the common part.
-    sets = stage(sets_of(open_.select("node").distinct()), "sets")
-    lone = sets.select("node", F.explode("elements").alias("e")).groupBy("e").agg(F.count("*").alias("c"), F.min("node").alias("node")).where("c = 1").groupBy("node").agg(F.count("*").alias("lone"))
+    mine = sets.join(open_.select("node").distinct(), "node", "left_semi")
+    lone = mine.select("node", F.explode("elements").alias("e")).groupBy("e").agg(F.count("*").alias("c"), F.min("node").alias("node")).where("c = 1").groupBy("node").agg(F.count("*").alias("lone"))
     # 32 bits an element decide inside the join, so that only likely links become rows; they are confirmed on full sets.
     short = F.transform("elements", lambda e: F.try_mod(e, F.lit(2**31 - 1)).cast("int"))
-    able = sets.join(lone, "node", "left").select("node", F.size("elements").alias("n"), (F.size("elements") - F.coalesce("lone", F.lit(0))).alias("most"), short.alias("short")).where(F.col("most") * 100 >= F.col("n") * percent)
-    open_ = open_.join(able.join(classes.select("node", "bands"), "node"), "node")
-    x = open_.select("bucket", "node", "n", "root", "most", "bands", "short")
-    y = open_.select(F.col("bucket").alias("bucket_y"), *(F.col(c).alias(f"{c}_y") for c in ("node", "n", "root", "most", "bands", "short")))
+    likely = mine.join(lone, "node", "left").select("node", F.size("elements").cast("long").alias("n"), (F.size("elements") - F.coalesce("lone", F.lit(0))).alias("most"), short.alias("short")).where(F.col("most") * 100 >= F.col("n") * percent)
+    members = open_.join(likely.join(classes.select("node", "bands"), "node"), "node")
+    x = members.select("bucket", "node", "n", "root", "most", "bands", "short")
+    y = members.select(F.col("bucket").alias("bucket_y"), *(F.col(c).alias(f"{c}_y") for c in ("node", "n", "root", "most", "bands", "short")))
     reach = lambda common: common * 100 >= (F.col("n") + F.col("n_y") - common) * percent
     cross = x.join(y, (F.col("bucket") == F.col("bucket_y")) & (F.col("node") < F.col("node_y")) & (F.col("root") != F.col("root_y")) & reach(F.least("most", "most_y"))
                    & (F.get(F.array_intersect("bands", "bands_y"), F.lit(0)) == F.col("bucket"))  # a pair is compared in the first bucket it shares
                    & reach(F.size(F.array_intersect("short", "short_y")) + F.size("short") - F.size(F.array_distinct("short"))))
     second = confirm(ordered(cross, "node", "node_y"))
-    roots = stage(connected_components(first.unionByName(second)), "roots")
-    named = classes.select("node", "set_key", "first_id").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    least = named.groupBy("root").agg(F.min("first_id").alias("component_id"))
-    final = named.join(least, "root").select("set_key", "component_id")
-    out = signed.select("doc_id", "n_shingles", "set_key").join(final, "set_key", "left")
-    own = F.when(F.col("n_shingles") > 0, F.col("component_id")).otherwise(F.col("doc_id"))
+    links = first.unionByName(second)
+    unstage(shared, sets, open_, roots)
+    roots = stage(connected_components(links), "roots")
+    unstage(first, second)
+    own = classes.select("node", "set_key", "first").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    least = own.groupBy("root").agg(F.min("first").alias("first"))
+    return signed, own.drop("first").join(least, "root").select("set_key", "first")
+
+
+def _rows(docs: DataFrame, id: str, text: str) -> DataFrame:
+    return docs.select(F.col(id).cast("long").alias("doc_id"), F.col(text).alias("text"))
+
+
+def near_duplicates(docs: DataFrame, percent: int = 80, width: int = 5, bands: int = 32, rows: int = 4, id: str = "doc_id", text: str = "text") -> DataFrame:
+    """(doc_id, n_shingles, component_id, kept) for every row: links at 100 * common >= percent * union."""
+    signed, classes = grouped(_rows(docs, id, text), percent, width, bands, rows)
+    out = signed.select("doc_id", "n_shingles", "set_key").join(classes, "set_key", "left")
+    own = F.when(F.col("n_shingles") > 0, F.col("first.doc_id")).otherwise(F.col("doc_id"))
     return out.select("doc_id", "n_shingles", own.alias("component_id")).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
 
 
+def one_of_each(docs: DataFrame, percent: int = 80, width: int = 5, bands: int = 32, rows: int = 4) -> DataFrame:
+    """The rows of docs (doc_id, text, ...), one of each group of near-duplicates, with their own columns.
+
+    Rows are told apart by id and text, so different texts of one id are judged by themselves. The row with
+    the smallest id stays (null last), of like ids the one with the smallest hash of its text; of rows alike in
+    id and text the one that sorts first as JSON. Rows without a word stay.
+    """
+    signed, classes = grouped(_rows(docs, "doc_id", "text"), percent, width, bands, rows)
+    stay = classes.select("first.doc_id", "first.text_key").distinct()
+    stay = stay.unionByName(signed.where("n_shingles = 0").select("doc_id", "text_key").distinct()).select(F.col("doc_id").alias("stay_id"), F.col("text_key").alias("stay_text"))
+    keyed = docs.withColumn("text_key__", F.xxhash64("text"))
+    kept = keyed.join(stay, F.col("doc_id").cast("long").eqNullSafe(F.col("stay_id")) & (F.col("text_key__") == F.col("stay_text")), "left_semi")
+    again = signed.where("n_shingles > 0").groupBy("doc_id", "text_key").agg(F.count("*").alias("times")).where("times > 1").select(F.col("doc_id").alias("again_id"), F.col("text_key").alias("again_text"))
+    if not again.limit(1).count():
+        return kept.select(*docs.columns)
+    same = F.col("doc_id").cast("long").eqNullSafe(F.col("again_id")) & (F.col("text_key__") == F.col("again_text"))
+    once = kept.join(again, same, "left_anti").select(*docs.columns)
+    whole = F.struct(*docs.columns)
+    some = kept.join(again, same, "left_semi").groupBy("doc_id", "text_key__").agg(F.min_by(whole, F.to_json(whole)).alias("row__"))
+    return once.unionByName(some.select("row__.*"))
+
+
 def op4_super_minhash(spark, sf_dir: str) -> DataFrame:
     """All documents, links at 0.85 on shingles of five words."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
