@@ -1,13 +1,16 @@
 """Audio features over 8-bit samples: polyphase resampling, overlapped log-mel filterbanks, energy segments.
 
-Media are WAV files (8-bit mono PCM). Features are computed from stored bytes only: samples are resampled by
-a rational factor, cut into overlapping frames, put through a mel filterbank, and laid out as patches of one
-fixed shape (frames x bands) with their time spans, an Arrow fixed-shape tensor column. Segments are runs of
-frames that rise over a high threshold of energy and stay over a low one.
+Media are WAV files (8-bit mono PCM), written first. Features are computed from stored bytes only: samples are
+resampled by a rational factor, cut into overlapping frames, put through a mel filterbank, and laid out as
+patches of one fixed shape (frames x bands, 8-bit numbers in half decibels). Patches and their time spans are
+stored as an Arrow record batch with a fixed-shape tensor column, one serialised batch a medium; what is said
+about a medium is read from there. Segments are runs of frames that rise over a high threshold of energy and
+stay over a low one.
 
 Defined cases: null text is an empty payload, which becomes one padding unit; other columns are ignored; an
-empty table gives an empty result; equal bytes give equal features, since each medium is worked on alone. Long
-media are worked on in fixed stretches of frames, so memory holds one stretch besides the samples.
+empty table gives an empty result; equal bytes give equal features, since each medium is worked on alone; rows
+that repeat an id are media of their own. Long media are worked on in fixed stretches of frames, so memory
+holds one stretch besides the samples.
 """
 
 from __future__ import annotations
@@ -23,6 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from ..sources.io import stage
+from .texts import pieces
 
 UNIT = 192
 RATE, UP, DOWN = 16_000, 3, 4
@@ -68,7 +72,7 @@ def resampling_matrix(up: int, down: int, half: int = 8) -> tuple[np.ndarray, in
     t = np.arange(-reach, reach + 1)
     h = np.sinc(t * cutoff) * cutoff * np.kaiser(len(t), 6.0) * up
     lead = reach // up
-    width = lead + (down * (up - 1)) // up + reach // up + 1
+    width = lead + (down * (up - 1) + reach) // up + 1
     k = np.zeros((width, up))
     for r in range(up):
         for j in range(width):
@@ -134,8 +138,14 @@ def segments(energy: np.ndarray, high: float, low: float) -> np.ndarray:
     return np.stack([np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)], axis=1)
 
 
+TENSOR = pa.fixed_shape_tensor(pa.int8(), [PATCH, MELS])
+#: Schema of a serialised batch: where a patch begins and ends in its medium, and its log-mel values in half decibels.
+STORED = pa.schema([("start_ms", pa.float64()), ("end_ms", pa.float64()), ("log_mel", TENSOR)])
+SILENCE = -120
+
+
 def features(media: bytes) -> dict:
-    """Patches [n, frames, bands] with spans in ms, segments in ms, of one stored medium."""
+    """Patches [n, frames, bands] in half decibels with spans in ms, segments in ms, of one stored medium."""
     payload, rate = from_wav(media)
     x = (np.frombuffer(payload, np.uint8).astype(np.float32) - 128) / 128
     x = resample(x - x.mean() if len(x) else x)
@@ -143,8 +153,8 @@ def features(media: bytes) -> dict:
     mel, energy = log_mel(x, at_rate)
     n = len(mel)
     patches = -(-n // PATCH)
-    tensor = np.full((patches * PATCH, MELS), -60, np.float32)
-    tensor[:n] = np.round(mel * 2) / 2  # half a decibel: the last bits of a product are no feature
+    tensor = np.full((patches * PATCH, MELS), SILENCE, np.int8)
+    tensor[:n] = np.clip(np.round(mel * 2), SILENCE, 127)  # half a decibel: the last bits of a product are no feature
     ms = 1000 * HOP / at_rate
     starts = np.arange(patches) * PATCH
     spans = np.stack([starts * ms, np.minimum(starts + PATCH, n) * ms], axis=1)
@@ -153,16 +163,16 @@ def features(media: bytes) -> dict:
     return {"frames": n, "tensor": tensor.reshape(patches, PATCH, MELS), "spans": spans, "segments": runs * ms, "energy": energy}
 
 
-TENSOR = pa.fixed_shape_tensor(pa.float32(), [PATCH, MELS])
+def stored(f: dict) -> bytes:
+    """Patches with their spans as a serialised Arrow batch of the schema STORED."""
+    cells = pa.FixedSizeListArray.from_arrays(pa.array(f["tensor"].ravel()), PATCH * MELS)
+    batch = pa.RecordBatch.from_arrays([pa.array(f["spans"][:, 0]), pa.array(f["spans"][:, 1]), pa.ExtensionArray.from_storage(TENSOR, cells)], schema=STORED)
+    return batch.serialize().to_pybytes()
 
 
-def tensor_table(rows: list[tuple[int, dict]]) -> pa.Table:
-    """Patches of several media as an Arrow table with a fixed-shape tensor column and time spans."""
-    flat = np.concatenate([f["tensor"] for _, f in rows]) if rows else np.zeros((0, PATCH, MELS), np.float32)
-    spans = np.concatenate([f["spans"] for _, f in rows]) if rows else np.zeros((0, 2))
-    ids = [k for k, f in rows for _ in f["tensor"]]
-    storage = pa.FixedSizeListArray.from_arrays(pa.array(flat.ravel()), PATCH * MELS)
-    return pa.table({"doc_id": pa.array(ids, pa.int64()), "start_ms": spans[:, 0], "end_ms": spans[:, 1], "log_mel": pa.ExtensionArray.from_storage(TENSOR, storage)})
+def loaded(raw) -> pa.RecordBatch:
+    """The batch that stored() wrote."""
+    return pa.ipc.read_record_batch(pa.py_buffer(raw), STORED)
 
 
 MEDIA = "doc_id long, n_bytes long, media binary"
@@ -173,56 +183,80 @@ def media_of(docs: DataFrame, unit: int = UNIT) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for at in range(0, batch.num_rows, 1024):
-                part = batch.slice(at, 1024)
+            for part in pieces(batch):
                 raw = [b"" if t is None else t.encode() for t in part.column("text").to_pylist()]
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([len(r) for r in raw], pa.int64()), pa.array([to_wav(padded(r, unit)) for r in raw], pa.binary())], names=["doc_id", "n_bytes", "media"])
 
     return docs.select("doc_id", "text").mapInArrow(run, MEDIA)
 
 
-def media_patches(media: DataFrame) -> DataFrame:
-    """One row a patch: (doc_id, start_ms, end_ms, log_mel) with log_mel flat, of PATCH x MELS values."""
+TENSORS = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, frames long, segments array<double>, tensors binary"
+#: Media are worked on so many at a time, and fewer if their bytes pass the other number.
+ROWS, BYTES = 256, 4 << 20
+
+
+def media_tensors(media: DataFrame) -> DataFrame:
+    """One row a medium: checksums of what is stored, frames, segments (ms, begin and end in turn), patches as stored()."""
+    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.list_(pa.float64()), pa.binary()]
+
+    def made(rows: list[tuple]) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=[x.split()[0] for x in TENSORS.split(", ")])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for doc_id, m in zip(batch.column("doc_id").to_pylist(), batch.column("media"), strict=True):
-                table = tensor_table([(doc_id, features(m.as_py()))])
-                column = table.column("log_mel").combine_chunks().storage.cast(pa.list_(pa.float32()))
-                yield pa.RecordBatch.from_arrays([table.column(c).combine_chunks() for c in ("doc_id", "start_ms", "end_ms")] + [column], names=["doc_id", "start_ms", "end_ms", "log_mel"])
+            rows, held = [], 0
+            for k in range(batch.num_rows):
+                m = batch.column("media")[k].as_py()
+                payload, f = from_wav(m)[0], features(m)
+                rows.append((batch.column("doc_id")[k].as_py(), batch.column("n_bytes")[k].as_py(), len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-16:]), len(m), hashlib.sha256(m).hexdigest(), f["frames"], f["segments"].ravel(), stored(f)))
+                held += len(m)
+                if len(rows) >= ROWS or held >= BYTES:
+                    yield made(rows)
+                    rows, held = [], 0
+            if rows:
+                yield made(rows)
 
-    return media.select("doc_id", "media").mapInArrow(run, "doc_id long, start_ms double, end_ms double, log_mel array<float>")
+    return media.select("doc_id", "n_bytes", "media").mapInArrow(run, TENSORS)
 
 
-DIGEST = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
+def media_patches(tensors: DataFrame) -> DataFrame:
+    """Stored tensors to one row a patch: (doc_id, start_ms, end_ms, log_mel), log_mel in decibels, PATCH rows of MELS behind each other."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for doc_id, raw in zip(batch.column("doc_id").to_pylist(), batch.column("tensors"), strict=True):
+                one = loaded(raw.as_buffer())
+                values = one.column("log_mel").to_numpy_ndarray().reshape(one.num_rows, -1).astype(np.float32) / 2
+                yield pa.RecordBatch.from_arrays([pa.array([doc_id] * one.num_rows, pa.int64()), one.column("start_ms"), one.column("end_ms"), pa.array(list(values), pa.list_(pa.float32()))], names=["doc_id", "start_ms", "end_ms", "log_mel"])
+
+    return tensors.select("doc_id", "tensors").mapInArrow(run, "doc_id long, start_ms double, end_ms double, log_mel array<float>")
 
 
-def describe(media: bytes) -> str:
-    """A line about a medium's features: sizes, segments, mean level, and a checksum of the tensor column."""
-    f = features(media)
-    stored = tensor_table([(0, f)]).column("log_mel").combine_chunks().storage.values
-    active = float((f["segments"][:, 1] - f["segments"][:, 0]).sum()) if len(f["segments"]) else 0.0
-    crc = zlib.crc32(np.asarray(stored).tobytes())
-    return f"frames={f['frames']};patches={len(f['tensor'])}x{PATCH}x{MELS};span_ms={math.floor(f['spans'][-1, 1])};segments={len(f['segments'])};active_ms={math.floor(active)};log_mel_crc32={crc:08x}"
+def describe(frames: int, segments: np.ndarray, raw) -> str:
+    """A line about a medium's stored features: sizes, segments, and a checksum of the tensor column."""
+    batch = loaded(raw)
+    n, values = batch.num_rows, batch.column("log_mel").storage.flatten()
+    active = float((segments[1::2] - segments[::2]).sum())
+    crc = zlib.crc32(np.asarray(values).tobytes())
+    return f"frames={frames};patches={n}x{PATCH}x{MELS};span_ms={math.floor(batch.column('end_ms')[n - 1].as_py())};segments={len(segments) // 2};active_ms={math.floor(active)};log_mel_crc32={crc:08x}"
+
+
+DIGEST = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
 
 
-def digest(media: DataFrame) -> DataFrame:
-    """One row a medium: what was stored, and its features, all from the stored bytes."""
+def digest(tensors: DataFrame) -> DataFrame:
+    """One row a medium: its checksums, and a line about the features read from the stored tensors."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            rows = []
-            for doc_id, n, m in zip(*(batch.column(c).to_pylist() for c in ("doc_id", "n_bytes", "media")), strict=True):
-                payload, _ = from_wav(m)
-                rows.append((doc_id, n, len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-16:]), len(m), hashlib.sha256(m).hexdigest(), describe(m)))
-            columns = list(zip(*rows, strict=True)) or [()] * 8
-            kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()]
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=[x.split()[0] for x in DIGEST.split(", ")])
+            lines = [describe(n, np.asarray(runs.as_py(), np.float64), raw.as_buffer()) for n, runs, raw in zip(batch.column("frames").to_pylist(), batch.column("segments"), batch.column("tensors"), strict=True)]
+            keep = [x.split()[0] for x in DIGEST.split(", ")][:-1]
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), pa.array(lines, pa.string())], names=[*keep, "feature"])
 
-    return media.mapInArrow(run, DIGEST)
+    return tensors.mapInArrow(run, DIGEST)
 
 
 def op2_audio_features(spark, sf_dir: str) -> DataFrame:
-    """All documents as WAV files, written, read back and described."""
+    """All documents as WAV files, written and read back; their tensors, written and read back; a line about each."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    return digest(stage(media_of(docs), "media"))
+    return digest(stage(media_tensors(stage(media_of(docs), "media", compression="zstd")), "tensors", compression="zstd"))
