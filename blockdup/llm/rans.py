@@ -1,8 +1,9 @@
 """Range asymmetric numeral systems over token ids: one static table, independent blocks, interleaved lanes.
 
 A block's ids are dealt over lanes row by row; all lanes take a step together, so numpy carries the coder.
-Blocks hold checkpoints (state of all lanes before a row, and the place in the word stream), from which a
-reader can start, and two checksums (of the ids and of everything stored).
+Blocks hold checkpoints (state of all lanes before a row, the place in the word stream, and a checksum of the
+ids up to the next one). A reader can start at any of them, so the segments between them decode in parallel;
+a whole block has two checksums of its own (of the ids and of everything stored).
 """
 
 from __future__ import annotations
@@ -19,6 +20,7 @@ ROWS_BETWEEN_CHECKPOINTS = 32
 _U = np.uint64
 _LOW = _U(1 << 31)
 _HEAD = struct.Struct("<4sIIIII")  # magic, ids, lanes, words, checkpoints, crc of the ids
+_MARK = struct.Struct("<III")  # row, words used before it, crc of the ids up to the next checkpoint
 
 
 def frequency_table(counts: np.ndarray, bits: int = BITS) -> np.ndarray:
@@ -76,41 +78,57 @@ class Coder:
             if r and r % ROWS_BETWEEN_CHECKPOINTS == 0:
                 marks.append((r, written, x.astype("<u8").tobytes()))
         stream = np.concatenate(words[::-1]).astype("<u4") if words else np.zeros(0, "<u4")
-        body = [x.astype("<u8").tobytes(), *(struct.pack("<II", r, written - w) + state for r, w, state in reversed(marks)), stream.tobytes()]
+        segment = lanes * ROWS_BETWEEN_CHECKPOINTS
+        crc = lambda r: zlib.crc32(ids[r * lanes : r * lanes + segment].astype("<u2").tobytes())
+        body = [_MARK.pack(0, 0, crc(0)) + x.astype("<u8").tobytes(), *(_MARK.pack(r, written - w, crc(r)) + state for r, w, state in reversed(marks)), stream.tobytes()]
         head = _HEAD.pack(MAGIC, n, lanes, len(stream), len(marks), zlib.crc32(ids.astype("<u2").tobytes()))
         whole = head + b"".join(body)
         return whole + struct.pack("<I", zlib.crc32(whole))
 
-    def decode(self, block: bytes, checkpoint: int = 0, rows: int | None = None) -> np.ndarray:
-        """All ids of a block, or those from a checkpoint on (0: the start), for so many rows."""
-        magic, n, lanes, n_words, n_marks, crc = _HEAD.unpack_from(block)
+    def decode(self, block: bytes) -> np.ndarray:
+        """All ids of a block."""
+        magic, n, lanes, _, _, crc = _HEAD.unpack_from(block)
         if magic != MAGIC or zlib.crc32(memoryview(block)[:-4]) != struct.unpack_from("<I", block, len(block) - 4)[0]:
             raise ValueError("the block is damaged")
-        at = _HEAD.size
-        step = 8 + 8 * lanes
-        words_at = at + 8 * lanes + n_marks * step
-        if checkpoint:
-            at += 8 * lanes + (checkpoint - 1) * step
-            row, used = struct.unpack_from("<II", block, at)
-            at += 8
-        else:
-            row, used = 0, 0
-        x = np.frombuffer(block, "<u8", lanes, at).astype(_U)
-        stream = np.frombuffer(block, "<u4", n_words, words_at).astype(_U)
-        out, first = np.empty(n, np.uint16), row * lanes
-        last = -(-n // lanes) if rows is None else min(row + rows, -(-n // lanes))
+        out = self._rows(block, 0, -(-n // lanes))
+        if zlib.crc32(out.astype("<u2").tobytes()) != crc:
+            raise ValueError("the ids do not match their checksum")
+        return out
+
+    def decode_segment(self, block: bytes, k: int) -> np.ndarray:
+        """The ids from checkpoint k (0: the start) up to the next one, with no other part of the block decoded or checked."""
+        magic, n, lanes, _, _, _ = _HEAD.unpack_from(block)
+        if magic != MAGIC:
+            raise ValueError("the block is damaged")
+        out = self._rows(block, k, min(ROWS_BETWEEN_CHECKPOINTS, -(-n // lanes) - k * ROWS_BETWEEN_CHECKPOINTS))
+        if zlib.crc32(out.astype("<u2").tobytes()) != _MARK.unpack_from(block, _HEAD.size + k * (_MARK.size + 8 * lanes))[2]:
+            raise ValueError("the ids do not match their checksum")
+        return out
+
+    def _rows(self, block: bytes, k: int, rows: int) -> np.ndarray:
+        """So many rows of ids from checkpoint k on."""
+        _, n, lanes, n_words, n_marks, _ = _HEAD.unpack_from(block)
+        step = _MARK.size + 8 * lanes
+        at, words_at = _HEAD.size + k * step, _HEAD.size + (n_marks + 1) * step
+        row, used, _ = _MARK.unpack_from(block, at)
+        x = np.frombuffer(block, "<u8", lanes, at + _MARK.size).astype(_U)
+        stream = np.frombuffer(block, "<u4", n_words, words_at)
+        first, last = row * lanes, row + rows
+        out = np.empty(min(n, last * lanes) - first, np.uint16)
         for r in range(row, last):
             m = min(lanes, n - r * lanes)
             y = x[:m]
             slot = y & self.mask
             s = self.of_slot[slot]
-            out[r * lanes : r * lanes + m] = s
+            out[r * lanes - first : r * lanes - first + m] = s
             y = self.freq[s] * (y >> self.bits) + slot - self.base[s]
             low = np.flatnonzero(y < _LOW)
             y[low] = (y[low] << _U(32)) | stream[used : used + len(low)]
             used += len(low)
             x[:m] = y
-        out = out[first : min(n, last * lanes)]
-        if not checkpoint and rows is None and zlib.crc32(out.astype("<u2").tobytes()) != crc:
-            raise ValueError("the ids do not match their checksum")
         return out
+
+
+def segments(block: bytes) -> int:
+    """Parts of a block that can be decoded by themselves."""
+    return _HEAD.unpack_from(block)[4] + 1

@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..sources.io import stage
-from .rans import BITS, Coder, frequency_table
+from .rans import BITS, LANES, ROWS_BETWEEN_CHECKPOINTS, Coder, frequency_table, segments
 from .texts import pieces
 from .words_bpe import encoder
 
@@ -138,6 +138,27 @@ def read_token_files(coded: DataFrame, table: DataFrame) -> DataFrame:
     return placed.mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
+def read_segments(coded: DataFrame, table: DataFrame) -> DataFrame:
+    """(part, block, segment, first, ids): the token stream decoded from all checkpoints side by side; first is the place within the part."""
+    freq = bytes(table.first()[0])
+
+    def cuts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            n = [segments(p.as_buffer()) for p in batch.column("payload")]
+            yield batch.append_column("segments", pa.array(n, pa.int32()))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part, block, first, segment, payload in zip(*(batch.column(k).to_pylist() for k in range(4)), batch.column("payload"), strict=True):
+                ids = _coder(freq).decode_segment(payload.as_py(), segment).astype(np.int32)
+                yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([block], pa.int32()), pa.array([segment], pa.int32()), pa.array([first + segment * ROWS_BETWEEN_CHECKPOINTS * LANES], pa.int64()), pa.array([ids], pa.list_(pa.int32()))], names=["part", "block", "segment", "first", "ids"])
+
+    kinds = "part int, block int, first long, payload binary, segments int"
+    marked = coded.select("part", "block", "first", "payload").mapInArrow(cuts, kinds)
+    each = marked.select("part", "block", "first", F.explode(F.sequence(F.lit(0), F.col("segments") - 1)).alias("segment"), "payload")
+    return each.repartition("part", "block", "segment").mapInArrow(run, "part int, block int, segment int, first long, ids array<int>")
+
+
 def op3_token_files(spark, sf_dir: str) -> DataFrame:
     """All documents, byte-level vocabulary, end id 2, written as coded blocks and read back."""
     import public_tokenizers
