@@ -37,8 +37,10 @@ def test_coder_round_trip_checkpoints_and_damage():
         coder = rans.Coder(rans.frequency_table(np.bincount(ids, minlength=65536)))
         block = coder.encode(ids)
         assert (coder.decode(block) == ids).all()
-    from_row = rans.LANES * rans.ROWS_BETWEEN_CHECKPOINTS
-    assert (coder.decode(block, 1) == ids[from_row:]).all()
+    step = rans.LANES * rans.ROWS_BETWEEN_CHECKPOINTS
+    assert rans.segments(block) == -(-n // step) > 2
+    for k in range(rans.segments(block)):
+        assert (coder.decode_segment(block, k) == ids[k * step : (k + 1) * step]).all()
     with pytest.raises(ValueError):
         coder.decode(block[:50] + bytes([block[50] ^ 1]) + block[51:])
 
@@ -103,19 +105,54 @@ def test_vocabulary_neighbours():
 
 
 def test_audio(spark, odd):
-    got = rows_of(audio.digest(audio.media_of(odd)))
+    tensors = audio.media_tensors(audio.media_of(odd))
+    got = rows_of(audio.digest(tensors))
     assert len(got) == odd.count()
+    patches = rows_of(audio.media_patches(tensors))
     for r in got[got.doc_id.notna()].itertuples():
         payload = audio.padded(text_of(dict(enumerate(ODD)).get(r.doc_id)).encode())
         assert r.payload_bytes == len(payload) and len(payload) % 192 == 0 and r.payload_bytes >= max(192, r.n_bytes)
         assert r.payload_sha256 == hashlib.sha256(payload).hexdigest() and r.tail_crc32 == zlib.crc32(payload[-16:])
-        assert audio.from_wav(audio.to_wav(payload)) == (payload, audio.RATE) and r.feature == audio.describe(audio.to_wav(payload))
+        media = audio.to_wav(payload)
+        assert audio.from_wav(media) == (payload, audio.RATE) and (r.media_bytes, r.media_sha256) == (len(media), hashlib.sha256(media).hexdigest())
+        mine = patches[patches.doc_id == r.doc_id].drop_duplicates("start_ms").sort_values("start_ms")
+        x = plain_log_mel(payload)
+        found = np.array([v for p in mine.log_mel for v in p]).reshape(-1, audio.MELS)
+        off = np.abs(found[: len(x)] - np.maximum(x, -60))  # single precision shows at the bottom
+        assert off[x > -40].max(initial=0) <= 0.26 and off.max() <= 1.5 and (found[len(x) :] == -60).all()
+        ms = 1000 * audio.HOP / 12_000
+        assert np.allclose(mine.end_ms.astype(float), np.minimum(mine.start_ms.astype(float) + 32 * ms, len(x) * ms)) and r.feature.startswith(f"frames={len(x)};patches={len(mine)}x32x24;span_ms={int(len(x) * ms + 1e-9)};")
     x = np.sin(2 * np.pi * 440 * np.arange(16_000) / 16_000).astype(np.float32)
     y = audio.resample(x)
     assert len(y) == 12_000 and abs(np.abs(np.fft.rfft(y)).argmax() - 440) <= 1 and 0.95 < np.abs(y[100:-100]).max() < 1.05
     assert audio.segments(np.array([0, 5, 2, 2, 0, 9.0]), 4, 1).tolist() == [[1, 4], [5, 6]]
-    table = audio.tensor_table([(1, audio.features(audio.to_wav(b"abc" * 64)))])
-    assert table.schema.field("log_mel").type == audio.TENSOR and table.num_rows == 1
+    assert audio.loaded(audio.stored(audio.features(audio.to_wav(b"abc" * 64)))).schema.field("log_mel").type == audio.TENSOR
+    low, high = audio.log_mel(x, 8_000)[0], audio.log_mel(x, 16_000)[0]
+    assert np.abs(low - high).max() > 1 and (audio.log_mel(x, 8_000)[0] == low).all()
+    assert audio.digest(audio.media_tensors(audio.media_of(odd.where("false")))).count() == 0
+
+
+def plain_log_mel(payload):
+    """The same features sample by sample: a sum over the windowed sinc for each output, one frame at a time."""
+    x = (np.frombuffer(payload, np.uint8).astype(float) - 128) / 128
+    x = x - x.mean()
+    n = -(-len(x) * 3 // 4)
+    reach, y = 32, np.zeros(n)
+    for k in range(n):
+        for j in range(max(0, -(-(4 * k - reach) // 3)), min(len(x) - 1, (4 * k + reach) // 3) + 1):
+            t = 4 * k - 3 * j
+            y[k] += x[j] * np.sinc(t / 4) / 4 * np.i0(6 * np.sqrt(max(0, 1 - (t / reach) ** 2))) / np.i0(6.0) * 3
+    frames = 1 + max(0, -(-(n - 256) // 128))
+    y = np.concatenate([y, np.zeros(frames * 128 + 256 - n)])
+    mel = lambda f: 2595 * np.log10(1 + f / 700)
+    edges = [700 * (10 ** (mel(6000) * k / 25 / 2595) - 1) for k in range(26)]
+    f = np.arange(129) * 6000 / 128
+    out = np.zeros((frames, 24))
+    for k in range(frames):
+        power = np.abs(np.fft.rfft(y[128 * k : 128 * k + 256] * np.hanning(256))) ** 2
+        for b in range(24):
+            out[k, b] = 10 * np.log10((power * np.clip(np.minimum((f - edges[b]) / (edges[b + 1] - edges[b]), (edges[b + 2] - f) / (edges[b + 2] - edges[b + 1])), 0, None)).sum() + 1e-6)
+    return out
 
 
 def components(texts, percent, width=5):
@@ -174,11 +211,29 @@ def test_linked_vectors(spark):
     rows += [(150, None), (151, [0.0] * 16), (152, [float("nan")] * 16), (153, rows[0][1]), (154, rows[0][1]), (155, [1.0, None] * 8), (156, [1.0, 2.0]), (157, [])]
     df = spark.createDataFrame([(a, b, "z") for a, b in rows], "vec_id long, embedding array<float>, kept string")
     got = rows_of(embeddings.linked_vectors(df, 0.9, tile=32)).sort_values("vec_id").reset_index(drop=True)
-    want = embeddings.brute_force([a for a, _ in rows[:156]], [b for _, b in rows[:156]], 0.9)
-    assert got.n_links.tolist() == [*want.n_links, 0, 0] and got.component_id.tolist() == [*want.component_id, 156, 157]
+    want = embeddings.brute_force([a for a, _ in rows], [b for _, b in rows], 0.9)
+    assert got.n_links.tolist() == want.n_links.tolist() and got.component_id.tolist() == want.component_id.tolist()
     assert embeddings.linked_vectors(df.where("false")).count() == 0
 
 
+def test_vectors_of_other_lengths_and_in_double_precision(spark):
+    r = np.random.default_rng(1)
+    rows = [r.normal(size=8).tolist() for _ in range(40)] + [(np.array([3.0, 4, 5]) + 0.3 * r.normal(size=3)).tolist() for _ in range(30)] + [[1.0], [2.0], [-1.0]]
+    # two pairs as near to the threshold as doubles can tell and single precision cannot
+    turn = lambda c: [[1.0, 0, 0, 0, 0], [c, float(np.sqrt(1 - c * c)), 0, 0, 0]]
+    rows += [*turn(0.9 + 1e-10), *[[0, 0, 0, *x[:2]] for x in turn(0.9 - 1e-10)]]
+    rows = [[float(c) for c in v] for v in rows]
+    df = spark.createDataFrame(list(enumerate(rows)), "vec_id long, embedding array<double>")
+    got = rows_of(embeddings.linked_vectors(df, 0.9, tile=7)).sort_values("vec_id").reset_index(drop=True)
+    want = embeddings.brute_force(list(range(len(rows))), rows, 0.9)
+    assert want.n_links.tolist()[-4:] == [1, 1, 0, 0] and want.n_links[40:70].sum() > 0
+    assert got.n_links.tolist() == want.n_links.tolist() and got.component_id.tolist() == want.component_id.tolist()
+    # rows of one id are vectors of their own
+    twice = spark.createDataFrame([(3, [1.0, 0.0]), (5, [1.0, 0.0]), (4, [0.0, 1.0]), (5, [0.0, 1.0]), (None, [0.0, 2.0])], "vec_id long, embedding array<double>")
+    got = sorted(((x.vec_id, x.n_links, x.component_id) for x in embeddings.linked_vectors(twice).collect()), key=str)
+    assert got == [(3, 1, 3), (4, 2, 4), (5, 1, 3), (5, 2, 4), (None, 2, 4)]
+
+
 def test_language_and_quality(spark, odd):
     sf = "/root/testdata/sf0.01"
     docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
@@ -200,7 +255,11 @@ def test_nonnegative_risk_learns_from_positives_and_unlabelled():
     r = np.random.default_rng(0)
     p, n = r.normal(1.5, 1, (400, 3)), r.normal(-1.5, 1, (200, 3))
     u = np.concatenate([r.normal(1.5, 1, (400, 3)), n])
-    z = quality.train(p, u, 2 / 3, epochs=60).forward(np.concatenate([p, n]))[1]
+    net = quality.Descent(quality.initial(3))
+    quality.learn(net, p.astype(np.float32), u.astype(np.float32), 2 / 3, 60, 5e-3, r)
+    z = quality.forward(net.p, np.concatenate([p, n]).astype(np.float32))[1]
+    counts = np.bincount(np.searchsorted(quality.CUTS, quality.forward(net.p, u.astype(np.float32))[1], side="right"), minlength=len(quality.CUTS) + 1)
+    assert abs(quality.estimated_prior(z[:400], counts) - 2 / 3) < 0.1
     assert ((z > 0) == np.repeat([True, False], [400, 200])).mean() > 0.95
 
 
