@@ -5,10 +5,9 @@ from __future__ import annotations
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from blockdup.llm import language_id, minhash, packing, quality
-from blockdup.sources.io import shared_folder
+from blockdup.sources.io import delete, drop_staged, shared_folder, staged
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -22,18 +21,8 @@ def judge_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near-duplicates stays: the one with the smallest id, its first row by text."""
-    groups = minhash.near_duplicates(docs, percent=80)
-    kept = groups.where("kept").select("doc_id").distinct()
-    named = docs.where("doc_id is null").unionByName(docs.join(kept, "doc_id", "left_semi").select(*docs.columns))
-    # an id that is repeated, with like texts or not, stays once
-    repeated = named.groupBy("doc_id").agg(F.count("*").alias("c")).where("c > 1 and doc_id is not null")
-    if repeated.limit(1).count() == 0:
-        return named
-    once = named.join(repeated.select("doc_id"), "doc_id", "left_anti").select(*docs.columns)
-    some = named.join(repeated.select("doc_id"), "doc_id", "left_semi").select(*docs.columns)
-    first = some.groupBy("doc_id").agg(F.min(F.struct(*(c for c in docs.columns if c != "doc_id"))).alias("r")).select("doc_id", "r.*")
-    return once.unionByName(first.select(*docs.columns))
+    """One document of each group of near-duplicates stays: the one with the smallest id."""
+    return minhash.one_of_each(docs, percent=80)
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -54,10 +43,13 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over documents, each written as Parquet and reread."""
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    """All stages over documents, each written as Parquet and reread; what a stage needed on its way is removed behind it."""
+    docs, before = spark.read.parquet(f"{sf_dir}/documents.parquet"), None
     for name, stage in STAGES:
-        path = f"{shared_folder(spark)}/pipeline-{name}-{uuid.uuid4().hex}"
+        mark, path = staged(), f"{shared_folder(spark)}/pipeline-{name}-{uuid.uuid4().hex}"
         stage(spark, docs, sf_dir).write.parquet(path)
-        docs = spark.read.parquet(path)
+        drop_staged(mark)
+        if before is not None:
+            delete(spark, before)
+        docs, before = spark.read.parquet(path), path
     return docs
