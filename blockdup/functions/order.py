@@ -24,7 +24,7 @@ def element_frequency(bag: DataFrame) -> DataFrame:
     return bag.select("token", F.explode(F.sequence(F.lit(1), F.col("freq"))).alias("k")).groupBy("token", "k").agg(F.count("*").cast("long").alias("gf"))
 
 
-def _gather(keyed: DataFrame, expand: bool) -> DataFrame:
+def _gather(keyed: DataFrame, expand: bool, keys: bool) -> DataFrame:
     """Rows (block, key, token, freq or k) to one row a block, its elements in the order of (key, token, k)."""
     sort = F.array_sort(F.collect_list(F.struct("key", "token", "k")))
     rows = keyed.groupBy("block_id", "project_id").agg(sort.alias("sorted"))
@@ -33,11 +33,12 @@ def _gather(keyed: DataFrame, expand: bool) -> DataFrame:
         made = F.flatten(F.transform("sorted", lambda s: F.transform(F.sequence(F.lit(1), s["k"]), lambda k: name(s, k))))
     else:
         made = F.transform("sorted", lambda s: name(s, s["k"]))
-    return rows.select("block_id", "project_id", made.alias("elements")).select("block_id", "project_id", F.size("elements").alias("n"), "elements")
+    more = [F.flatten(F.transform("sorted", lambda s: F.array_repeat(s["key"].cast("long"), s["k"] if expand else F.lit(1)))).alias("keys")] if keys else []
+    return rows.select("block_id", "project_id", made.alias("elements"), *more).select("block_id", "project_id", F.size("elements").alias("n"), "elements", *(["keys"] if keys else []))
 
 
-def ordered_blocks(bag: DataFrame, order: str = "token_frequency", frequencies: DataFrame | None = None) -> DataFrame:
-    """(block_id, project_id, n, elements) sorted by a global order.
+def ordered_blocks(bag: DataFrame, order: str = "token_frequency", frequencies: DataFrame | None = None, keys: bool = False) -> DataFrame:
+    """(block_id, project_id, n, elements[, keys]) sorted by a global order; keys: what elements are sorted by before token and occurrence.
 
     `frequencies` is a frozen (token, gf) table, e.g. that of a stored index; tokens it does not know take 0,
     which puts them first, in every block alike.
@@ -47,7 +48,7 @@ def ordered_blocks(bag: DataFrame, order: str = "token_frequency", frequencies:
     if order == "element_frequency":
         known = element_frequency(bag) if frequencies is None else frequencies
         spread = bag.select("block_id", "project_id", "token", F.explode(F.sequence(F.lit(1), F.col("freq"))).alias("k"))
-        return _gather(spread.join(known, ["token", "k"], "left").withColumn("key", F.coalesce("gf", F.lit(0))), expand=False)
+        return _gather(spread.join(known, ["token", "k"], "left").withColumn("key", F.coalesce("gf", F.lit(0))), False, keys)
     named = bag.withColumnRenamed("freq", "k")
     if order in ("token_frequency", "popular_first"):
         known = global_token_frequency(bag) if frequencies is None else frequencies
@@ -55,7 +56,7 @@ def ordered_blocks(bag: DataFrame, order: str = "token_frequency", frequencies:
         keyed = named.join(known.select("token", "gf"), "token", "left").withColumn("key", key)
     else:
         keyed = named.withColumn("key", F.lit(0) if order == "alphabetical" else -F.length("token"))
-    return _gather(keyed, expand=True)
+    return _gather(keyed, True, keys)
 
 
 def zipf_profile(bag: DataFrame) -> DataFrame:

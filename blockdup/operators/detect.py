@@ -30,20 +30,64 @@ def _after(n_b: Column, b: Column, n_c: Column, c: Column) -> Column:
     return (n_b > n_c) | ((n_b == n_c) & (b < c))
 
 
+#: An element with more postings than this is split over several tasks on one side of the join.
+HOT = 20_000
+
+
+def size_bits(n: Column) -> Column:
+    """Binary digits of a size: blocks within a factor of two differ by one at most."""
+    return F.length(F.bin(n))
+
+
+def _reach(theta_pm: int, measure: str) -> int:
+    """Steps of size_bits that a partner can lie away."""
+    share, steps = (theta_pm / 1000) ** (2 if measure == "cosine" else 1), 0
+    while share < 1:
+        share, steps = share * 2, steps + 1
+    return steps
+
+
+def spread_hot(b: DataFrame, c: DataFrame, hot: int) -> tuple[DataFrame, DataFrame, list[str]]:
+    """Postings with a column `salt`: those of a hot element of `c` are dealt over parts, those of `b` go to each of its parts.
+
+    A hot element's rows then meet in as many tasks as it has parts, whatever their output. Elements are hot by
+    their own number of postings; the table of them is no longer than the postings over `hot`.
+    """
+    many = c.groupBy("element").agg(F.count("*").alias("times")).where(F.col("times") > hot).select("element", F.ceil(F.col("times") / hot).cast("int").alias("parts"))
+    many = stage(many, "hot")
+    if not many.limit(1).count():
+        return b, c, []
+    dealt = c.join(many, "element", "left").withColumn("salt", F.pmod(F.xxhash64("c"), F.coalesce("parts", F.lit(1))).cast("int")).drop("parts")
+    sent = b.join(many, "element", "left").withColumn("salt", F.explode(F.sequence(F.lit(0), F.coalesce("parts", F.lit(1)) - 1))).drop("parts")
+    return sent, dealt, ["salt"]
+
+
 def candidates(
     left: DataFrame, right: DataFrame, theta_pm: int = 700, measure: str = "overlap", *,
-    between: bool = False, within: bool = False, filters: frozenset[str] = ALL, min_shared: int = 1,
+    between: bool = False, within: bool = False, filters: frozenset[str] = ALL, min_shared: int = 1, hot: int | None = HOT,
 ) -> DataFrame:
     """(b, c, n_b, n_c, seen, last_b, last_c) from two sets of postings.
 
     between: the sides are different repositories, so both orders of size are possible. within: only pairs
-    of one project. A hot element is split by AQE's skewed-join rule: nothing above the join needs its rows
-    together before the partial aggregate.
+    of one project. The join key is the element, the binary digits of the size (with the size filter) and, for
+    elements of more than `hot` postings, a part of them: popular elements are split three ways at once.
     """
     b = left.select("element", F.col("block_id").alias("b"), F.col("project_id").alias("project_b"), F.col("pos").alias("pos_b"), F.col("n").alias("n_b"))
     c = right.select("element", F.col("block_id").alias("c"), F.col("project_id").alias("project_c"), F.col("pos").alias("pos_c"), F.col("n").alias("n_c"))
     n_b, n_c, pos_b, pos_c = (F.col(x) for x in ("n_b", "n_c", "pos_b", "pos_c"))
-    on = b["element"] == c["element"]
+    keys = ["element"]
+    if hot:
+        b, c, more = spread_hot(b, c, hot)
+        keys += more
+    if "size" in filters:
+        steps = _reach(theta_pm, measure)
+        c = c.withColumn("bits", size_bits(n_c))
+        b = b.withColumn("bits", F.explode(F.sequence(size_bits(n_b) - steps, size_bits(n_b) + (steps if between else 0))))
+        keys.append("bits")
+    c = c.select(*(F.col(k).alias(f"{k}_c") if k in keys else F.col(k) for k in c.columns))
+    on = F.lit(True)
+    for k in keys:
+        on = on & (F.col(k) == F.col(f"{k}_c"))
     if within:
         on = on & (F.col("project_b") == F.col("project_c"))
     if not between:
@@ -72,11 +116,25 @@ def _with_elements(found: DataFrame, left: DataFrame, right: DataFrame) -> DataF
     return found.join(b, "b").join(c, "c")
 
 
+def _rest(e: Column, last: Column) -> Column:
+    return F.slice(e, last + 1, F.greatest(F.size(e) - last, F.lit(0)))
+
+
 def verify_array(found: DataFrame, left: DataFrame, right: DataFrame, theta_pm: int, measure: str = "overlap", strict: bool = False) -> DataFrame:
-    """Resume after the last elements seen; the rest by a hashed set intersection inside the JVM."""
-    rest = lambda e, last: F.slice(e, F.col(last) + 1, F.greatest(F.size(e) - F.col(last), F.lit(0)))
-    tail = F.size(F.array_intersect(rest("of_b", "last_b"), rest("of_c", "last_c")))
-    return _accept(_with_elements(found, left, right).withColumn("overlap", F.col("seen") + tail), theta_pm, measure, strict)
+    """Resume after the last elements seen; the rest by a hashed set intersection inside the JVM.
+
+    Candidates carry what is left of a block as 64-bit hashes, cut before it is sent on; the few that pass are
+    counted once more on the elements themselves. Only a hash shared by two elements of one block could hide a
+    pair: a chance of n * n / 2^65.
+    """
+    codes = F.transform("elements", lambda e: F.xxhash64(e))
+    b = left.select(F.col("block_id").alias("b"), codes.alias("of_b"))
+    c = right.select(F.col("block_id").alias("c"), codes.alias("of_c"))
+    half = found.join(b, "b").withColumn("of_b", _rest(F.col("of_b"), F.col("last_b")))
+    tail = F.size(F.array_intersect("of_b", _rest(F.col("of_c"), F.col("last_c"))))
+    likely = half.join(c, "c").withColumn("overlap", F.col("seen") + tail).where(sim.meets(F.col("overlap"), F.col("n_b"), F.col("n_c"), theta_pm, measure, strict))
+    exact = _with_elements(likely.select("b", "c", "n_b", "n_c"), left, right).withColumn("overlap", F.size(F.array_intersect("of_b", "of_c")))
+    return _accept(exact, theta_pm, measure, strict)
 
 
 def verify_join(found: DataFrame, left: DataFrame, right: DataFrame, theta_pm: int, measure: str = "overlap", strict: bool = False) -> DataFrame:
@@ -90,37 +148,38 @@ def verify_join(found: DataFrame, left: DataFrame, right: DataFrame, theta_pm: i
 MERGED = "b long, c long, n_b int, n_c int, overlap int, compared int, outcome string"
 
 
-def merge_verifier(need: np.ndarray, batch: pd.DataFrame, early_accept: bool) -> pd.DataFrame:
-    """Two cursors over the common order with a live bound on the overlap; counts comparisons of elements."""
-    out = []
-    for row, least in zip(batch.itertuples(index=False), need, strict=True):
-        # places of b's elements in c: both follow one order, so these places rise along the shared elements
-        place = {e: j for j, e in enumerate(row.of_c)}
-        i, j, seen, compared, outcome = row.last_b, row.last_c, row.seen, 0, "rejected"
-        while i < row.n_b and j < row.n_c:
-            if seen + min(row.n_b - i, row.n_c - j) < least:
-                break
-            compared += 1
-            at = place.get(row.of_b[i])
-            i += 1
-            if at is not None and at >= j:
-                compared += at - j
-                j, seen = at + 1, seen + 1
-                if early_accept and seen >= least:
-                    break
-        if seen >= least:
-            outcome = "accepted"
-        out.append((row.b, row.c, row.n_b, row.n_c, seen, compared, outcome))
-    return pd.DataFrame(out, columns=["b", "c", "n_b", "n_c", "overlap", "compared", "outcome"])
+def merge(of_b: list[tuple], of_c: list[tuple], i: int, j: int, seen: int, need: int, early_accept: bool) -> tuple[int, int, str]:
+    """(overlap, comparisons, outcome) by two cursors over blocks in one common order.
+
+    The cursor at the lower element moves on; both do after a match. What is left on the shorter side bounds the
+    overlap from above and ends a lost cause; early_accept ends a won one.
+    """
+    n_b, n_c, compared = len(of_b), len(of_c), 0
+    while i < n_b and j < n_c and seen + min(n_b - i, n_c - j) >= need and not (early_accept and seen >= need):
+        compared += 1
+        x, y = of_b[i], of_c[j]
+        seen += x == y
+        i, j = i + (x <= y), j + (y <= x)
+    return seen, compared, "accepted" if seen >= need else "rejected"
 
 
 def verify_merge(found: DataFrame, left: DataFrame, right: DataFrame, theta_pm: int, measure: str = "overlap", early_accept: bool = False) -> DataFrame:
-    """Verification that stops as soon as the bound decides, with its cost; overlap is a lower bound if it accepts early."""
-    rows = _with_elements(found, left, right).withColumn("need", sim.required_overlap(F.col("n_b"), F.col("n_c"), theta_pm, measure))
+    """Verification that stops as soon as the bound decides, with its cost; overlap is a lower bound if it accepts early.
+
+    `left` and `right` hold the sort keys of their elements beside them (`keys`, see ordered_blocks).
+    """
+    b = left.select(F.col("block_id").alias("b"), F.col("elements").alias("of_b"), F.col("keys").alias("keys_b"))
+    c = right.select(F.col("block_id").alias("c"), F.col("elements").alias("of_c"), F.col("keys").alias("keys_c"))
+    rows = found.join(b, "b").join(c, "c").withColumn("need", sim.required_overlap(F.col("n_b"), F.col("n_c"), theta_pm, measure))
+
+    def ordered(keys, elements) -> list[tuple]:
+        parts = (e.split(orders.MARK) for e in elements)
+        return [(key, token, int(k)) for key, (token, k) in zip(keys.tolist(), parts, strict=True)]
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
-            yield merge_verifier(batch.need.to_numpy(), batch, early_accept)
+            out = [(r.b, r.c, r.n_b, r.n_c, *merge(ordered(r.keys_b, r.of_b), ordered(r.keys_c, r.of_c), r.last_b, r.last_c, r.seen, r.need, early_accept)) for r in batch.itertuples(index=False)]
+            yield pd.DataFrame(out, columns=["b", "c", "n_b", "n_c", "overlap", "compared", "outcome"])
 
     return rows.mapInPandas(run, MERGED)
 
@@ -158,9 +217,29 @@ def _accept_keep(df: DataFrame, theta_pm: int, measure: str, strict: bool) -> Da
     return kept.withColumn("similarity", sim.similarity(F.col("overlap"), F.col("n_b"), F.col("n_c"), measure))
 
 
+#: Sub-blocks hold so many elements less one more than a shared element needs, and candidates share as many: on prose a
+#: twentieth of the candidates for a fortieth more of postings. 1 is the shortest sub-block.
+MIN_SHARED = 4
+
+
+def detect_representatives(ordered: DataFrame, theta_pm: int = 700, measure: str = "overlap", *, min_shared: int = MIN_SHARED) -> tuple[DataFrame, DataFrame]:
+    """(pairs of representatives (b, c, n_b, n_c, overlap, similarity), membership (rep, block_id, project_id, n)).
+
+    Blocks with equal bags have one representative, the smallest id. Nothing is expanded: m copies are m rows, not
+    m(m-1)/2 pairs; every pair of blocks follows from a pair of representatives or from a common one.
+    """
+    sim.check(theta_pm, measure)
+    ordered = stage(ordered.where("n > 0"), "ordered")
+    reps, members = collapse_copies(ordered)
+    reps, members = stage(reps, "reps"), stage(members, "members")
+    postings = partial_index(reps, theta_pm, measure, min_shared)
+    found = candidates(postings, postings, theta_pm, measure, min_shared=min_shared)
+    return verify_array(found, reps, reps, theta_pm, measure), members
+
+
 def detect_ordered(
     ordered: DataFrame, theta_pm: int = 700, measure: str = "overlap", *, locality: str = "any", strict: bool = False,
-    filters: frozenset[str] = ALL, min_shared: int = 1, verifier: str = "array", collapse: bool = True, staged: bool = True,
+    filters: frozenset[str] = ALL, min_shared: int = MIN_SHARED, verifier: str = "array", collapse: bool = True, staged: bool = True, hot: int | None = HOT,
 ) -> DataFrame:
     """Clone pairs of ordered blocks: (b, c, n_b, n_c, overlap, similarity, project_b, project_c)."""
     sim.check(theta_pm, measure)
@@ -170,14 +249,14 @@ def detect_ordered(
     if staged:
         ordered = stage(ordered, "ordered")
     members = None
-    reps = ordered
+    reps = ordered.drop("keys")
     if collapse:
         reps, members = collapse_copies(ordered)
         if staged:
             reps, members = stage(reps, "reps"), stage(members, "members")
     within = locality == "intra" and not collapse
     postings = partial_index(reps, theta_pm, measure, min_shared) if "prefix" in filters else full_index(reps)
-    found = candidates(postings, postings, theta_pm, measure, within=within, filters=filters, min_shared=min_shared if "prefix" in filters else 1)
+    found = candidates(postings, postings, theta_pm, measure, within=within, filters=filters, min_shared=min_shared if "prefix" in filters else 1, hot=hot)
     pairs = VERIFIERS[verifier](found, reps, reps, theta_pm, measure, strict)
     if collapse:
         out = expand_copies(pairs, members, theta_pm, measure, strict)

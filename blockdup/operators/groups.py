@@ -53,6 +53,14 @@ def clone_components(pairs: DataFrame) -> DataFrame:
     return connected_components(pairs.select("b", "c")).select(F.col("root").alias("class_id"), F.col("node").alias("block_id"))
 
 
+def components_of(pairs: DataFrame, members: DataFrame) -> DataFrame:
+    """(class_id, block_id) from pairs of representatives and their membership, without a pair of copies being formed."""
+    roots = connected_components(pairs.select("b", "c")).withColumnRenamed("node", "rep")
+    placed = members.select("rep", "block_id").join(roots, "rep", "left").withColumn("root", F.coalesce("root", "rep"))
+    several = placed.groupBy("root").agg(F.count("*").alias("m"), F.min("block_id").alias("class_id")).where("m > 1")
+    return placed.join(several, "root").select("class_id", "block_id")
+
+
 def clone_classes(pairs: DataFrame, piece: int = 10_000) -> DataFrame:
     """(class_id, block_id, is_complete): classes in which every two blocks are a pair.
 

@@ -38,3 +38,32 @@ def best_match(pairs: DataFrame) -> DataFrame:
     both = pairs.select(F.col("b").alias("block_id"), F.col("c").alias("partner"), "similarity").unionByName(pairs.select(F.col("c").alias("block_id"), F.col("b").alias("partner"), "similarity"))
     w = Window.partitionBy("block_id").orderBy(F.desc("similarity"), "partner")
     return both.withColumn("r", F.row_number().over(w)).where("r = 1").drop("r")
+
+
+def without_items(docs: DataFrame, items: DataFrame, id: str = "doc_id", text: str = "text", item: str = "text", words: int = 8) -> DataFrame:
+    """Ids of documents that contain no item word for word.
+
+    A document that contains an item contains the item's inner words in a row (its first and last word may be cut
+    from longer ones). Runs of `words` of these are joined by hash, and only documents that share an item's first
+    run are compared with it letter by letter. Items with fewer inner words are compared by their rarest way
+    left: their longest inner word, or every document if they have none. Null items are in no document; null
+    documents hold no item.
+    """
+    pattern = F.lit(r"([\p{L}\p{N}_]+)")
+    d = docs.select(F.col(id).alias("doc"), F.col(text).alias("body"))
+    known = items.select(F.col(item).alias("item")).where("item is not null").distinct()
+    known = known.withColumn("w", F.regexp_extract_all("item", pattern, F.lit(1))).withColumn("inner", F.slice("w", 2, F.greatest(F.size("w") - 2, F.lit(0))))
+    run = lambda w, at, n: F.xxhash64(F.array_join(F.slice(w, at, n), " "))
+    long = known.where(F.size("inner") >= words).select("item", run("inner", F.lit(1), words).alias("key"))
+    longest = F.element_at(F.array_sort(F.transform("inner", lambda x: F.struct(-F.length(x), x.alias("x")))), 1)["x"]
+    short = known.where((F.size("inner") < words) & (F.size("inner") > 0)).select("item", F.xxhash64(longest).alias("key"))
+    bare = known.where(F.size("inner") == 0).select("item")
+    tokens = d.select("doc", F.regexp_extract_all("body", pattern, F.lit(1)).alias("w"))
+    # all items have the same kinds of key, so only documents' keys that some item has are kept, before any text moves
+    runs = tokens.where(F.size("w") >= words).select("doc", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("w") - words + 1), lambda k: run("w", k, words)))).alias("key"))
+    single = tokens.select("doc", F.explode(F.array_distinct(F.transform("w", lambda x: F.xxhash64(x)))).alias("key"))
+    pairs = runs.join(long, "key").select("doc", "item").unionByName(single.join(short, "key").select("doc", "item")).distinct()
+    hit = pairs.join(d, "doc").where(F.contains("body", "item")).select("doc")
+    if bare.limit(1).count():  # signs and single words: nothing to join on
+        hit = hit.unionByName(d.join(bare, F.contains(F.col("body"), F.col("item"))).select("doc"))
+    return d.select("doc").join(hit.distinct(), "doc", "left_anti").select(F.col("doc").alias(id))

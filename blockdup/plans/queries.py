@@ -88,7 +88,9 @@ query(clone_sql("overlap * overlap * 1000000 >= n_b * n_c * 490000", select=PAIR
 query(clone_sql(f"{at(700)} AND project_b = project_c"), "clones_intra_source")(lambda s, d: pair(detect.detect_within(docs_of(s, d))))
 query(clone_sql(f"{at(700)} AND project_b <> project_c"), "clones_inter_source")(lambda s, d: pair(detect.detect_across(docs_of(s, d))))
 query(clone_sql(at(700)), "clones_partitioned_4")(lambda s, d: pair(detect.detect_partitioned(docs_of(s, d), 4)))
-query(clone_sql(at(700)), "clones_longer_prefix")(lambda s, d: pair(detect.detect_clones(docs_of(s, d), min_shared=4)))
+query(clone_sql(at(700)), "clones_longer_prefix")(lambda s, d: pair(detect.detect_clones(docs_of(s, d), min_shared=8)))
+query(clone_sql(at(700)), "clones_shortest_prefix")(lambda s, d: pair(detect.detect_clones(docs_of(s, d), min_shared=1)))
+query(clone_sql(at(700)), "clones_split_hot")(lambda s, d: pair(detect.detect_clones(docs_of(s, d), hot=8)))
 query(clone_sql(at(700)), "clones_without_collapse")(lambda s, d: pair(detect.detect_clones(docs_of(s, d), collapse=False)))
 query(clone_sql(at(700)), "verify_join")(lambda s, d: pair(detect.detect_clones(docs_of(s, d), verifier="join")))
 query(clone_sql(at(700)), "full_index_join")(lambda s, d: pair(baselines.full_index_join(ordered_docs(s, d))))
@@ -144,12 +146,12 @@ def clones_user_event_types(spark, d):
     return pair(detect.detect_ordered(orders.ordered_blocks(bag)))
 
 
-PARTS = "SELECT p_partkey AS block_id, 'all' AS project_id, token FROM (SELECT p_partkey, unnest([p_brand, p_type, p_name]) AS token FROM part WHERE p_partkey < 500)"
+PARTS = "SELECT p_partkey AS block_id, 'all' AS project_id, token FROM (SELECT p_partkey, unnest([p_brand, p_type, p_name]) AS token FROM part)"
 
 
 @query(clone_sql(at(700), PARTS))
 def clones_part_attributes(spark, d):
-    parts = table(spark, d, "part").where("p_partkey < 500").select("p_partkey", F.explode(F.array("p_brand", "p_type", "p_name")).alias("token"))
+    parts = table(spark, d, "part").select("p_partkey", F.explode(F.array("p_brand", "p_type", "p_name")).alias("token"))
     return pair(detect.detect_ordered(orders.ordered_blocks(blocks.relation_blocks(parts, "p_partkey", "token"))))
 
 
@@ -161,7 +163,7 @@ def conversation_turns_overlap_top(spark, d):
     turns = table(spark, d, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("id"), "text")
     o = stage(detect.order_of(blocks.document_blocks(turns, "id", "text", None)), "ordered")
     p = full_index(o)
-    found = detect.candidates(p, p, filters=frozenset())
+    found = detect.candidates(p, p, filters=frozenset(), hot=None)
     return found.select("b", "c", "n_b", "n_c", F.col("seen").alias("overlap"), (F.col("seen") / F.col("n_b")).alias("similarity")).orderBy(F.desc("overlap"), "b", "c").limit(20)
 
 
@@ -196,9 +198,14 @@ def candidates_position(spark, d):
 
 @query(f"WITH {CL7} SELECT b, c, overlap::INT AS overlap FROM cl")
 def verify_merge(spark, d):
-    o = ordered_docs(spark, d)
+    return merged(spark, d).where("outcome = 'accepted'").select("b", "c", "overlap")
+
+
+def merged(spark: SparkSession, d: str, early_accept: bool = False) -> DataFrame:
+    """All candidates at 0.7 through the merge verifier."""
+    o = stage(orders.ordered_blocks(bag_of_tokens(tokenize(docs_of(spark, d))), keys=True), "ordered")
     p = partial_index(o)
-    return detect.verify_merge(detect.candidates(p, p), o, o, 700).where("outcome = 'accepted'").select("b", "c", "overlap")
+    return detect.verify_merge(detect.candidates(p, p), o, o, 700, early_accept=early_accept)
 
 
 @query(f"WITH {bags()} SELECT block_id, count(*)::BIGINT AS kinds, max(f)::INT AS most FROM bag GROUP BY block_id")
@@ -263,10 +270,10 @@ query(TYPED + " SELECT clone_type, CASE WHEN project_b = project_c THEN 'intra'
 BOTH = "bo AS (SELECT b AS u, c AS v FROM cl UNION ALL SELECT c, b FROM cl)"
 query(f"WITH {CL7}, {BOTH} SELECT u AS block_id, count(*)::BIGINT AS clones, min(v) AS first_clone FROM bo GROUP BY u", "clone_map")(lambda s, d: groups.clone_map(clones7(s, d)).select("block_id", F.size("clones").cast("long").alias("clones"), F.col("clones")[0].alias("first_clone")))
 COMP = f"WITH RECURSIVE {CL7}, {BOTH}, reach AS (SELECT u AS block_id, u AS r FROM bo UNION SELECT reach.block_id, v FROM reach JOIN bo ON r = u), co AS (SELECT min(r) AS class_id, block_id FROM reach GROUP BY block_id)"
-query(COMP + " SELECT * FROM co", "clone_components")(lambda s, d: groups.clone_components(clones7(s, d)))
+query(COMP + " SELECT * FROM co", "clone_components")(lambda s, d: groups.components_of(*detect.detect_representatives(detect.order_of(docs_of(s, d)))))
 query(COMP + ", si AS (SELECT class_id, count(*) AS m FROM co GROUP BY 1), li AS (SELECT class_id, count(*) AS l FROM cl JOIN co ON b = block_id GROUP BY 1) SELECT class_id, block_id FROM co JOIN si USING (class_id) JOIN li USING (class_id) WHERE l * 2 = m * (m - 1)", "clone_classes_complete")(lambda s, d: groups.clone_classes(clones7(s, d)).where("is_complete").select("class_id", "block_id"))
 query(name="clone_classes")(lambda s, d: groups.clone_classes(clones7(s, d)))
-query(COMP + " SELECT class_id, count(*)::BIGINT AS size, count(DISTINCT source)::BIGINT AS projects FROM co JOIN documents ON doc_id = block_id GROUP BY 1", "class_stats")(lambda s, d: groups.class_stats(groups.clone_components(clones7(s, d)), docs_of(s, d)))
+query(COMP + " SELECT class_id, count(*)::BIGINT AS size, count(DISTINCT source)::BIGINT AS projects FROM co JOIN documents ON doc_id = block_id GROUP BY 1", "class_stats")(lambda s, d: groups.class_stats(groups.components_of(*detect.detect_representatives(detect.order_of(docs_of(s, d)))), docs_of(s, d)))
 
 # ---------------------------------------------------------------- baselines
 for _l, _sql in (("t1", T1SQL), ("t2", T2SQL)):
@@ -292,12 +299,8 @@ def scaling_curve(spark, d):
 # ---------------------------------------------------------------- around the detector
 @query("SELECT doc_id FROM documents d WHERE NOT EXISTS (SELECT 1 FROM benchmark b WHERE contains(d.text, b.text))")
 def decontaminate_anti(spark, d):
-    """Documents that hold no benchmark item word for word; items are few and checked to be."""
-    items = table(spark, d, "benchmark").select(F.col("text").alias("item"))
-    if items.count() > 10_000:
-        raise ValueError("too many items to send to every task")
-    docs = table(spark, d, "documents")
-    return docs.join(F.broadcast(items), F.contains(docs["text"], F.col("item")), "left_anti").select("doc_id")
+    """Documents that hold no benchmark item word for word."""
+    return relational.without_items(table(spark, d, "documents"), table(spark, d, "benchmark"))
 
 
 query("SELECT doc_id, source FROM documents WHERE doc_id IN (SELECT doc_id FROM labels WHERE quality = 1)", "labelled_semi")(lambda s, d: table(s, d, "documents").join(table(s, d, "labels").where("quality = 1"), "doc_id", "left_semi").select("doc_id", "source"))
@@ -319,7 +322,7 @@ query("SELECT a.event_id, b.value AS asof_value FROM events a ASOF LEFT JOIN (SE
     lambda s, d: relational.asof_join(table(s, d, "events").where("event_type = 'click'").select("event_id", "user_id", "ts"), table(s, d, "events").where("event_type = 'purchase'").groupBy("user_id", "ts").agg(F.max("value").alias("value")), "user_id", "ts", "value").select("event_id", "asof_value"))
 query("SELECT a.event_id AS l_event_id, b.event_id AS r_event_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND abs(epoch(date_trunc('second', a.ts)) - epoch(date_trunc('second', b.ts))) <= 3600", "interval_events")(
     lambda s, d: relational.interval_join(table(s, d, "events").where("event_type = 'click'").select("event_id", "user_id", "ts"), table(s, d, "events").where("event_type = 'purchase'").select("event_id", "user_id", "ts"), "user_id", "ts", 3600).select("l_event_id", "r_event_id"))
-query(f"WITH {bags(DOCS + ' WHERE doc_id < 300')} SELECT x.block_id AS b, y.block_id AS c, x.n::INT AS n_b, y.n::INT AS n_c FROM sz x JOIN sz y ON (x.n > y.n OR (x.n = y.n AND x.block_id < y.block_id)) AND y.n * 1000 >= x.n * 900", "range_sizes")(lambda s, d: relational.size_band_join(ordered_docs(s, d).where("block_id < 300").select("block_id", "n"), 900))
+query(f"WITH {bags()} SELECT x.block_id AS b, y.block_id AS c, x.n::INT AS n_b, y.n::INT AS n_c FROM sz x JOIN sz y ON (x.n > y.n OR (x.n = y.n AND x.block_id < y.block_id)) AND y.n * 1000 >= x.n * 900", "range_sizes")(lambda s, d: relational.size_band_join(ordered_docs(s, d).select("block_id", "n"), 900))
 query("SELECT event_id, sum(value) OVER w AS running, lag(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW)", "window_frames_events")(
     lambda s, d: table(s, d, "events").select("event_id", F.sum("value").over(Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(-2, 0)).alias("running"), F.lag("event_type").over(Window.partitionBy("user_id").orderBy("ts", "event_id")).alias("before")))
 query("SELECT json_extract_string(props, '$.k') AS k, count(*)::BIGINT AS n FROM events GROUP BY 1", "json_props")(lambda s, d: table(s, d, "events").groupBy(F.get_json_object("props", "$.k").alias("k")).agg(F.count("*").alias("n")))

@@ -88,10 +88,44 @@ def test_any_order_gives_the_same(spark, name):
 def test_merge_verifier_agrees(spark):
     r = random.Random(2)
     texts = [" ".join(r.choice("abcdefghij") for _ in range(r.randrange(4, 12))) for _ in range(40)]
-    o = detect.order_of(blocks(spark, texts))
-    p = partial_index(o, 600)
-    done = detect.verify_merge(detect.candidates(p, p, 600), o, o, 600)
-    assert found(done.where("outcome = 'accepted'")) == brute(texts, 600)
+    for name in ("token_frequency", "element_frequency", "popular_first"):
+        o = order.ordered_blocks(bag_of_tokens(tokenize(blocks(spark, texts))), name, keys=True)
+        p = partial_index(o, 600)
+        done = detect.verify_merge(detect.candidates(p, p, 600), o, o, 600)
+        assert found(done.where("outcome = 'accepted'")) == brute(texts, 600)
+    early = detect.verify_merge(detect.candidates(p, p, 600), o, o, 600, early_accept=True)
+    pairs = lambda df: {(r.b, r.c) for r in df.where("outcome = 'accepted'").collect()}
+    assert pairs(early) == pairs(done)
+    cost = lambda df: sum(r.compared for r in df.collect())
+    assert cost(early) < cost(done) < sum(r.n_b * r.n_c for r in done.collect())
+
+
+def test_merge_is_the_plain_walk():
+    b, c = [(1, "a", 1), (2, "b", 1), (2, "b", 2), (5, "x", 1)], [(1, "b", 9), (2, "b", 2), (5, "x", 1)]
+    assert detect.merge(b, c, 0, 0, 0, 1, False) == (2, 5, "accepted")
+    assert detect.merge(b, c, 0, 0, 0, 1, True)[0] == 1
+    assert detect.merge(b, c, 0, 0, 0, 4, False) == (0, 0, "rejected")
+
+
+def test_hot_elements_are_split_without_loss(spark):
+    r = random.Random(7)
+    texts = ["same " + " ".join(r.choice("abcdefgh") for _ in range(r.randrange(1, 6))) for _ in range(60)]
+    assert found(detect.detect_clones(blocks(spark, texts), 500, order="popular_first", hot=3, min_shared=1)) == brute(texts, 500)
+    pairs, members = detect.detect_representatives(detect.order_of(blocks(spark, texts)), 500)
+    rep = {x.block_id: x.rep for x in members.collect()}
+    near = {frozenset((x.b, x.c)) for x in pairs.collect()}
+    whole = {frozenset((x[0], x[1])) for x in brute(texts, 500)}
+    assert whole == {frozenset((x, y)) for x in rep for y in rep if x != y and (rep[x] == rep[y] or frozenset((rep[x], rep[y])) in near)}
+
+
+def test_items_word_for_word(spark):
+    from blockdup.operators.relational import without_items
+
+    items = ["one two three four five six seven eight nine ten eleven", "short item here", "!?", "two words", None]
+    texts = [f"xx {items[0]}yy", "a short item here.", "a shorts item here", "what!?", "two wordsmith", "none", None, "one two three four five six seven eight nine ten", "re" + items[0]]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {x.doc_id for x in without_items(docs, spark.createDataFrame([(x,) for x in items], "text string")).collect()}
+    assert got == {k for k, t in enumerate(texts) if not any(t is not None and x is not None and x in t for x in items)}
 
 
 def test_partitions_localities_and_empty(spark):
