@@ -26,13 +26,15 @@ def element_frequency(bag: DataFrame) -> DataFrame:
 
 def _gather(keyed: DataFrame, expand: bool, keys: bool) -> DataFrame:
     """Rows (block, key, token, freq or k) to one row a block, its elements in the order of (key, token, k)."""
-    sort = F.array_sort(F.collect_list(F.struct("key", "token", "k")))
-    rows = keyed.groupBy("block_id", "project_id").agg(sort.alias("sorted"))
-    name = lambda s, k: F.concat(s["token"], F.lit(MARK), k.cast("string"))
+    # names are made before rows are gathered and sorting needs no lambda: both stay in generated code
+    first = F.concat("token", F.lit(f"{MARK}1"))
     if expand:  # k holds the frequency: occurrences of a token stand next to each other
-        made = F.flatten(F.transform("sorted", lambda s: F.transform(F.sequence(F.lit(1), s["k"]), lambda k: name(s, k))))
+        every = F.transform(F.sequence(F.lit(1), F.col("k")), lambda k: F.concat("token", F.lit(MARK), k.cast("string")))
+        named = keyed.withColumn("names", F.when(F.col("k") == 1, F.array(first)).otherwise(every))
     else:
-        made = F.transform("sorted", lambda s: name(s, s["k"]))
+        named = keyed.withColumn("names", F.array(F.concat("token", F.lit(MARK), F.col("k").cast("string"))))
+    rows = named.groupBy("block_id", "project_id").agg(F.sort_array(F.collect_list(F.struct("key", "token", "k", "names"))).alias("sorted"))
+    made = F.flatten(F.col("sorted.names"))
     more = [F.flatten(F.transform("sorted", lambda s: F.array_repeat(s["key"].cast("long"), s["k"] if expand else F.lit(1)))).alias("keys")] if keys else []
     return rows.select("block_id", "project_id", made.alias("elements"), *more).select("block_id", "project_id", F.size("elements").alias("n"), "elements", *(["keys"] if keys else []))
 
