@@ -6,7 +6,7 @@ import re
 from collections.abc import Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.tokens import PROFILES, bag_of_tokens, count_loc, token_array
@@ -122,3 +122,12 @@ def size_limits(blocks: DataFrame, profile: str = "prose", min_lines: int = 0, m
         n = F.size(token_array(F.col("text"), profile))
         keep = keep & (n >= min_tokens) & (n <= max_tokens if max_tokens is not None else F.lit(True))
     return blocks.where(keep)
+
+
+def renamed_prose(docs: DataFrame, keep: int = 100, id: str = "doc_id", text: str = "text", lang: str = "lang") -> DataFrame:
+    """(doc_id, token), one row an occurrence: of each language's words all but the `keep` commonest become ID."""
+    words = docs.select(F.col(id).alias("doc_id"), F.col(lang).alias("lang"), F.explode(token_array(F.col(text))).alias("token"))
+    turn = F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("n"), "token"))
+    common = words.groupBy("lang", "token").agg(F.count("*").alias("n")).withColumn("r", turn).where(F.col("r") <= keep).select(F.col("lang").alias("its"), F.col("token").alias("common"))
+    named = words.join(common, words["lang"].eqNullSafe(F.col("its")) & (F.col("token") == F.col("common")), "left")
+    return named.select("doc_id", F.coalesce("common", F.lit("ID")).alias("token"))

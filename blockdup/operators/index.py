@@ -11,7 +11,10 @@ from pyspark.sql import functions as F
 from ..functions import order as orders
 from ..functions import similarity as sim
 from ..functions.tokens import bag_of_tokens, tokenize
+from ..sources.io import stage, unstage
 
+#: Elements asked for at once that are pushed down to the files.
+FEW = 1_000
 POSTINGS = ("element", "block_id", "project_id", "pos", "n")
 
 
@@ -39,16 +42,21 @@ class Manifest:
 
 
 class IndexedRepository:
-    """A stored index: postings by bucket of element, ordered blocks by bucket of block, frozen frequencies."""
+    """A stored index: postings by bucket of element, ordered blocks by bucket of block, frozen frequencies. A look-up reads only the buckets its elements and candidates fall into."""
 
     def __init__(self, spark: SparkSession, path: str):
         self.spark, self.path = spark, path
         text = spark.read.text(f"{path}/manifest").first()
         self.manifest = Manifest(**json.loads(text[0]))
 
-    def _read(self, name: str) -> DataFrame:
-        """All generations of a part; each append adds its own folder."""
-        return self.spark.read.option("recursiveFileLookup", "false").parquet(f"{self.path}/{name}")
+    def _read(self, name: str, buckets: list[int] | None = None) -> DataFrame:
+        """A part of the index; `buckets` are a partition filter, so folders of other buckets are not listed as input."""
+        df = self.spark.read.parquet(f"{self.path}/{name}")
+        return df if buckets is None else df.where(F.col("bucket").isin(buckets))
+
+    def _buckets(self, ids: DataFrame, id: str) -> list[int]:
+        """Buckets that some id falls into: as many at most as the index has, a fixed number."""
+        return sorted(r[0] for r in ids.select(F.pmod(F.xxhash64(id), F.lit(self.manifest.buckets)).cast("int")).distinct().collect())
 
     @property
     def postings(self) -> DataFrame:
@@ -78,11 +86,12 @@ class IndexedRepository:
 
     def _add(self, ordered: DataFrame, mode: str) -> None:
         m = self.manifest
+        ordered = stage(ordered, "ordered")
         by_block = ordered.withColumn("bucket", F.pmod(F.xxhash64("block_id"), F.lit(m.buckets)).cast("int"))
         by_block.repartition(m.buckets, "bucket").write.mode(mode).partitionBy("bucket").parquet(f"{self.path}/blocks")
-        fresh = self._read("blocks") if mode == "overwrite" else by_block
-        postings = partial_index(fresh, m.theta_pm, m.measure, m.min_shared).withColumn("bucket", F.pmod(F.xxhash64("element"), F.lit(m.buckets)).cast("int"))
+        postings = partial_index(ordered, m.theta_pm, m.measure, m.min_shared).withColumn("bucket", F.pmod(F.xxhash64("element"), F.lit(m.buckets)).cast("int"))
         postings.repartition(m.buckets, "bucket").sortWithinPartitions("element").write.mode(mode).partitionBy("bucket").parquet(f"{self.path}/postings")
+        unstage(ordered)
 
     def _order(self, blocks: DataFrame) -> DataFrame:
         bag = bag_of_tokens(tokenize(blocks, self.manifest.profile))
@@ -100,8 +109,13 @@ class IndexedRepository:
         theta = m.theta_pm if theta_pm is None else theta_pm
         if theta < m.theta_pm:
             raise ValueError(f"the index was built for {m.theta_pm} per mille and cannot answer a lower threshold")
-        asked = self._order(blocks)
-        probes = partial_index(asked, theta, m.measure, m.min_shared).withColumn("bucket", F.pmod(F.xxhash64("element"), F.lit(m.buckets)).cast("int"))
-        found = candidates(probes, self.postings, theta, m.measure, between=True, min_shared=m.min_shared)
-        out = verify_array(found, asked, self.blocks.drop("bucket"), theta, m.measure)
+        asked = stage(self._order(blocks), "asked")
+        probes = stage(partial_index(asked, theta, m.measure, m.min_shared), "probes")
+        some = probes.select("element").distinct().limit(FEW + 1).collect()
+        postings = self._read("postings", self._buckets(probes, "element"))
+        if len(some) <= FEW:  # an interactive look-up: the files' statistics leave out most of each bucket too
+            postings = postings.where(F.col("element").isin([r.element for r in some]))
+        found = stage(candidates(probes, postings, theta, m.measure, between=True, min_shared=m.min_shared, hot=None), "found")
+        held = self._read("blocks", self._buckets(found, "c")).drop("bucket")
+        out = verify_array(found, asked, held, theta, m.measure)
         return out.select(F.col("b").alias("query_id"), F.col("c").alias("block_id"), F.col("n_b").alias("n_query"), F.col("n_c").alias("n_block"), "overlap", "similarity")

@@ -83,12 +83,12 @@ def band_recall(docs: DataFrame, per_lang: int = 10, theta_pm: int = 700, detect
 
 
 def order_ablation(blocks: DataFrame, theta_pm: int = 700) -> DataFrame:
-    """(order, postings, candidates) for each global order."""
+    """(order, postings, candidates) for each global order, by sub-blocks and sizes."""
     out = None
     for name in ORDERS:
         ordered = stage(detect.order_of(blocks, order=name), "ordered")
         postings = partial_index(ordered, theta_pm)
-        found = detect.candidates(postings, postings, theta_pm)
+        found = detect.candidates(postings, postings, theta_pm, filters=frozenset({"prefix", "size"}))
         row = postings.agg(F.count("*").alias("postings")).crossJoin(found.agg(F.count("*").alias("candidates"))).withColumn("order", F.lit(name))
         out = row if out is None else out.unionByName(row)
     return out
@@ -156,6 +156,48 @@ def band_recall_detectors(docs: DataFrame, detectors: tuple[str, ...] = ("bag",
     return out
 
 
+def scale_table(spark: SparkSession, docs: DataFrame, shares: tuple[int, ...] = (10, 100, 1000), detectors: tuple[str, ...] = DETECTORS, seconds: float = 300.0) -> DataFrame:
+    """(detector, share_pm, lines, pairs, seconds, status) on nested inputs, each larger one holding the smaller ones.
+
+    A detector that takes longer than `seconds` on one input is not run on larger ones (status `not run`, after
+    `over time`); one that fails has the kind of its failure there. The limit is a parameter of the experiment.
+    """
+    from .measures import nested_samples
+
+    blocks, rows = size_limits(document_blocks(docs), min_lines=baselines.PRESETS["scale"]["min_lines"]), []
+    parts = []
+    for share in shares:
+        part = stage(blocks.join(nested_samples(blocks, (share,)).select("block_id"), "block_id", "left_semi"), "sample")
+        parts.append((share, part, int(part.agg(F.sum("end_line")).first()[0] or 0)))
+    for name in detectors:
+        status = "done"
+        for share, part, lines in parts:
+            if status != "done":
+                rows.append((name, share, lines, None, None, "not run"))
+                continue
+            began, pairs = time.time(), None
+            try:
+                pairs = reports(part, name).where("b < c").count()
+            except Exception as why:  # the table reports failures, it does not hide them
+                status = "memory" if "OutOfMemory" in str(why) else type(why).__name__
+            took = time.time() - began
+            if status == "done" and took > seconds:
+                status = "over time"
+            rows.append((name, share, lines, pairs, took, status))
+    return spark.createDataFrame(rows, "detector string, share_pm int, lines long, pairs long, seconds double, status string")
+
+
+def index_bytes(spark: SparkSession, blocks: DataFrame, theta_pm: int = 700) -> DataFrame:
+    """(part, bytes) of a stored index of all blocks."""
+    path = f"{shared_folder(spark)}/index-{time.time_ns()}"
+    IndexedRepository.build(blocks, path, theta_pm)
+    jvm, out = spark._jvm, []
+    for part in ("postings", "blocks", "frequencies"):
+        where = jvm.org.apache.hadoop.fs.Path(f"{path}/{part}")
+        out.append((part, where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getContentSummary(where).getLength()))
+    return spark.createDataFrame(out, "part string, bytes long")
+
+
 def near_miss_code() -> dict[str, str]:
     """A function, and copies of it that do the same or nearly the same with other statements."""
     names = [chr(97 + k) for k in range(16)]

@@ -246,8 +246,6 @@ def threshold_sweep(spark, d):
     return t.where(F.col("overlap").cast("long") * 1000 >= F.col("n_b").cast("long") * F.col("theta_pm")).groupBy("theta_pm").agg(F.count("*").alias("pairs"))
 
 
-query(name="order_ablation")(lambda s, d: experiments.order_ablation(docs_of(s, d)))
-
 # ---------------------------------------------------------------- types and groups
 T1SQL, T2SQL = r"trim(regexp_replace(text, '\s+', ' ', 'g'))", r"trim(regexp_replace(regexp_replace(lower(text), '\p{N}+', 'NUM', 'g'), '[^\p{L}\p{N}_]+', ' ', 'g'))"
 T2TOK = rf"SELECT doc_id AS block_id, 'x' AS project_id, unnest(regexp_extract_all({T2SQL}, '[\p{{L}}\p{{N}}_]+')) AS token FROM documents"

@@ -70,7 +70,6 @@ query("SELECT unnest(['keyword', 'identifier', 'literal']) AS kind, unnest([8 *
     lambda s, d: code_files(s, d).select(F.explode(token_array(F.col("text"), "java")).alias("t")).groupBy(token_kind(F.col("t"), "java").alias("kind")).agg(F.count("*").alias("n")))
 query("SELECT count(*)::BIGINT AS files, 1::BIGINT AS blind, 1::BIGINT AS consistent FROM part", "normalized_code")(
     lambda s, d: code_files(s, d).agg(F.count("*").alias("files"), *(F.count_distinct(normalize_t2(F.col("text"), "java", m)).alias(m) for m in ("blind", "consistent"))))
-query(name="near_miss_kinds")(lambda s, d: experiments.near_misses(s))
 
 
 # ---------------------------------------------------------------- ablations and measures

@@ -26,6 +26,19 @@ def _folder(spark: SparkSession, sf_dir: str) -> str:
     return path
 
 
+def events_with_late_rows(spark: SparkSession, sf_dir: str, files: int = 4) -> DataFrame:
+    """The events, then those of the last day once more, then those of the first day: too late, as its windows are closed.
+
+    The rows a batch may still bring are judged by the watermark the batch before it started with, hence the one between.
+    """
+    path, events = f"{shared_folder(spark)}/events-{uuid.uuid4().hex}", table(spark, sf_dir, "events").select("event_id", "ts", "user_id", "event_type", "value", "props")
+    events.repartition(files).write.parquet(path)
+    first, last = events.agg(F.date_trunc("day", F.min("ts")), F.date_trunc("day", F.max("ts"))).first()
+    events.where(F.col("ts") >= F.lit(last)).repartition(files).write.mode("append").parquet(path)
+    events.where(F.col("ts") < F.lit(first) + F.expr("INTERVAL 1 DAY")).repartition(files).write.mode("append").parquet(path)
+    return spark.readStream.schema(SCHEMAS["events"]).option("pathGlobFilter", "*.parquet").option("maxFilesPerTrigger", files).parquet(path)
+
+
 def finish(stream: DataFrame, mode: str = "append") -> DataFrame:
     """Run a stream over all there is, into Parquet (append) or memory (complete, update), and give its result."""
     spark, name = stream.sparkSession, f"stream_{uuid.uuid4().hex}"
