@@ -50,8 +50,8 @@ query("SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY epoch(date_
     lambda s, d: table(s, d, "events").select("event_id", F.count("*").over(Window.partitionBy("user_id").orderBy(F.unix_timestamp("ts")).rangeBetween(-86400, 0)).alias("in_a_day")))
 
 # ---------------------------------------------------------------- dates, JSON
-query("SELECT o_orderkey, year(o_orderdate)::INT AS y, quarter(o_orderdate)::INT AS q, (dayofweek(o_orderdate) + 1)::INT AS dow, date_diff('day', DATE '1990-01-01', o_orderdate::DATE)::INT AS days, last_day(o_orderdate::DATE) AS month_end, (o_orderdate::DATE + INTERVAL 1 MONTH)::DATE AS later FROM orders", "date_functions")(
-    lambda s, d: table(s, d, "orders").withColumn("day", F.to_date("o_orderdate")).select("o_orderkey", F.year("day").alias("y"), F.quarter("day").alias("q"), F.dayofweek("day").alias("dow"), F.datediff("day", F.lit("1990-01-01").cast("date")).alias("days"), F.last_day("day").alias("month_end"), F.add_months("day", 1).alias("later")))
+query("SELECT o_orderkey, year(o_orderdate)::INT AS y, quarter(o_orderdate)::INT AS q, (dayofweek(o_orderdate) + 1)::INT AS dow, date_diff('day', DATE '1990-01-01', o_orderdate::DATE)::INT AS days, last_day(o_orderdate::DATE)::VARCHAR AS month_end, (o_orderdate::DATE + INTERVAL 1 MONTH)::DATE::VARCHAR AS later FROM orders", "date_functions")(
+    lambda s, d: table(s, d, "orders").withColumn("day", F.to_date("o_orderdate")).select("o_orderkey", F.year("day").alias("y"), F.quarter("day").alias("q"), F.dayofweek("day").alias("dow"), F.datediff("day", F.lit("1990-01-01").cast("date")).alias("days"), F.last_day("day").cast("string").alias("month_end"), F.add_months("day", 1).cast("string").alias("later")))
 query("SELECT event_id, json_extract_string(props, '$.k') AS k FROM events", "json_struct")(lambda s, d: table(s, d, "events").select("event_id", F.from_json("props", "k string")["k"].alias("k")))
 
 # ---------------------------------------------------------------- UDFs, hints, samples
@@ -225,8 +225,8 @@ def lookup_benchmark_lines(spark, d):
     return _named(IndexedRepository.build(lines, f"{shared_folder(spark)}/index-{uuid.uuid4().hex}").query(asked))
 
 
-query(clone_sql(at(300), "SELECT l_suppkey AS block_id, 'all' AS project_id, l_partkey::VARCHAR AS token FROM lineitem"), "clones_supplier_parts")(
-    lambda s, d: pair(detect.detect_ordered(ordered_blocks(blocks.relation_blocks(table(s, d, "lineitem").select("l_suppkey", F.col("l_partkey").cast("string").alias("part")), "l_suppkey", "part")), 300)))
+query(clone_sql(at(250), "SELECT l_suppkey AS block_id, 'all' AS project_id, l_partkey::VARCHAR AS token FROM lineitem"), "clones_supplier_parts")(
+    lambda s, d: pair(detect.detect_ordered(ordered_blocks(blocks.relation_blocks(table(s, d, "lineitem").select("l_suppkey", F.col("l_partkey").cast("string").alias("part")), "l_suppkey", "part")), 250)))
 
 #: Which of the near misses each technique reports, on the generated function.
 _MISSES = {"bag": (True,) * 4, "gapped_runs": (True,) * 4, "token_runs": (False, False, True, False)}

@@ -10,7 +10,7 @@ from blockdup.plans import queries as library
 from blockdup.plans import surfaces, workloads
 
 SF = "/root/testdata/sf0.001"
-NAMES = [n for n, f in library.QUERIES.items() if n in library.ORACLES and f.__module__ in (workloads.__name__, surfaces.__name__) and n != "date_functions"]  # dates come as other types
+NAMES = [n for n, f in library.QUERIES.items() if n in library.ORACLES and f.__module__ in (workloads.__name__, surfaces.__name__)]
 
 
 def plain(df: pd.DataFrame) -> list[tuple]:
