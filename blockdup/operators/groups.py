@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -61,36 +63,59 @@ def components_of(pairs: DataFrame, members: DataFrame) -> DataFrame:
     return placed.join(several, "root").select("class_id", "block_id")
 
 
-def clone_classes(pairs: DataFrame, piece: int = 10_000) -> DataFrame:
+def _greedy(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """Strict classes of components whose links come ordered by (component, high, low).
+
+    A block may join a class if as many of its lower neighbours are in it as it has members. What is kept is the
+    class of each block of one component and the sizes of its classes; links are read once and not kept.
+    """
+    component = block = None
+    home: dict[int, int] = {}
+    sizes: dict[int, int] = {}
+    met: dict[int, int] = {}
+
+    def place(x: int) -> tuple[int, int]:
+        of = min((g for g, n in met.items() if sizes[g] == n), default=x)
+        home[x], sizes[of] = of, sizes.get(of, 0) + 1
+        met.clear()
+        return of, x
+
+    for batch in batches:
+        made = []
+        for of, high, low in zip(batch["component"].tolist(), batch["high"].tolist(), batch["low"].tolist(), strict=True):
+            if (of, high) != (component, block):
+                if met:
+                    made.append(place(block))
+                if of != component:
+                    home.clear()
+                    sizes.clear()
+                component, block = of, high
+            if low not in home:  # no lower neighbour: the first of a class
+                home[low], sizes[low] = low, 1
+                made.append((low, low))
+            met[home[low]] = met.get(home[low], 0) + 1
+        yield pd.DataFrame(made, columns=["class_id", "block_id"])
+    if met:
+        yield pd.DataFrame([place(block)], columns=["class_id", "block_id"])
+
+
+def clone_classes(pairs: DataFrame) -> DataFrame:
     """(class_id, block_id, is_complete): classes in which every two blocks are a pair.
 
     A component with all its m(m-1)/2 pairs is a class as it stands. Others are split greedily from the
-    lowest block on, each block joining the first class all of whose members it matches; one component is
-    one task there, so `piece` bounds the blocks of such a component and a larger one is an error, not a cut.
+    lowest block on, each block joining the first class all of whose members it matches. That choice depends on
+    all before it, so one component is one task; its links are sorted (and spilled) by the shuffle and read as a
+    stream, so the task's memory grows with the blocks of one component and not with their links, at any size.
     """
-    comp = clone_components(pairs)
-    placed = pairs.select("b", "c").join(comp.withColumnRenamed("block_id", "b"), "b")
-    sizes = comp.groupBy("class_id").agg(F.count("*").alias("m"))
-    full = placed.groupBy("class_id").agg(F.count("*").alias("links")).join(sizes, "class_id").withColumn("is_complete", F.col("links") == F.col("m") * (F.col("m") - 1) / 2)
-    whole = comp.join(full.where("is_complete").select("class_id"), "class_id", "left_semi").withColumn("is_complete", F.lit(True))
-    rest = placed.join(full.where("not is_complete").select("class_id", "m"), "class_id")
-    rest = rest.withColumn("m", F.when(F.col("m") <= piece, F.col("m")).otherwise(F.raise_error(F.lit("a component is too large for a split into strict classes"))))
-
-    def split(links: pd.DataFrame) -> pd.DataFrame:
-        near: dict[int, set[int]] = {}
-        for b, c in zip(links.b, links.c, strict=True):
-            near.setdefault(b, set()).add(c)
-            near.setdefault(c, set()).add(b)
-        made: list[list[int]] = []
-        for x in sorted(near):
-            home = next((g for g in made if near[x].issuperset(g)), None)
-            if home is None:
-                made.append([x])
-            else:
-                home.append(x)
-        return pd.DataFrame([(g[0], x, False) for g in made for x in g], columns=["class_id", "block_id", "is_complete"])
-
-    return whole.unionByName(rest.groupBy("class_id").applyInPandas(split, "class_id long, block_id long, is_complete boolean"))
+    links = stage(pairs.where("b <> c").select(F.least("b", "c").cast("long").alias("low"), F.greatest("b", "c").cast("long").alias("high")).distinct(), "links")
+    comp = stage(connected_components(links).select(F.col("root").alias("component"), F.col("node").alias("block_id")), "components")
+    sizes = comp.groupBy("component").agg(F.count("*").alias("m"))
+    placed = links.join(comp.withColumnRenamed("block_id", "low"), "low")
+    full = stage(placed.groupBy("component").agg(F.count("*").alias("links")).join(sizes, "component").select("component", (F.col("links") * 2 == F.col("m") * (F.col("m") - 1)).alias("is_complete")), "complete")
+    whole = comp.join(full.where("is_complete"), "component").select(F.col("component").alias("class_id"), "block_id", "is_complete")
+    rest = placed.join(full.where("not is_complete").select("component"), "component", "left_semi").select("component", "high", "low")
+    parts = rest.repartition("component").sortWithinPartitions("component", "high", "low").mapInPandas(_greedy, "class_id long, block_id long")
+    return whole.unionByName(parts.withColumn("is_complete", F.lit(False)))
 
 
 def class_stats(classes: DataFrame, blocks: DataFrame) -> DataFrame:

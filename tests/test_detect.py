@@ -156,6 +156,31 @@ def test_components_and_classes(spark):
     assert {r.class_id for r in groups.clone_components(chain).collect()} == {0}
 
 
+def test_strict_classes_as_by_hand(spark):
+    import random
+
+    r, links = random.Random(11), set()
+    for first, m, share in ((0, 40, 0.8), (100, 60, 0.5), (300, 5, 1.0), (400, 200, 0.04)):
+        links |= {(a, b) for a in range(first, first + m) for b in range(a + 1, first + m) if r.random() < share}
+    pairs = spark.createDataFrame([p if r.random() < 0.5 else p[::-1] for p in links], "b long, c long").repartition(3)
+    near: dict[int, set[int]] = {}
+    for a, b in links:
+        near.setdefault(a, set()).add(b)
+        near.setdefault(b, set()).add(a)
+    made: list[list[int]] = []
+    for x in sorted(near):
+        home = next((g for g in made if near[x].issuperset(g)), None)
+        made.append([x]) if home is None else home.append(x)
+    got = groups.clone_classes(pairs).collect()
+    assert {(r.class_id, r.block_id) for r in got} == {(g[0], x) for g in made for x in g} and len(got) == len(near)
+    assert {r.block_id for r in got if r.is_complete} == set(range(300, 305))
+
+
+def test_strict_classes_of_a_large_component(spark):
+    hub = spark.range(1, 20_001).select(F.lit(0).cast("long").alias("b"), F.col("id").alias("c"))
+    assert {(r.class_id, r.n) for r in groups.clone_classes(hub).groupBy("class_id").agg(F.count("*").alias("n")).where("n > 1").collect()} == {(0, 2)}
+
+
 def test_lexing(spark):
     one = spark.range(1).select(token_array(F.lit('x = "alpha beta" + 3; // note\n/* y */ z'), "java").alias("t"), normalize_t2(F.lit("int a = b + a;"), "java", "consistent").alias("n"))
     row = one.first()
