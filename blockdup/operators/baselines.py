@@ -18,6 +18,7 @@ PRESETS = {
     "scale": {"min_lines": 6, "theta_pm": 700}, "mutant": {"min_lines": 15, "theta_pm": 700}, "large": {"min_lines": 10, "theta_pm": 700},
     "token_runs": {"min_tokens": 50, "min_types": 12}, "vectors": {"min_tokens": 50, "sim_pm": 850, "step": 2}, "vectors_mutant": {"min_tokens": 100, "sim_pm": 850, "step": 4},
     "gapped_runs": {"min_tokens": 50, "min_block": 20}, "line_lcs": {"min_lines": 6, "sim_pm": 700},
+    "gapped_runs_mutant": {"min_tokens": 100, "min_block": 20}, "line_lcs_mutant": {"min_lines": 15, "sim_pm": 700},
 }
 
 
@@ -59,18 +60,23 @@ def normalized_hash(blocks: DataFrame, level: str = "t1", profile: str = "prose"
 
 
 def _positions(blocks: DataFrame, profile: str, window: int) -> DataFrame:
-    """(block_id, pos, key): hash of each run of `window` normalised tokens."""
-    tokens = blocks.select("block_id", token_array(normalize_t2(F.col("text"), profile)).alias("t")).where(F.size("t") >= window)
+    """(block_id, project_id, pos, key, kinds): hash of each run of `window` normalised tokens."""
+    tokens = blocks.select("block_id", "project_id", token_array(normalize_t2(F.col("text"), profile)).alias("t")).where(F.size("t") >= window)
     at = F.sequence(F.lit(1), F.size("t") - window + 1)
-    return tokens.select("block_id", "t", F.explode(at).alias("pos")).select("block_id", "pos", F.xxhash64(F.slice("t", F.col("pos"), window)).alias("key"), F.size(F.array_distinct(F.slice("t", F.col("pos"), window))).alias("kinds"))
+    return tokens.select("block_id", "project_id", "t", F.explode(at).alias("pos")).select("block_id", "project_id", "pos", F.xxhash64(F.slice("t", F.col("pos"), window)).alias("key"), F.size(F.array_distinct(F.slice("t", F.col("pos"), window))).alias("kinds"))
 
 
-def _runs(blocks: DataFrame, profile: str, window: int, min_types: int = 0) -> DataFrame:
+def _apart(across: bool):
+    """Condition of a join of sides `project_b` and `project_c`: with `across`, only blocks of different projects meet."""
+    return ~F.col("project_b").eqNullSafe(F.col("project_c")) if across else F.lit(True)
+
+
+def token_spans(blocks: DataFrame, window: int, min_types: int = 0, profile: str = "prose", across: bool = False) -> DataFrame:
     """(b, c, at_b, at_c, tokens): maximal equal runs, by gaps and islands on the diagonals of pairs."""
     p = _positions(blocks, profile, window).where(F.col("kinds") >= min_types)
-    x = p.select(F.col("block_id").alias("b"), F.col("pos").alias("p_b"), "key")
-    y = p.select(F.col("block_id").alias("c"), F.col("pos").alias("p_c"), F.col("key").alias("key_c"))
-    hits = x.join(y, (F.col("key") == F.col("key_c")) & (F.col("b") < F.col("c"))).withColumn("diagonal", F.col("p_b") - F.col("p_c"))
+    x = p.select(F.col("block_id").alias("b"), F.col("project_id").alias("project_b"), F.col("pos").alias("p_b"), "key")
+    y = p.select(F.col("block_id").alias("c"), F.col("project_id").alias("project_c"), F.col("pos").alias("p_c"), F.col("key").alias("key_c"))
+    hits = x.join(y, (F.col("key") == F.col("key_c")) & (F.col("b") < F.col("c")) & _apart(across)).withColumn("diagonal", F.col("p_b") - F.col("p_c"))
     lane = Window.partitionBy("b", "c", "diagonal").orderBy("p_b")
     island = hits.withColumn("island", F.col("p_b") - F.row_number().over(lane))
     return island.groupBy("b", "c", "diagonal", "island").agg(F.min("p_b").alias("at_b"), F.min("p_c").alias("at_c"), (F.count("*") + window - 1).cast("int").alias("tokens")).drop("diagonal", "island")
@@ -78,17 +84,24 @@ def _runs(blocks: DataFrame, profile: str, window: int, min_types: int = 0) -> D
 
 def token_runs(blocks: DataFrame, min_tokens: int = 50, min_types: int = 12, profile: str = "prose") -> DataFrame:
     """Equal normalised token runs: exact and renamed copies only."""
-    return _runs(blocks, profile, min_tokens, min_types).groupBy("b", "c").agg(F.max("tokens").alias("longest"), F.count("*").alias("runs"))
+    return token_spans(blocks, min_tokens, min_types, profile).groupBy("b", "c").agg(F.max("tokens").alias("longest"), F.count("*").alias("runs"))
 
 
-def gapped_runs(blocks: DataFrame, min_tokens: int = 50, min_block: int = 20, max_gap: int = 20, profile: str = "prose") -> DataFrame:
-    """Runs of `min_block` tokens joined across gaps of up to `max_gap`; fails when gaps are many."""
-    runs = _runs(blocks, profile, min_block)
+def gapped_spans(blocks: DataFrame, min_tokens: int = 50, min_block: int = 20, max_gap: int = 20, profile: str = "prose", across: bool = False) -> DataFrame:
+    """(b, c, at_b, end_b, at_c, end_c, tokens): runs of `min_block` tokens joined across gaps of up to `max_gap`; ends are the last tokens."""
+    runs = token_spans(blocks, min_block, 0, profile, across)
     lane = Window.partitionBy("b", "c").orderBy("at_b", "at_c")
     end_b, end_c = F.lag(F.col("at_b") + F.col("tokens")).over(lane), F.lag(F.col("at_c") + F.col("tokens")).over(lane)
     fresh = end_b.isNull() | (F.col("at_b") - end_b > max_gap) | (F.abs(F.col("at_c") - end_c) > max_gap)
     chained = runs.withColumn("new", fresh.cast("int")).withColumn("chain", F.sum("new").over(lane.rowsBetween(Window.unboundedPreceding, 0)))
-    return chained.groupBy("b", "c", "chain").agg(F.sum("tokens").alias("tokens"), F.count("*").alias("runs")).where(F.col("tokens") >= min_tokens).groupBy("b", "c").agg(F.max("tokens").cast("int").alias("longest"))
+    ends = (F.max(F.col(f"at_{s}") + F.col("tokens") - 1).alias(f"end_{s}") for s in "bc")
+    spans = chained.groupBy("b", "c", "chain").agg(F.min("at_b").alias("at_b"), F.min("at_c").alias("at_c"), *ends, F.sum("tokens").alias("tokens"))
+    return spans.where(F.col("tokens") >= min_tokens).drop("chain")
+
+
+def gapped_runs(blocks: DataFrame, min_tokens: int = 50, min_block: int = 20, max_gap: int = 20, profile: str = "prose") -> DataFrame:
+    """The longest chain of runs of each pair; fails when gaps are many."""
+    return gapped_spans(blocks, min_tokens, min_block, max_gap, profile).groupBy("b", "c").agg(F.max("tokens").cast("int").alias("longest"))
 
 
 def lcs_length(a: list[str], b: list[str]) -> int:
@@ -102,13 +115,13 @@ def lcs_length(a: list[str], b: list[str]) -> int:
     return int(row[-1])
 
 
-def line_lcs(blocks: DataFrame, min_lines: int = 6, sim_pm: int = 700, profile: str = "prose") -> DataFrame:
+def line_lcs(blocks: DataFrame, min_lines: int = 6, sim_pm: int = 700, profile: str = "prose", across: bool = False) -> DataFrame:
     """Pairs whose normalised lines share a long enough common subsequence; candidates share a line and fit in size."""
-    lines = blocks.select("block_id", normalized_lines(F.col("text"), profile).alias("lines")).where(F.size("lines") >= min_lines)
-    each = lines.select("block_id", F.explode(F.array_distinct("lines")).alias("line"), F.size("lines").alias("n"))
-    x, y = each.select(F.col("block_id").alias("b"), "line", F.col("n").alias("n_b")), each.select(F.col("block_id").alias("c"), F.col("line").alias("line_c"), F.col("n").alias("n_c"))
+    lines = blocks.select("block_id", "project_id", normalized_lines(F.col("text"), profile).alias("lines")).where(F.size("lines") >= min_lines)
+    each = lines.select("block_id", "project_id", F.explode(F.array_distinct("lines")).alias("line"), F.size("lines").alias("n"))
+    x, y = each.select(F.col("block_id").alias("b"), F.col("project_id").alias("project_b"), "line", F.col("n").alias("n_b")), each.select(F.col("block_id").alias("c"), F.col("project_id").alias("project_c"), F.col("line").alias("line_c"), F.col("n").alias("n_c"))
     fits = meets(F.least("n_b", "n_c"), F.col("n_b"), F.col("n_c"), sim_pm)
-    pairs = x.join(y, (F.col("line") == F.col("line_c")) & (F.col("b") < F.col("c")) & fits).select("b", "c").distinct()
+    pairs = x.join(y, (F.col("line") == F.col("line_c")) & (F.col("b") < F.col("c")) & fits & _apart(across)).select("b", "c").distinct()
     rows = pairs.join(lines.select(F.col("block_id").alias("b"), F.col("lines").alias("of_b")), "b").join(lines.select(F.col("block_id").alias("c"), F.col("lines").alias("of_c")), "c")
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -119,15 +132,16 @@ def line_lcs(blocks: DataFrame, min_lines: int = 6, sim_pm: int = 700, profile:
     return rows.mapInPandas(run, "b long, c long, n_b int, n_c int, lcs int").where(meets(F.col("lcs"), F.col("n_b"), F.col("n_c"), sim_pm))
 
 
-def vector_windows(blocks: DataFrame, min_tokens: int = 50, sim_pm: int = 850, step: int = 2, tables: int = 8, profile: str = "prose", dimensions: int = 32) -> DataFrame:
-    """Count vectors of sliding windows, near in vector space by random hyperplanes; an exact cosine decides."""
-    tokens = blocks.select("block_id", token_array(normalize_t2(F.col("text"), profile)).alias("t")).where(F.size("t") >= min_tokens)
+def vector_hits(blocks: DataFrame, min_tokens: int = 50, sim_pm: int = 850, step: int = 2, tables: int = 8, profile: str = "prose", dimensions: int = 32, across: bool = False) -> DataFrame:
+    """(b, c, at_b, at_c), one row a table in which two windows meet: count vectors of sliding windows, near in vector
+    space by random hyperplanes; an exact cosine decides. Places are of the first token, from 1."""
+    tokens = blocks.select("block_id", "project_id", token_array(normalize_t2(F.col("text"), profile)).alias("t")).where(F.size("t") >= min_tokens)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         planes = np.random.default_rng(17).normal(size=(tables, 16, dimensions))
         for batch in batches:
             out = []
-            for block_id, t in zip(batch.block_id, batch.t, strict=True):
+            for block_id, project_id, t in zip(batch.block_id, batch.project_id, batch.t, strict=True):
                 codes = pd.util.hash_array(np.asarray(t, dtype=object)) % dimensions
                 one = np.zeros((len(codes) + 1, dimensions))
                 np.cumsum(np.eye(dimensions)[codes], axis=0, out=one[1:])
@@ -135,13 +149,29 @@ def vector_windows(blocks: DataFrame, min_tokens: int = 50, sim_pm: int = 850, s
                 v = one[starts + min_tokens] - one[starts]
                 v = v - v.mean(axis=1, keepdims=True)
                 bits = (np.einsum("thd,nd->nth", planes, v) > 0) @ (1 << np.arange(16))
-                out += [(block_id, int(s), k << 16 | int(b), list(x)) for s, x, row in zip(starts, v, bits, strict=True) for k, b in enumerate(row)]
-            yield pd.DataFrame(out, columns=["block_id", "at", "bucket", "v"])
+                out += [(block_id, project_id, int(s) + 1, k << 16 | int(b), list(x)) for s, x, row in zip(starts, v, bits, strict=True) for k, b in enumerate(row)]
+            yield pd.DataFrame(out, columns=["block_id", "project_id", "at", "bucket", "v"])
+
+    w = tokens.mapInPandas(run, "block_id long, project_id string, at int, bucket long, v array<double>")
+    x = w.select(F.col("block_id").alias("b"), F.col("project_id").alias("project_b"), F.col("at").alias("at_b"), "bucket", F.col("v").alias("v_b"))
+    y = w.select(F.col("block_id").alias("c"), F.col("project_id").alias("project_c"), F.col("at").alias("at_c"), F.col("bucket").alias("bucket_c"), F.col("v").alias("v_c"))
+    return x.join(y, (F.col("bucket") == F.col("bucket_c")) & (F.col("b") < F.col("c")) & _apart(across) & (cosine(F.col("v_b"), F.col("v_c")) >= sim_pm / 1000)).select("b", "c", "at_b", "at_c")
+
+
+def vector_windows(blocks: DataFrame, **options) -> DataFrame:
+    """(b, c, windows): meetings of windows for each pair."""
+    return vector_hits(blocks, **options).groupBy("b", "c").agg(F.count("*").alias("windows"))
+
 
-    w = tokens.mapInPandas(run, "block_id long, at int, bucket long, v array<double>")
-    x = w.select(F.col("block_id").alias("b"), "bucket", F.col("v").alias("v_b"))
-    y = w.select(F.col("block_id").alias("c"), F.col("bucket").alias("bucket_c"), F.col("v").alias("v_c"))
-    return x.join(y, (F.col("bucket") == F.col("bucket_c")) & (F.col("b") < F.col("c")) & (cosine(F.col("v_b"), F.col("v_c")) >= sim_pm / 1000)).groupBy("b", "c").agg(F.count("*").alias("windows"))
+def vector_spans(blocks: DataFrame, min_tokens: int = 50, step: int = 2, **options) -> DataFrame:
+    """(b, c, at_b, end_b, at_c, end_c): near windows joined while one begins within the one before it on both sides."""
+    hits = vector_hits(blocks, min_tokens=min_tokens, step=step, **options).distinct()
+    shift = F.round((F.col("at_b") - F.col("at_c")) / min_tokens)  # near windows of one passage keep about one distance
+    lane = Window.partitionBy("b", "c", "shift").orderBy("at_b", "at_c")
+    fresh = F.coalesce(F.col("at_b") - F.lag("at_b").over(lane) > min_tokens, F.lit(True))
+    chained = hits.withColumn("shift", shift).withColumn("new", fresh.cast("int")).withColumn("chain", F.sum("new").over(lane.rowsBetween(Window.unboundedPreceding, 0)))
+    ends = (F.max(F.col(f"at_{s}") + min_tokens - 1).alias(f"end_{s}") for s in "bc")
+    return chained.groupBy("b", "c", "shift", "chain").agg(F.min("at_b").alias("at_b"), F.min("at_c").alias("at_c"), *ends).drop("shift", "chain")
 
 
 def dot(a, b):

@@ -5,23 +5,26 @@ from __future__ import annotations
 import re
 import time
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.order import ORDERS
+from ..functions.tokens import normalize_t2
 from ..operators import baselines, detect
-from ..operators.blocks import document_blocks, size_limits
+from ..operators.blocks import blocks_from_boundaries, document_blocks, size_limits
 from ..operators.index import IndexedRepository, partial_index
 from ..operators.types import classify, locality
 from ..sources.io import shared_folder, stage
 from . import mutate
-from .measures import recall
+from .measures import detected, recall
 
 
-def fragments(docs: DataFrame, per_lang: int = 10) -> DataFrame:
-    """(fragment_id, lang, text): documents of 15-200 lines and 100-2,000 tokens, so many a language by hash of the id."""
-    from pyspark.sql import Window
+#: Fragments a language, as published; the published experiment injects each mutant at 10 places.
+FRAGMENTS = 250
 
+
+def fragments(docs: DataFrame, per_lang: int = FRAGMENTS) -> DataFrame:
+    """(fragment_id, lang, text): documents of 15-200 lines and 100-2,000 tokens, at most so many a language by hash of the id."""
     limited = size_limits(document_blocks(docs, project="lang"), min_lines=15, max_lines=200, min_tokens=100, max_tokens=2000)
     turn = F.row_number().over(Window.partitionBy("project_id").orderBy(F.md5(F.col("block_id").cast("string"))))
     return limited.withColumn("turn", turn).where(F.col("turn") <= per_lang).select(F.col("block_id").alias("fragment_id"), F.col("project_id").alias("lang"), "text")
@@ -40,33 +43,96 @@ def reports(blocks: DataFrame, detector: str, theta_pm: int = 700) -> DataFrame:
     return found.unionByName(found.select(F.col("c").alias("b"), F.col("b").alias("c"))).distinct()
 
 
-def mutant_recall(spark: SparkSession, docs: DataFrame, per_lang: int = 5, places: int = 1, detectors: tuple[str, ...] = ("bag", "token_runs", "gapped_runs", "line_lcs")) -> DataFrame:
+def subject_system(docs: DataFrame, hosts: int = 50) -> DataFrame:
+    """(lang, hosts, seat, host): the documents of each language that mutants are injected into, at most `hosts`."""
+    named = docs.where("text is not null and lang is not null").select("lang", "doc_id")
+    turn = Window.partitionBy("lang").orderBy(F.desc(F.md5(F.col("doc_id").cast("string"))), "doc_id")
+    kept = named.withColumn("seat", F.row_number().over(turn)).where(F.col("seat") <= hosts)
+    kept = kept.join(kept.groupBy("lang").agg(F.count("*").alias("hosts")), "lang")
+    return kept.join(docs.select("doc_id", F.col("text").alias("host")), "doc_id").drop("doc_id")
+
+
+def inject(made: DataFrame, subject: DataFrame) -> DataFrame:
+    """Mutants in copies of documents of their language: adds ref_id (odd), the file's text, its `lines`, and start_2, end_2 and the edit in it.
+
+    One file holds one mutant, at a line border chosen by hash of fragment, operator and copy. A mutant whose
+    language has no document to hold it is not in the result; fragments come from documents, so there is one.
+    """
+    turn = F.create_map(*(F.lit(x) for k, name in enumerate(mutate.OPERATORS) for x in (name, k)))[F.col("operator")]
+    most = 1 << 8  # copies of one mutant that get numbers of their own
+    keyed = made.withColumn("ref_id", ((F.col("fragment_id") * len(mutate.OPERATORS) + turn) * most + F.col("copy")) * 2 + 1)
+    counts = subject.groupBy("lang").agg(F.max("hosts").alias("hosts"))
+    placed = keyed.join(counts, "lang").withColumn("seat", (F.pmod(F.xxhash64("ref_id"), F.col("hosts")) + 1).cast("int"))
+    placed = placed.join(subject.select("lang", "seat", F.split("host", "\n").alias("around")), ["lang", "seat"])
+    placed = placed.withColumns({"at": F.pmod(F.xxhash64("ref_id", F.lit("place")), F.size("around") + 1).cast("int"), "own": F.split("text", "\n")})
+    whole = F.concat(F.slice("around", F.lit(1), F.col("at")), F.col("own"), F.slice("around", F.col("at") + 1, F.size("around")))
+    return placed.select(
+        "ref_id", "fragment_id", "lang", "operator", "clone_type", F.array_join(whole, "\n").alias("text"), (F.size("around") + F.size("own")).alias("lines"), (F.col("at") + 1).alias("start_2"),
+        (F.col("at") + F.size("own")).alias("end_2"), (F.col("edit_start") + F.col("at")).alias("edit_start"), (F.least(F.col("edit_end"), F.size("own")) + F.col("at")).alias("edit_end"))
+
+
+def in_lines(spans: DataFrame, files: DataFrame) -> DataFrame:
+    """Reports by lines (file_1, start_1, end_1, file_2, start_2, end_2) of spans of tokens (b, c, at_b, end_b, at_c, end_c) in files."""
+    count = lambda x: F.size(F.filter(F.split(normalize_t2(x), " "), lambda t: t != ""))
+    of_token = F.flatten(F.transform(F.split("text", "\n"), lambda x, i: F.array_repeat(i + 1, count(x))))
+    lines = stage(files.select(F.col("block_id").alias("file"), of_token.alias("lines")), "lines")
+    line = lambda side, at: F.element_at(f"lines_{side}", F.col(at).cast("int"))
+    both = spans.join(lines.toDF("b", "lines_b"), "b").join(lines.toDF("c", "lines_c"), "c")
+    ends = (line(s, f"{w}_{s}").alias(f"{n}_{k}") for s, k in (("b", 1), ("c", 2)) for w, n in (("at", "start"), ("end", "end")))
+    return both.select(F.col("b").alias("file_1"), F.col("c").alias("file_2"), *ends)
+
+
+def span_reports(files: DataFrame, bounds: DataFrame, detector: str) -> DataFrame:
+    """Reports by lines between files of different projects: block detectors see the blocks at `bounds`, the others whole files."""
+    preset = baselines.PRESETS
+    if detector == "token_runs":
+        runs = baselines.token_spans(files, preset["token_runs"]["min_tokens"], preset["token_runs"]["min_types"], across=True)
+        return in_lines(runs.withColumns({f"end_{s}": F.col(f"at_{s}") + F.col("tokens") - 1 for s in "bc"}), files)
+    if detector == "gapped_runs":
+        return in_lines(baselines.gapped_spans(files, **preset["gapped_runs_mutant"], across=True), files)
+    if detector == "vectors":
+        return in_lines(baselines.vector_spans(files, **preset["vectors_mutant"], across=True), files)
+    cut = stage(blocks_from_boundaries(files.select("block_id", "project_id", "text"), bounds, id="block_id", project="project_id"), "blocks")
+    if detector == "bag":
+        kept = size_limits(cut, min_lines=preset["mutant"]["min_lines"])
+        pairs = detect.detect_between(kept.where("project_id = 'original'"), kept.where("project_id = 'injected'"), preset["mutant"]["theta_pm"])
+    elif detector == "line_lcs":
+        pairs = baselines.line_lcs(cut, **preset["line_lcs_mutant"], across=True)
+    else:
+        raise ValueError(f"detector is one of {DETECTORS}")
+    of = cut.select("block_id", "file_id", "start_line", "end_line")
+    return pairs.select("b", "c").join(of.toDF("b", "file_1", "start_1", "end_1"), "b").join(of.toDF("c", "file_2", "start_2", "end_2"), "c").drop("b", "c")
+
+
+def mutant_recall(
+    spark: SparkSession, docs: DataFrame, per_lang: int = FRAGMENTS, places: int = 1, detectors: tuple[str, ...] = ("bag", "token_runs", "gapped_runs", "line_lcs"), hosts: int = 50,
+) -> DataFrame:
     """(detector, lang, clone_type, operator, references, found, recall) with roll-ups: fragments against their mutants.
 
-    The mutant stands beside its fragment as a block of its own, as a function would. Runs of equal tokens count
-    only if one of them spans the edit, which takes a run as long as the whole fragment.
+    Each mutant stands in a copy of a document of its language. A report counts if it covers 70 % of the lines of
+    the fragment and of the mutant and all lines of the edit (`measures.detected`), for every detector alike.
+    Mutant files are compared with fragments only, as each would be in a run of its own.
     """
-    original = stage(fragments(docs, per_lang), "fragments")
-    made = stage(mutate.mutants(original, places), "mutants").withColumn("mutant_id", F.xxhash64("fragment_id", "operator", "copy"))
-    blocks = original.select(F.col("fragment_id").alias("block_id"), F.lit("original").alias("project_id"), "text").unionByName(made.select(F.col("mutant_id").alias("block_id"), F.lit("mutant").alias("project_id"), "text"))
-    blocks = stage(blocks, "blocks")
+    if places > 256:
+        raise ValueError("at most 256 places a mutant")
+    original = stage(fragments(docs.where("lang is not null"), per_lang), "fragments")
+    placed = stage(inject(mutate.mutants(original, places), subject_system(docs, hosts)), "injected")
+    files = original.select((F.col("fragment_id") * 2).alias("block_id"), F.lit("original").alias("project_id"), "text").unionByName(placed.select(F.col("ref_id").alias("block_id"), F.lit("injected").alias("project_id"), "text"))
+    files = stage(files, "files")
+    size = F.size(F.split("text", "\n"))
+    cuts = F.array(F.struct(F.lit(1).alias("start_line"), (F.col("start_2") - 1).alias("end_line")), F.struct(F.col("start_2").alias("start_line"), F.col("end_2").alias("end_line")), F.struct((F.col("end_2") + 1).alias("start_line"), F.col("lines").alias("end_line")))
+    bounds = placed.select(F.col("ref_id").alias("file_id"), F.explode(cuts).alias("s")).select("file_id", "s.*").where("start_line <= end_line")
+    whole = original.select((F.col("fragment_id") * 2).alias("file_id"), F.lit(1).alias("start_line"), size.alias("end_line"))
+    references = placed.join(original.select("fragment_id", size.alias("end_1")), "fragment_id").withColumns({"file_1": F.col("fragment_id") * 2, "file_2": F.col("ref_id"), "start_1": F.lit(1)})
     out = None
     for name in detectors:
-        if name == "token_runs":
-            size = F.size(F.split(F.trim(F.regexp_replace("text", r"\W+", " ")), " "))
-            long = baselines.token_runs(blocks).where("longest > 0").join(blocks.select(F.col("block_id").alias("b"), size.alias("whole")), "b")
-            found = long.where(F.col("longest") * 1000 >= F.col("whole") * 990).select("b", "c")
-            found = found.unionByName(found.select(F.col("c").alias("b"), F.col("b").alias("c")))
-        else:
-            found = reports(blocks, name)
-        hit = found.select(F.col("b").alias("fragment_id"), F.col("c").alias("mutant_id"), F.lit(True).alias("hit")).distinct()
-        judged = made.join(hit, ["fragment_id", "mutant_id"], "left").withColumn("detected", F.coalesce("hit", F.lit(False)))
-        rows = recall(judged, "lang", "clone_type", "operator").withColumn("detector", F.lit(name))
+        judged = detected(references, span_reports(files, bounds.unionByName(whole), name))
+        rows = stage(recall(judged, "lang", "clone_type", "operator").withColumn("detector", F.lit(name)), "recall")
         out = rows if out is None else out.unionByName(rows)
     return out
 
 
-def band_recall(docs: DataFrame, per_lang: int = 10, theta_pm: int = 700, detector: str = "bag") -> DataFrame:
+def band_recall(docs: DataFrame, per_lang: int = FRAGMENTS, theta_pm: int = 700, detector: str = "bag") -> DataFrame:
     """(band, locality, references, found, recall): edited copies at four rates, half of them in the fragment's own project."""
     original = stage(fragments(docs, per_lang), "fragments")
     made = mutate.edited_copies(original).withColumn("copy_id", F.xxhash64("fragment_id", "rate"))

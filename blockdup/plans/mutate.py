@@ -21,7 +21,8 @@ def _line_edit(f):
         places = [k for k in range(edge, len(lines) - edge) if _WORD.search(lines[k])] or list(range(len(lines)))
         at = r.choice(places)
         made = f(lines[at], r)
-        return lines[:at] + made + lines[at + 1 :], at, max(at, at + len(made) - 1)
+        first = at if made else max(0, at - 1)  # what is gone lies between two lines, and both are the edit
+        return lines[:at] + made + lines[at + 1 :], first, max(at, at + len(made) - 1)
 
     return run
 

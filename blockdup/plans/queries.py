@@ -283,7 +283,8 @@ query(name="vector_windows")(lambda s, d: baselines.vector_windows(docs_of(s, d)
 query("SELECT x.vec_id AS b, y.vec_id AS c FROM embeddings x JOIN embeddings y ON x.vec_id < y.vec_id AND list_cosine_similarity(x.embedding::DOUBLE[], y.embedding::DOUBLE[]) >= 0.6", "embedding_cosine")(lambda s, d: baselines.embedding_cosine(table(s, d, "embeddings"), 0.6))
 
 # ---------------------------------------------------------------- experiments
-query(name="mutant_recall")(lambda s, d: experiments.mutant_recall(s, table(s, d, "documents")))
+query(name="mutant_recall")(lambda s, d: experiments.mutant_recall(s, table(s, d, "documents"), detectors=("bag", "line_lcs")))
+query(name="mutant_recall_runs")(lambda s, d: experiments.mutant_recall(s, table(s, d, "documents"), detectors=("token_runs", "gapped_runs")))
 query(name="recall_by_band")(lambda s, d: experiments.band_recall(table(s, d, "documents")))
 query(_between_sql(DOCS + " WHERE source = 'src0'", DOCS + " WHERE source <> 'src0'"), "lookup_stored_index")(
     lambda s, d: experiments.lookup(s, docs_of(s, d).where("project_id <> 'src0'"), docs_of(s, d).where("project_id = 'src0'")).select(F.col("query_id").alias("b"), F.col("block_id").alias("c"), F.col("n_query").alias("n_b"), F.col("n_block").alias("n_c"), "overlap", "similarity"))
