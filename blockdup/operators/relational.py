@@ -33,6 +33,18 @@ def size_band_join(sizes: DataFrame, theta_pm: int) -> DataFrame:
     return b.join(c, (F.col("cell") == F.col("cell_c")) & turn & (F.col("n_c").cast("long") * 1000 >= F.col("n_b").cast("long") * theta_pm)).select("b", "c", "n_b", "n_c")
 
 
+def size_band_counts(sizes: DataFrame, theta_pm: int) -> DataFrame:
+    """(block_id, n, partners): how many other blocks have a size that allows a match; pairs are counted by size, not formed."""
+    many = sizes.groupBy("n").agg(F.count("*").alias("blocks"))
+    step = F.log(F.lit(1000 / theta_pm))
+    cell = F.floor(F.log("n") / step).cast("int")
+    x = many.select(F.col("n").alias("n"), F.explode(F.array(*(cell + k for k in range(-2, 3)))).alias("cell"))
+    y = many.select(F.col("n").alias("m"), F.col("blocks"), cell.alias("cell_m"))
+    fits = F.least("n", "m").cast("long") * 1000 >= F.greatest("n", "m").cast("long") * theta_pm
+    total = x.join(y, (F.col("cell") == F.col("cell_m")) & fits).groupBy("n").agg((F.sum("blocks") - 1).alias("partners"))
+    return sizes.join(total, "n").select("block_id", "n", "partners")
+
+
 def best_match(pairs: DataFrame) -> DataFrame:
     """For each block its most similar partner, ties to the smaller id."""
     both = pairs.select(F.col("b").alias("block_id"), F.col("c").alias("partner"), "similarity").unionByName(pairs.select(F.col("c").alias("block_id"), F.col("b").alias("partner"), "similarity"))

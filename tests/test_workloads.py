@@ -5,7 +5,7 @@ import pandas as pd
 import pytest
 
 import __spark_entry__ as e
-from blockdup.operators import blocks
+from blockdup.operators import blocks, relational
 from blockdup.plans import queries as library
 from blockdup.plans import surfaces, workloads
 
@@ -48,3 +48,15 @@ def test_near_misses(spark):
 @pytest.mark.parametrize("name", ["whole_repository_seconds", "lookup_latency", "approximate_by_source"])
 def test_rows(spark, name):
     assert e.queries()[name](spark, SF).count() > 0
+
+
+def test_sizes_are_counted_without_pairs(spark):
+    sizes = [(k, n) for k, n in enumerate([1, 1, 9, 10, 10, 11, 90, 100, 111, 112, 1000])]
+    got = {r.block_id: r.partners for r in relational.size_band_counts(spark.createDataFrame(sizes, "block_id long, n int"), 900).collect()}
+    assert got == {k: sum(j != k and min(n, m) * 1000 >= max(n, m) * 900 for j, m in sizes) for k, n in sizes}
+
+
+def test_sample_sizes_read_the_table(spark, duck):
+    got = e.queries()["sample_size"](spark, SF)
+    assert plain(got.toPandas()) == plain(duck.execute(e.oracle_sql()["sample_size"]).df())
+    assert {r.reports for r in got.where("blocks <= 10").collect()} <= set(range(1, 11))
