@@ -265,37 +265,41 @@ def index_bytes(spark: SparkSession, blocks: DataFrame, theta_pm: int = 700) ->
 
 
 def near_miss_code() -> dict[str, str]:
-    """A function, and copies of it that do the same or nearly the same with other statements."""
+    """A function, and copies of it that do the same or nearly the same with other statements; @ stands for the ending of its names."""
     names = [chr(97 + k) for k in range(16)]
-    work = [f"  a{x} = b{x} + c{x} * d{x};" for x in names]
-    tests = ["  if (n > 3) {", "    n = n - 1;", "  }", "  if (n < 9) {", "    n = n + 2;", "  }"]
-    loop = ["  for (i = 0; i < n; i++) { total += i; }"]
-    whole = lambda *parts: "\n".join(["int work(int n) {", *(x for p in parts for x in p), "}"])
+    work = [f"  a{x}@ = b{x}@ + c{x}@ * d{x}@;" for x in names]
+    tests = ["  if (n@ > 3) {", "    n@ = n@ - 1;", "  }", "  if (n@ < 9) {", "    n@ = n@ + 2;", "  }"]
+    loop = ["  for (i@ = 0; i@ < n@; i@++) { total@ += i@; }"]
+    whole = lambda *parts: "\n".join(["int work@(int n@) {", *(x for p in parts for x in p), "}"])
     return {
         "original": whole(work, tests, loop),
         "statements_swapped": whole(work[:7], [work[8], work[7]], work[9:], tests, loop),
-        "conditions_joined": whole(work[:8], ["  if (n > 3 && n < 9) {", "    n = n - 1;", "    n = n + 2;", "  }"], work[8:], loop),
+        "conditions_joined": whole(work[:8], ["  if (n@ > 3 && n@ < 9) {", "    n@ = n@ - 1;", "    n@ = n@ + 2;", "  }"], work[8:], loop),
         "operators_changed": whole([x.replace("+", "-") for x in work], tests, loop),
-        "loop_rewritten": whole(work[:8], ["  i = 0;", "  while (i < n) { total += i; i++; }"], work[8:], tests),
+        "loop_rewritten": whole(work[:8], ["  i@ = 0;", "  while (i@ < n@) { total@ += i@; i@++; }"], work[8:], tests),
     }
 
 
-def near_misses(spark: SparkSession) -> DataFrame:
-    """(kind, detector, detected): whether the original is reported with each copy; equal runs count if they span the copy."""
+def near_misses(parts: DataFrame) -> DataFrame:
+    """(kind, detector, detected, parts): a function a part with names of its own, and whether it is reported with each
+    of its copies; equal runs count if they span the copy."""
     made = near_miss_code()
     kinds = [k for k in made if k != "original"]
-    rows = [(0, "original", made["original"]), *((k + 1, "copy", made[kind]) for k, kind in enumerate(kinds))]
-    blocks = spark.createDataFrame(rows, "block_id long, project_id string, text string")
-    tokens = len(re.findall(r"\w+", made["original"]))
+    text = F.array(*(F.struct(F.lit(k).alias("copy"), F.lit("copy" if k else "original").alias("project_id"), F.lit(made[kind]).alias("code")) for k, kind in enumerate(["original", *kinds])))
+    ending = F.translate(F.col("p_partkey").cast("string"), "0123456789", "qrstuvwxyz")  # digits would be normalised away
+    each = parts.select("p_partkey", ending.alias("ending"), F.explode(text).alias("s"))
+    blocks = stage(each.select((F.col("p_partkey") * 8 + F.col("s.copy")).alias("block_id"), "s.project_id", F.expr("replace(s.code, '@', ending)").alias("text")), "functions")
+    tokens = len(re.findall(r"\w+", made["original"].replace("@", "q")))
     found = {
         "bag": detect.detect_clones(blocks, 700, profile="java"),
         "token_runs": baselines.token_runs(blocks).where(F.col("longest") * 1000 >= tokens * 990),
         "gapped_runs": baselines.gapped_runs(blocks),
     }
-    named = spark.createDataFrame([(k + 1, kind) for k, kind in enumerate(kinds)], "copy long, kind string")
+    named = parts.select("p_partkey", F.explode(F.array(*(F.struct((F.lit(k + 1)).cast("long").alias("copy"), F.lit(kind).alias("kind")) for k, kind in enumerate(kinds)))).alias("s")).select("p_partkey", "s.*")
     out = None
     for name, pairs in found.items():
-        hit = pairs.where(F.least("b", "c") == 0).select(F.greatest("b", "c").alias("copy"), F.lit(True).alias("hit")).distinct()
-        row = named.join(hit, "copy", "left").select("kind", F.lit(name).alias("detector"), F.coalesce("hit", F.lit(False)).alias("detected"))
+        low, high = F.least("b", "c"), F.greatest("b", "c")
+        hit = pairs.where((low % 8 == 0) & (high - low < 8)).select(F.floor(low / 8).alias("p_partkey"), (high % 8).alias("copy"), F.lit(True).alias("hit")).distinct()
+        row = named.join(hit, ["p_partkey", "copy"], "left").groupBy("kind", F.coalesce("hit", F.lit(False)).alias("detected")).agg(F.count("*").alias("parts")).select("kind", F.lit(name).alias("detector"), "detected", "parts")
         out = row if out is None else out.unionByName(row)
     return out

@@ -60,3 +60,8 @@ def test_sample_sizes_read_the_table(spark, duck):
     got = e.queries()["sample_size"](spark, SF)
     assert plain(got.toPandas()) == plain(duck.execute(e.oracle_sql()["sample_size"]).df())
     assert {r.reports for r in got.where("blocks <= 10").collect()} <= set(range(1, 11))
+
+
+def test_near_misses_are_made_of_every_part(spark):
+    parts = spark.read.parquet(f"{SF}/part.parquet").count()
+    assert all(r.parts == parts for r in e.queries()["near_miss_kinds"](spark, SF).collect())
