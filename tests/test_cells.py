@@ -96,3 +96,15 @@ def test_groups_of_any_length_find_the_same(monkeypatch, most):
     kept = [(i, p, t) for i, p, t in rows if i in held.id]
     found = [tuple(r.values()) for batch in cells._search(held, 700, "overlap", False, 16) for r in batch.to_pylist()]
     assert len(found) == len(set(found)) and set(found) == brute(kept, 700, "overlap")
+
+
+def test_bags_are_kept_by_number(monkeypatch):
+    monkeypatch.setattr(cells, "NUMBERED", 3)  # numbers are given in many steps
+    held, bags = cells.Held(), [{5: 1, 9: 300}, {9: 2, 7: 1}, {5: 70_000}]
+    for k, bag in enumerate(bags):
+        tokens = np.array(list(bag), "<i8").view(np.uint8).reshape(-1, 8)[:, :7].tobytes()
+        held.add(3, k, sum(bag.values()), bytes([k]), tokens, zlib.compress(np.array(list(bag.values()), "<i4").tobytes()))
+    held.close()
+    assert held.tokens.tolist() == [0, 1, 1, 2, 0] and held.freqs.tolist() == [1, 300, 2, 1, 70_000] and held.tokens.itemsize == 4
+    element, where = held.postings(np.array([0, 1]), np.array([3, 2, 0]))
+    assert sorted(zip(where.tolist(), element.tolist(), strict=True)) == [(0, 0), (0, 1), (0, 3), (1, 1), (1, 3)]
