@@ -2,9 +2,23 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.tokens import bag_map, bag_of_tokens, tokenize
+from ..sources.io import stage
+from .groups import connected_components
+
+#: Ids that are told to the readers of texts at most; with more of them texts are joined.
+TOLD = 1_000_000
+#: Bags of one side of a tile.
+TILE = 2_000
+
 
 def asof_join(left: DataFrame, right: DataFrame, key: str, at: str, value: str) -> DataFrame:
     """Each left row with the value of the latest right row of its key at or before it: one union, one window."""
@@ -79,3 +93,48 @@ def without_items(docs: DataFrame, items: DataFrame, id: str = "doc_id", text: s
     if bare.limit(1).count():  # signs and single words: nothing to join on
         hit = hit.unionByName(d.join(bare, F.contains(F.col("body"), F.col("item"))).select("doc"))
     return d.select("doc").join(hit.distinct(), "doc", "left_anti").select(F.col("doc").alias(id))
+
+
+def with_ids(blocks: DataFrame, ids: DataFrame) -> DataFrame:
+    """Blocks whose block_id is among `ids` (block_id, no id twice); up to TOLD ids are told to the readers, and no text is shuffled."""
+    told = [r[0] for r in ids.select("block_id").limit(TOLD + 1).collect()]
+    if len(told) > TOLD:
+        return blocks.join(ids.select("block_id"), "block_id", "left_semi")
+    wanted = np.array(sorted(told), np.int64)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield batch.filter(pa.array(np.isin(batch.column("block_id").to_numpy(zero_copy_only=False), wanted)))
+
+    named = blocks.where("block_id is not null")
+    return named.mapInArrow(run, named.schema)
+
+
+def overlaps_of_maps(blocks: DataFrame, pairs: DataFrame, tile: int = TILE) -> DataFrame:
+    """`pairs` with their overlap counted from bags held as maps.
+
+    A bag goes once to each tile of its component and not once for each pair; a tile has about `tile` bags on a side,
+    so what a task holds does not grow with the component.
+    """
+    classes = stage(connected_components(pairs.select("b", "c")).select("root", F.col("node").alias("block_id")), "classes")
+    parts = classes.groupBy("root").agg(F.ceil(F.count("*") / tile).cast("int").alias("parts"))
+    placed = stage(classes.join(parts, "root").withColumn("part", F.pmod(F.xxhash64("block_id"), F.col("parts")).cast("int")), "placed")
+    bags = bag_map(bag_of_tokens(tokenize(with_ids(blocks, placed)))).select("block_id", "bag").join(placed, "block_id")
+    every = F.explode(F.sequence(F.lit(0), F.col("parts") - 1))
+    across = bags.withColumn("other", every)
+    sent = across.select("root", F.col("part").alias("i"), F.col("other").alias("j"), "block_id", "bag").unionByName(
+        across.where("part <> other").select("root", F.col("other").alias("i"), F.col("part").alias("j"), "block_id", "bag"))
+    side = lambda x, i: placed.select(F.col("block_id").alias(x), *([F.col("root").alias("root_of")] if x == "b" else []), F.col("part").alias(i))
+    asked = pairs.join(side("b", "i"), "b").join(side("c", "j"), "c").select("root_of", "i", "j", *pairs.columns)
+
+    columns = pairs.columns
+
+    def run(asked: pd.DataFrame, sent: pd.DataFrame) -> pd.DataFrame:
+        bag = {k: dict(x) for k, x in zip(sent["block_id"], sent["bag"], strict=True)}
+        made = []
+        for b, c in zip(asked["b"], asked["c"], strict=True):
+            x, y = bag[b], bag[c]
+            made.append(sum(min(x[t], y[t]) for t in x.keys() & y.keys()))
+        return asked[columns].assign(overlap=made)
+
+    return asked.groupBy("root_of", "i", "j").cogroup(sent.groupBy("root", "i", "j")).applyInPandas(run, pairs.schema)

@@ -9,8 +9,8 @@ from pyspark.sql import functions as F
 
 from ..functions.filters import position_filter
 from ..functions.order import zipf_slope
-from ..functions.tokens import WORD, bag_map, bag_of_tokens, normalize_t2, token_array, token_kind, tokenize
-from ..operators import blocks, detect
+from ..functions.tokens import WORD, bag_of_tokens, normalize_t2, token_array, token_kind, tokenize
+from ..operators import blocks, detect, relational
 from ..operators.index import full_index, partial_index
 from ..operators.types import classify
 from ..sources.io import shared_folder, stage, table, write_bands
@@ -128,12 +128,11 @@ query(f"WITH {bags()}, gtf AS (SELECT token, sum(f)::BIGINT AS gf FROM bag GROUP
 
 @query(f"WITH {CL7} SELECT b, c, overlap::BIGINT AS overlap FROM cl")
 def map_overlap(spark, d):
-    """The overlap of reported pairs once more, from bags held as maps."""
-    m = bag_map(bag_of_tokens(tokenize(docs_of(spark, d))))
-    side = lambda x: m.select(F.col("block_id").alias(x), F.col("bag").alias(f"bag_{x}"))
-    both = clones7(spark, d).select("b", "c").join(side("b"), "b").join(side("c"), "c")
-    least = F.map_zip_with("bag_b", "bag_c", lambda k, x, y: F.least(F.coalesce(x, F.lit(0)), F.coalesce(y, F.lit(0))))
-    return both.select("b", "c", F.aggregate(F.map_values(least), F.lit(0).cast("long"), lambda s, x: s + x).alias("overlap"))
+    """The overlap of reported pairs once more, from bags held as maps; copies have that of their representatives."""
+    docs = docs_of(spark, d)
+    pairs, members = detect.representatives(docs)
+    counted = stage(relational.overlaps_of_maps(docs, pairs), "counted")
+    return detect.expand_copies(counted, members, 700, "overlap", False).select("b", "c", F.col("overlap").cast("long").alias("overlap"))
 
 
 # ---------------------------------------------------------------- SQL and UDF surfaces, sinks

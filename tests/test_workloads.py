@@ -65,3 +65,14 @@ def test_sample_sizes_read_the_table(spark, duck):
 def test_near_misses_are_made_of_every_part(spark):
     parts = spark.read.parquet(f"{SF}/part.parquet").count()
     assert all(r.parts == parts for r in e.queries()["near_miss_kinds"](spark, SF).collect())
+
+
+@pytest.mark.parametrize("tile, told", [(2_000, 1_000_000), (1, 1)])
+def test_overlaps_of_maps_by_tiles(spark, monkeypatch, tile, told):
+    monkeypatch.setattr(relational, "TOLD", told)
+    texts = ["a a b c", "a a a b", "a b c d", "x y", "x y y", "z"]
+    docs = spark.createDataFrame([(k, "p", t) for k, t in enumerate(texts)], "block_id long, project_id string, text string")
+    pairs = spark.createDataFrame([(0, 1, 0), (0, 2, 0), (1, 2, 0), (4, 3, 0)], "b long, c long, overlap int")
+    got = {tuple(r) for r in relational.overlaps_of_maps(docs, pairs, tile).collect()}
+    assert got == {(0, 1, 3), (0, 2, 3), (1, 2, 2), (4, 3, 2)}
+    assert sorted(r.block_id for r in relational.with_ids(docs, pairs.select(pairs.c.alias("block_id")).distinct()).collect()) == [1, 2, 3]
