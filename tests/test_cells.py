@@ -108,3 +108,22 @@ def test_bags_are_kept_by_number(monkeypatch):
     assert held.tokens.tolist() == [0, 1, 1, 2, 0] and held.freqs.tolist() == [1, 300, 2, 1, 70_000] and held.tokens.itemsize == 4
     element, where = held.postings(np.array([0, 1]), np.array([3, 2, 0]))
     assert sorted(zip(where.tolist(), element.tolist(), strict=True)) == [(0, 0), (0, 1), (0, 3), (1, 1), (1, 3)]
+
+
+@pytest.mark.parametrize("theta, measure, strict", [(700, "overlap", False), (700, "overlap", True), (500, "jaccard", False), (300, "cosine", False)])
+def test_every_pair_is_compared_in_cells(spark, monkeypatch, theta, measure, strict):
+    monkeypatch.setattr(cells, "ROWS", 3)
+    monkeypatch.setattr(cells, "COLUMNS", 7)
+    monkeypatch.setattr(cells, "ASKED", 50)
+    rows = corpus(theta + strict)
+    held = cells.Held()
+    for block_id, _, text in rows:
+        bag = sorted(Counter(text.split()).items())
+        if bag:
+            tokens = np.array([int(t[1:]) for t, _ in bag], "<i8").view(np.uint8).reshape(-1, 8)[:, :7].tobytes()
+            held.add(3, block_id, sum(f for _, f in bag), repr(bag).encode(), tokens, zlib.compress(np.array([f for _, f in bag], "<i4").tobytes()))
+    kept = [(i, p, t) for i, p, t in rows if i in held.id]
+    found = [tuple(r.values()) for batch in cells._compare(held, theta, measure, strict) for r in batch.to_pylist()]
+    assert len(found) == len(set(found)) and set(found) == brute(kept, theta, measure, strict)
+    pairs = detect.detect_clones(spark.createDataFrame(rows, "block_id long, project_id string, text string"), theta, measure, strict=strict, every=True)
+    assert {tuple(r)[:5] for r in pairs.collect()} == brute(rows, theta, measure, strict)
