@@ -127,3 +127,55 @@ def test_every_pair_is_compared_in_cells(spark, monkeypatch, theta, measure, str
     assert len(found) == len(set(found)) and set(found) == brute(kept, theta, measure, strict)
     pairs = detect.detect_clones(spark.createDataFrame(rows, "block_id long, project_id string, text string"), theta, measure, strict=strict, every=True)
     assert {tuple(r)[:5] for r in pairs.collect()} == brute(rows, theta, measure, strict)
+
+
+@pytest.mark.parametrize("coded", [0, 40, 1 << 16])
+def test_common_tokens_travel_as_codes_and_come_back(monkeypatch, coded):
+    r = np.random.default_rng(coded)
+    tokens = np.unique(r.integers(0, 1 << 56, 300))
+    tokens[1] = tokens[0] + cells.SLOTS  # these share a counter
+    tokens = np.unique(tokens)
+    levels = np.zeros(cells.SLOTS, np.uint8)
+    levels[tokens & (cells.SLOTS - 1)] = r.integers(0, 200, len(tokens))
+    common = tokens[:coded][np.argsort(levels[tokens[:coded] & (cells.SLOTS - 1)], kind="stable")]
+    bags = [np.sort(r.choice(tokens, k, replace=False)) for k in (1, 7, 8, 200)]
+    batch = cells.pa.RecordBatch.from_pydict({"block_id": [0, 1, 2, 3], "codes": cells.pa.array([b.tolist() for b in bags], cells.pa.list_(cells.pa.int64()))})
+    sizes = np.zeros(256, np.int64)
+    for b in bags:
+        sizes[np.searchsorted(cells.edges(), len(b), "right") - 1] += len(b)
+    held, width = cells.Held(common), 0
+    for out in cells._dealt(levels, cells.Cells(sizes, 700, "overlap"), np.zeros(0, np.int64), common)([batch]):
+        for _, *row in zip(*(out.column(k).to_pylist() for k in range(8)), strict=True):
+            held.add(*row)
+            width += len(row[4])
+    held.close()
+    seen = held.numbers.uniques.to_array()[held.tokens]
+    got = dict(zip(held.id, np.split(seen, held.at[1:-1]), strict=True))
+    assert {k: got[k].tolist() for k in got} == {k: b[np.argsort(levels[b & (cells.SLOTS - 1)], kind="stable")].tolist() for k, b in enumerate(bags)}
+    assert (width <= 7 * 4) if coded > 300 else width > 7 * 100  # of two tokens that share a counter one has no code
+
+
+@pytest.mark.parametrize("theta, measure, strict", [(700, "overlap", False), (700, "overlap", True), (500, "jaccard", False), (700, "cosine", False)])
+def test_early_acceptance_decides_the_same_and_reads_less(spark, monkeypatch, theta, measure, strict):
+    monkeypatch.setattr(cells, "PACE", 2)
+    rows, held, read = corpus(theta + 1), cells.Held(), [0]
+    for block_id, _, text in rows:
+        bag = sorted(Counter(text.split()).items())
+        if bag:
+            tokens = np.array([int(t[1:]) for t, _ in bag], "<i8").view(np.uint8).reshape(-1, 8)[:, :7].tobytes()
+            held.add(3, block_id, sum(f for _, f in bag), repr(bag).encode(), tokens, zlib.compress(np.array([f for _, f in bag], "<i4").tobytes()))
+    want = {p[:4]: p[4] for p in brute([x for x in rows if x[0] in held.id], theta, measure, strict)}
+    given = held.rows
+
+    def counted(blocks, *part):
+        at, of = given(blocks, *part)
+        read[0] += len(at)
+        return at, of
+
+    held.rows = counted
+    found = [tuple(r.values()) for batch in cells._search(held, theta, measure, strict, 1, True, True) for r in batch.to_pylist()]
+    lazy, read[0] = read[0], 0
+    assert len(found) == len(want) and all(cells.meets(*(np.array([x], np.int64) for x in (o, n, m)), theta, measure, strict)[0] and o <= want[b, c, n, m] for b, c, n, m, o in found)
+    assert len(list(cells._search(held, theta, measure, strict, 1, True))) and lazy < read[0]
+    pairs = detect.detect_clones(spark.createDataFrame(rows, "block_id long, project_id string, text string"), theta, measure, strict=strict, early_accept=True)
+    assert {tuple(r)[:4] for r in pairs.collect()} == {p[:4] for p in brute(rows, theta, measure, strict)}
