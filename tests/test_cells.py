@@ -179,3 +179,11 @@ def test_early_acceptance_decides_the_same_and_reads_less(spark, monkeypatch, th
     assert len(list(cells._search(held, theta, measure, strict, 1, True))) and lazy < read[0]
     pairs = detect.detect_clones(spark.createDataFrame(rows, "block_id long, project_id string, text string"), theta, measure, strict=strict, early_accept=True)
     assert {tuple(r)[:4] for r in pairs.collect()} == {p[:4] for p in brute(rows, theta, measure, strict)}
+
+
+def test_the_survey_names_common_tokens_in_the_order(spark):
+    blocks = spark.createDataFrame(corpus(11), "block_id long, project_id string, text string")
+    levels, _, common, _ = cells.survey(cells.hashed(blocks))
+    words = {w for _, _, t in corpus(11) for w in t.split()}
+    assert len(common) == len(set(common.tolist())) == len(words)
+    assert (np.diff(levels[common & (cells.SLOTS - 1)].astype(int)) >= 0).all()
