@@ -6,8 +6,12 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from blockdup.functions.filters import position_filter
+from blockdup.functions.order import ordered_blocks
+from blockdup.functions.tokens import bag_of_tokens, tokenize
 from blockdup.operators import cells, detect, subblocks
-from blockdup.operators.index import partial_index
+from blockdup.operators.index import full_index, partial_index
+from blockdup.sources.io import FREED, stage
 from test_cells import corpus
 
 SCHEMA = "block_id long, project_id string, text string"
@@ -47,3 +51,52 @@ def test_comparisons_are_counted_by_project(spark, monkeypatch, table, held):
     f1, f1f3, of = Counter(r.project_id for r in found), Counter(near), Counter(r.project_id for r in ordered.collect())
     assert {tuple(r) for r in subblocks.comparisons(blocks, held=held).collect()} == {(p, of[p], f1[p], f1f3[p]) for p in of}
     assert sum(f1.values()) > sum(f1f3.values()) > 0
+
+
+WAYS = [(700, "overlap", 1 << 19, 8_000_000), (700, "overlap", 20, 600), (500, "jaccard", 0, 8_000_000), (900, "cosine", 100, 900)]
+
+
+@pytest.mark.parametrize("theta, measure, table, held", WAYS)
+def test_token_comparisons_as_by_merging(spark, monkeypatch, theta, measure, table, held):
+    monkeypatch.setattr(subblocks, "TABLE", table)
+    monkeypatch.setattr(subblocks, "PACE", 3)
+    blocks = blocks_of(spark, theta + table)
+    ordered = ordered_blocks(bag_of_tokens(tokenize(blocks)), keys=True)
+    postings = partial_index(ordered, theta, measure)
+    want = []
+    for early in (False, True):
+        rows = detect.verify_merge(detect.candidates(postings, postings, theta, measure), ordered, ordered, theta, measure, early_accept=early).collect()
+        want.append((sum(r.compared for r in rows), sum(r.n_b * r.n_c for r in rows), len(rows)))
+    rows = subblocks.token_comparisons(blocks, theta, measure, held=held).collect()
+    got = {c: sum(r[c] for r in rows) for c in ("compared", "early", "nested", "candidates")}
+    assert [(got[c], got["nested"], got["candidates"]) for c in ("compared", "early")] == want and want[0][0] > want[1][0] > 0
+
+
+@pytest.mark.parametrize("theta, measure, table, held", WAYS)
+def test_position_bound_alone_as_by_joins(spark, monkeypatch, theta, measure, table, held):
+    for name, value in (("TABLE", table), ("PACE", 3), ("BITS", 64 if held < 1000 else 1 << 14), ("DENSE", 10)):
+        monkeypatch.setattr(subblocks, name, value)
+    blocks = blocks_of(spark, theta + table)
+    every = full_index(detect.order_of(blocks))
+    found = detect.candidates(every, every, theta, measure, filters=frozenset(), hot=None)
+    ok = position_filter(*(F.col(c) for c in ("seen", "last_b", "last_c", "n_b", "n_c")), theta, measure)
+    want = found.agg(F.count("*"), F.count(F.when(ok, 1))).first()
+    rows = subblocks.position_alone(blocks, theta, measure, held=held, sets=held).collect()
+    assert (sum(r.pairs for r in rows), sum(r.within_bound for r in rows)) == tuple(want) and want[0] > want[1] > 0
+
+
+def test_no_blocks_no_comparisons(spark):
+    none = spark.createDataFrame([(1, "p", ""), (2, "p", None)], SCHEMA)
+    assert not subblocks.token_comparisons(none).collect() and not any(sum(r) for r in subblocks.position_alone(none).collect())
+
+
+def test_costs_send_whole_blocks_alone(spark):
+    plan = subblocks.token_comparisons(blocks_of(spark, 3))._jdf.queryExecution().toString().split("== Physical Plan ==")[1]
+    assert plan.count("Exchange") == 1 and "Join" not in plan
+
+
+def test_staged_frames_leave_no_shuffle(spark):
+    shuffles = lambda: spark._jvm.org.apache.spark.SparkEnv.get().mapOutputTracker().shuffleStatuses().size()
+    before = shuffles()
+    stage(spark.range(1000).repartition(3, "id"), "kept")
+    assert shuffles() == before and spark.conf.get(FREED) == "false"
