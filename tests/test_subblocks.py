@@ -7,9 +7,9 @@ import pytest
 from pyspark.sql import functions as F
 
 from blockdup.functions.filters import position_filter
-from blockdup.functions.order import ordered_blocks
+from blockdup.functions.order import global_token_frequency, ordered_blocks
 from blockdup.functions.tokens import bag_of_tokens, tokenize
-from blockdup.operators import cells, detect, subblocks
+from blockdup.operators import cells, detect, index, subblocks
 from blockdup.operators.index import full_index, partial_index
 from blockdup.sources.io import FREED, stage
 from test_cells import corpus
@@ -100,3 +100,33 @@ def test_staged_frames_leave_no_shuffle(spark):
     before = shuffles()
     stage(spark.range(1000).repartition(3, "id"), "kept")
     assert shuffles() == before and spark.conf.get(FREED) == "false"
+
+
+@pytest.mark.parametrize("theta, measure, table, most", [(700, "overlap", 1 << 19, 8_000_000), (700, "overlap", 20, 600), (500, "jaccard", 0, 900), (800, "cosine", 100, 8_000_000)])
+def test_many_blocks_are_looked_up_in_cells(spark, monkeypatch, tmp_path, theta, measure, table, most):
+    monkeypatch.setattr(subblocks, "TABLE", table)
+    monkeypatch.setattr(subblocks, "matches", lambda *a, f=subblocks.matches: f(*a, most=most))
+    blocks = blocks_of(spark, theta + table).where("block_id <> 2000 or project_id = 'p1'")
+    repo = index.IndexedRepository.build(blocks.where("project_id = 'p1'"), str(tmp_path / "index"), theta, measure)
+    repo.append(blocks.where("project_id = 'p2'"))
+    asked = blocks.where("project_id in ('p0', 'q')")
+    answers = {}
+    for few in (0, 1_000_000):
+        monkeypatch.setattr(index, "FEW", few)
+        rows = [tuple(r) for r in repo.query(asked).collect()]
+        answers[few] = sorted(rows)
+        assert len(rows) == len({r[:2] for r in rows})
+    assert answers[0] == answers[1_000_000] and any(r[2] > r[3] for r in answers[0]) and any(r[2] < r[3] for r in answers[0])
+
+
+@pytest.mark.parametrize("table", [1 << 19, 20, 0])
+def test_ordered_blocks_as_by_joins(spark, monkeypatch, table):
+    monkeypatch.setattr(subblocks, "TABLE", table)
+    blocks = blocks_of(spark, 5)
+    bag = bag_of_tokens(tokenize(blocks))
+    rows = lambda df: sorted((tuple(r) for r in df.collect()), key=str)
+    assert rows(subblocks.token_frequencies(blocks)) == rows(global_token_frequency(bag))
+    known = subblocks.token_frequencies(blocks.where("project_id = 'p1'"))
+    assert rows(subblocks.ordered(blocks, known)) == rows(ordered_blocks(bag, frequencies=known))
+    empty = blocks.where("false")
+    assert rows(subblocks.ordered(blocks, subblocks.token_frequencies(empty))) == rows(ordered_blocks(bag, frequencies=known.where("false"))) and not rows(subblocks.ordered(empty, known))
